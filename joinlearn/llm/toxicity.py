@@ -2,7 +2,8 @@
 
 Lexicon: document counts of words and their beginnings among labelled rows; those whose share of toxic documents cannot
 be chance (a binomial bound, corrected for how many candidates there are) become terms: whole words, or stems where the
-endings vary. Matching: an automaton that accepts every term within an edit distance, built lazily as sets of (trie node,
+endings vary. Near copies among the labelled rows count once, or all words of a copied document would look telling. Words
+near a term that clean documents use themselves are no misspellings. Matching: an automaton that accepts every term within an edit distance, built lazily as sets of (trie node,
 edits), reads each word. Context: hits add up over a window of words; hits inside quotation marks or after words of
 reporting count less. A logistic function of these evidence values, fitted to the same labelled rows, gives the score.
 
@@ -21,6 +22,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -44,8 +46,8 @@ REPORTING = {"word", "words", "term", "terms", "called", "said", "says", "quote"
 class Automaton:
     """All terms within `edits` of a word: deterministic states made on demand over a trie."""
 
-    def __init__(self, terms: dict[str, float], edits: int = EDITS, fuzzy_least: int = FUZZY_LEAST) -> None:
-        self.edits, self.fuzzy_least = edits, fuzzy_least
+    def __init__(self, terms: dict[str, float], edits: int = EDITS, fuzzy_least: int = FUZZY_LEAST, innocent: frozenset = frozenset()) -> None:
+        self.edits, self.fuzzy_least, self.innocent = edits, fuzzy_least, innocent
         self.children: list[dict[str, int]] = [{}]
         self.value: list[tuple[float, bool, int] | None] = [None]  # weight, whether a stem, length
         self.longest: list[int] = [0]
@@ -72,7 +74,7 @@ class Automaton:
         self.heads: dict[str, int] = {}
 
     def __getstate__(self) -> dict:
-        return {k: getattr(self, k) for k in ("edits", "fuzzy_least", "children", "value", "longest")}
+        return {k: getattr(self, k) for k in ("edits", "fuzzy_least", "innocent", "children", "value", "longest")}
 
     def __setstate__(self, state: dict) -> None:
         self.__dict__.update(state)
@@ -136,7 +138,7 @@ class Automaton:
                 v = self.value[node]
                 if v and (v[1] or last) and (e == 0 or v[2] >= self.fuzzy_least) and v[0] * (0.5**e) > best[0]:
                     best = (v[0] * (0.5**e), e)
-        return best
+        return (0.0, 0) if best[1] and word in self.innocent else best
 
 
 def hits_of(text: str | None, automaton: Automaton) -> list[tuple[int, float, int, bool]]:
@@ -198,8 +200,8 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, l2: float = 0.05, steps: int = 60
 
 
 class Model:
-    def __init__(self, terms: dict[str, float], weights: list[float]) -> None:
-        self.automaton, self.weights = Automaton(terms), weights
+    def __init__(self, terms: dict[str, float], weights: list[float], automaton: Automaton | None = None) -> None:
+        self.automaton, self.weights = automaton or Automaton(terms), weights
         self.terms = terms
 
     def scores(self, texts: list) -> list[float]:
@@ -209,6 +211,13 @@ class Model:
         return (1 / (1 + np.exp(-np.clip(z, -30, 30)))).tolist()
 
 
+def _sketches(text: str) -> tuple[int, int]:
+    """The smallest hashes of the text's five-word runs under two seeds: near copies mostly share one of them."""
+    words = text.lower().split()
+    runs = [" ".join(words[i : i + 5]) for i in range(max(1, len(words) - 4))]
+    return tuple(min(xxhash.xxh64_intdigest(r, seed) for r in runs) >> 1 for seed in (1, 2))
+
+
 def _word_counts(sample: DataFrame) -> DataFrame:
     """(word, t, n): toxic and other documents that hold it, counted in each task before the shuffle."""
     out = T._parse_datatype_string("word string, t long, n long")
@@ -289,8 +298,17 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     total = marks.count()
     share = min(1.0, sample / max(1, total))
     picked = marks.where(F.pmod(F.xxhash64("doc_id", F.lit(8)), F.lit(1 << 20)) < int(share * (1 << 20)) + 1)
-    rows = docs.select(docs[id_col].alias("doc_id"), common.text_or_empty(text_col).alias("text")).join(picked, "doc_id").select("text", "toxic")
-    rows = common.cut(rows)
+    rows = docs.select(docs[id_col].alias("doc_id"), common.text_or_empty(text_col).alias("text")).join(picked, "doc_id")
+
+    def sketched(cols: dict) -> dict:
+        made = [_sketches(t) for t in cols["text"]]
+        return cols | {"k1": [m[0] for m in made], "k2": [m[1] for m in made]}
+
+    kinds = {c: rows.schema[c].dataType.simpleString() for c in ("doc_id", "toxic")}
+    rows = common.cut(common.map_columns(rows, ["doc_id", "text", "toxic"], sketched, f"doc_id {kinds['doc_id']}, text string, toxic {kinds['toxic']}, k1 long, k2 long"))
+    # of rows that share a sketch the one with the smallest id stays
+    firsts = rows.groupBy("k1").agg(F.min("doc_id").alias("doc_id"), F.min_by("k2", "doc_id").alias("k2")).groupBy("k2").agg(F.min("doc_id").alias("doc_id"))
+    rows = common.cut(rows.join(firsts.select("doc_id"), "doc_id", "left_semi").select("text", "toxic"))
     sizes = {r.toxic: r.n for r in rows.groupBy((F.col("toxic") > 0).cast("int").alias("toxic")).agg(F.count(F.lit(1)).alias("n")).collect()}
     toxic, clean = sizes.get(1, 0), sizes.get(0, 0)
     if not toxic or not clean:
@@ -304,7 +322,15 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     # few pass: candidates must be mostly toxic, and they come from a bounded sample
     counts = [(r.term, r.t, r.n) for r in terms.where((F.col("t") >= 3) & (F.col("t") > 1.5 * F.col("n"))).collect()]
     chosen = choose_terms(counts, support, toxic, clean)
-    shared = docs.sparkSession.sparkContext.broadcast(Automaton(chosen))
+    plain = docs.sparkSession.sparkContext.broadcast(Automaton(chosen))
+
+    def near(cols: dict) -> dict:
+        return {"word": cols["word"], "edits": [plain.value.match(w)[1] if plain.value.head(w[:4]) else 0 for w in cols["word"]]}
+
+    usual = words.where((F.col("n") >= 2) & (F.col("t") < F.col("n")))
+    usual = common.map_columns(usual, ["word"], near, "word string, edits int", text=None).where("edits > 0")
+    innocent = frozenset(r.word for r in usual.collect())  # words of the bounded sample, one edit from a term
+    shared = docs.sparkSession.sparkContext.broadcast(Automaton(chosen, innocent=innocent))
 
     def run(cols: dict) -> dict:
         made = [evidence(hits_of(t, shared.value)) for t in cols["text"]]
@@ -313,7 +339,7 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     kind = rows.schema["toxic"].dataType.simpleString()
     got = common.map_columns(rows, ["text", "toxic"], run, f"toxic {kind}, x double, y double").toPandas()  # about `sample` rows of numbers
     weights = fit_logistic(_features(list(zip(got.x, got.y, strict=True))), (got.toxic > 0).to_numpy(float))
-    return Model(chosen, weights.tolist())
+    return Model(chosen, weights.tolist(), Automaton(chosen, innocent=innocent))
 
 
 def score(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text") -> DataFrame:
