@@ -95,7 +95,7 @@ def oracle(threshold: float = 0.8) -> str:
     """DuckDB SQL for scan() over documents: every unit against every template, without size bounds."""
     rows = ",\n".join(f"({i}, '{name}', [{', '.join(repr(g) for g in bigrams_of(text))}])" for i, (name, text) in enumerate(TEMPLATES))
     return f"""
-WITH templates(at, name, grams) AS (VALUES {rows}),
+WITH templates(pos, name, grams) AS (VALUES {rows}),
 units AS (
   SELECT doc_id, unnest(list_distinct(list_concat(string_split(coalesce(text, ''), chr(10)),
          list_concat(regexp_split_to_array(coalesce(text, ''), '\\n[ \\t]*\\n'), [coalesce(text, '')])))) AS unit
@@ -105,11 +105,11 @@ worded AS (
 grammed AS (
   SELECT doc_id, list_distinct([words[i] || ' ' || words[i + 1] for i in generate_series(1, len(words) - 1)]) AS grams FROM worded WHERE len(words) > 1),
 scored AS (
-  SELECT g.doc_id, t.at, t.name, 2.0 * len(list_intersect(g.grams, t.grams)) / (len(g.grams) + len(t.grams)) AS dice,
-         row_number() OVER (PARTITION BY g.doc_id, g.grams ORDER BY 2.0 * len(list_intersect(g.grams, t.grams)) / (len(g.grams) + len(t.grams)) DESC, t.at) AS place,
+  SELECT g.doc_id, t.pos, t.name, 2.0 * len(list_intersect(g.grams, t.grams)) / (len(g.grams) + len(t.grams)) AS dice,
+         row_number() OVER (PARTITION BY g.doc_id, g.grams ORDER BY 2.0 * len(list_intersect(g.grams, t.grams)) / (len(g.grams) + len(t.grams)) DESC, t.pos) AS place,
          g.grams
   FROM grammed g JOIN templates t ON len(g.grams) <= 400),
-hits AS (SELECT doc_id, at, name, dice FROM scored WHERE place <= 1 AND dice >= {threshold}),
-best AS (SELECT doc_id, arg_max(name, dice * 1e6 - at) AS license, max(dice) AS dice, count(*) AS n FROM hits GROUP BY doc_id)
+hits AS (SELECT doc_id, pos, name, dice FROM scored WHERE place <= 1 AND dice >= {threshold}),
+best AS (SELECT doc_id, arg_max(name, dice * 1e6 - pos) AS license, max(dice) AS dice, count(*) AS n FROM hits GROUP BY doc_id)
 SELECT d.doc_id, b.license, CAST(coalesce(round(b.dice, 6), 0) AS DOUBLE) AS dice, CAST(coalesce(b.n, 0) AS BIGINT) AS n_matches
 FROM documents d LEFT JOIN best b ON d.doc_id = b.doc_id"""

@@ -5,8 +5,8 @@ at twice its source's words and the excess is shared again by weight. Rates: of
 expected words meet the targets, those closest to 1 in relative entropy, sum of r*log(r) - r, are
 r = min(2, exp(lambda_s * size / mean size)): each source's multiplier solves a convex dual whose gradient and curvature
 are sums over its documents, so one Newton step for all sources is one grouped sum. Steps that leave the bracket are
-halved into it. Rounding: documents of a source in order of size, their fractional rates summed up; a document gets its
-extra copy where the running sum passes a whole number. The words taken thus miss the target by about one document.
+halved into it. Rounding: documents of a source in order of size, their fractional rates summed up; an extra copy is given
+where the running sum passes a whole number, and what is then missing, about one large document, is settled with smaller ones.
 
 Rates depend on size alone, so the Newton steps run on counts by (source, size) and never on the documents.
 
@@ -24,6 +24,7 @@ from . import common
 WEIGHTS = (3, 1, 2)
 SHARE, MOST = 1.5, 2.0
 STEPS, TOLERANCE = 40, 1e-9
+SETTLE = 5
 #: One window partition of the rounding holds the rows of a source and size whose ids share a hash modulo this.
 SALTS = 64
 
@@ -80,9 +81,9 @@ def multipliers(cells: DataFrame, goals: DataFrame, most: float = MOST, steps: i
 
 
 def rates(docs: DataFrame, source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> tuple[DataFrame, DataFrame]:
-    """Cells (source, size, salt, n, rate, before) and the sources' sizes and targets.
+    """Cells (source, size, salt, rate, cell, extra, ahead) and the sources' sizes and targets.
 
-    before is the sum of fractional rates of the documents ahead, in order of (size, salt)."""
+    cell documents share source and size, extra of them get one copy more, and ahead of them have a smaller salt."""
     sized = docs.select(F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(docs).alias("salt"))
     salted = common.cut(sized.groupBy("source", "size", "salt").agg(F.count(F.lit(1)).alias("n")))
     cells = common.cut(salted.groupBy("source", "size").agg(F.sum("n").alias("n")))
@@ -94,14 +95,35 @@ def rates(docs: DataFrame, source_col: str = "source", text_col: str = "text", w
     goal = goals.select(F.col("source").alias("__g"), "target", (F.col("target") >= most * F.col("source_size") * (1 - 1e-12)).alias("full"))
     at = cells.join(lam, cells.source.eqNullSafe(lam["__l"]), "left").join(goal, cells.source.eqNullSafe(goal["__g"]), "left")
     rate = F.when(F.col("size") == 0, 0.0).when(F.col("full"), float(most)).otherwise(F.coalesce(F.exp(F.least(F.col("lam") * F.col("size") / F.col("mean"), F.log(F.lit(float(most))))), F.lit(0.0)))
-    at = at.select("source", "size", "n", rate.alias("rate"))
-    part = F.col("rate") - F.floor("rate")
-    # prefix sums over cells of a source: one row a distinct size
-    before = F.coalesce(F.sum(F.col("n") * part).over(Window.partitionBy("source").orderBy("size").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0))
-    firsts = common.cut(at.select(F.col("source").alias("__c"), F.col("size").alias("__n"), "rate", before.alias("start")))
+    cells = common.cut(_rounded(at.select("source", "size", "n", "target", rate.alias("rate"))))
+    firsts = cells.select(F.col("source").alias("__c"), F.col("size").alias("__n"), "rate", "extra", F.col("n").alias("cell"))
     inner = F.coalesce(F.sum("n").over(Window.partitionBy("source", "size").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     placed = salted.withColumn("ahead", inner).join(firsts, salted.source.eqNullSafe(firsts["__c"]) & (salted["size"] == firsts["__n"]))
-    return placed.select("source", "size", "salt", "n", "rate", (F.col("start") + F.col("ahead") * part).alias("before")), goals
+    return placed.select("source", "size", "salt", "rate", "cell", "extra", "ahead"), goals
+
+
+def _rounded(cells: DataFrame) -> DataFrame:
+    """Cells (source, size, n, target, rate) with extra: how many of the cell's documents get a copy above floor(rate).
+
+    First by the running sum of fractional rates over a source's cells in order of size; what then is missing to the target,
+    at most about one large document, is settled in rounds with documents of the size nearest to it."""
+    base, part = F.floor("rate"), F.col("rate") - F.floor("rate")
+    ahead = Window.partitionBy("source").orderBy("size").rowsBetween(Window.unboundedPreceding, -1)
+    whole = Window.partitionBy("source")
+    before = F.coalesce(F.sum(F.col("n") * part).over(ahead), F.lit(0.0))
+    rows = cells.withColumn("k", F.floor(before + F.col("n") * part + 0.5) - F.floor(before + 0.5))
+    rows = rows.withColumn("k", F.least(F.greatest(F.col("k"), F.lit(0)), F.when(part > 0, F.col("n")).otherwise(0)))
+    for _ in range(SETTLE):
+        missing = F.col("target") - F.sum((F.col("n") * base + F.col("k")) * F.col("size")).over(whole)
+        rows = rows.withColumn("missing", missing)
+        room = F.when(F.col("missing") > 0, F.when(part > 0, F.col("n") - F.col("k")).otherwise(0)).otherwise(F.col("k"))
+        rows = rows.withColumn("room", room)
+        gap = F.abs("missing")
+        fits = (F.col("room") > 0) & (F.col("size") > 0) & (F.col("size") < 2 * gap)
+        rows = rows.withColumn("best", F.min(F.when(fits, F.struct(F.abs(gap - F.col("size")), "size"))).over(whole)["size"])
+        moved = F.least(F.col("room"), F.greatest(F.lit(1), F.floor(gap / F.greatest("size", F.lit(1))))) * F.signum("missing").cast("long")
+        rows = rows.withColumn("k", F.col("k") + F.when(F.col("size") == F.col("best"), moved).otherwise(0))
+    return rows.select("source", "size", "n", "rate", F.col("k").cast("long").alias("extra"))
 
 
 def _salt(docs: DataFrame, id_col: str = "doc_id"):
@@ -111,16 +133,14 @@ def _salt(docs: DataFrame, id_col: str = "doc_id"):
 def mix(docs: DataFrame, keep: list[str], id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
     """The keep columns, size, source_size, target, rate and copies (0, 1 or 2) for each row of docs."""
     placed, goals = rates(docs, source_col, text_col, weights, share, most)
-    placed = common.cut(placed).select(F.col("source").alias("__s"), F.col("size").alias("__n"), F.col("salt").alias("__t"), "rate", "before")
+    placed = common.cut(placed).select(F.col("source").alias("__s"), F.col("size").alias("__n"), F.col("salt").alias("__t"), "rate", "cell", "extra", "ahead")
     goals = goals.select(F.col("source").alias("__g"), "source_size", "target")
     shown = {c: f"__k{i}" for i, c in enumerate(keep)}
     rows = docs.select(*[F.col(c).alias(k) for c, k in shown.items()], F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(docs, id_col).alias("salt"), F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("__id"))
     rows = rows.join(placed, rows.source.eqNullSafe(placed["__s"]) & (rows["size"] == placed["__n"]) & (rows.salt == placed["__t"]))
     number = F.row_number().over(Window.partitionBy("source", "size", "salt").orderBy("__id"))
-    part = F.col("rate") - F.floor("rate")
-    end = F.col("before") + number * part
-    extra = F.floor(end + 0.5) - F.floor(end - part + 0.5)
-    rows = rows.withColumn("copies", (F.floor("rate") + F.when(part > 0, extra).otherwise(0)).cast("long"))
-    rows = rows.withColumn("copies", F.least(F.greatest("copies", F.lit(0)), F.lit(int(most))))
+    at = F.col("ahead") + number  # 1 to cell; the extra copies are spread evenly over these numbers
+    step = lambda i: F.floor(i * F.col("extra") / F.col("cell"))
+    rows = rows.withColumn("__at", at).withColumn("copies", (F.floor("rate") + step(F.col("__at")) - step(F.col("__at") - 1)).cast("long"))
     out = rows.join(goals, rows.source.eqNullSafe(goals["__g"]))
     return out.select(*[F.col(k).alias(c) for c, k in shown.items()], F.col("size"), "source_size", "target", "rate", "copies")
