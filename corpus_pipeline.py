@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from joinlearn.llm import common, decontam, mixing, sharding, simhash, toxicity
 
@@ -12,7 +11,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the toxicity model rejects go. It learns from labelled rows of docs outside the held-out third."""
     marks = common.table(spark, sf_dir, "labels").where(common.crc_mod("doc_id", 3) != 1)
     model = toxicity.learn(docs, marks)
-    return toxicity.score(docs, model, docs.columns).where(F.col("score") < toxicity.THRESHOLD).select(*docs.columns)
+    return toxicity.accepted(docs, model)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -25,8 +24,7 @@ def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Each row as often as the mix takes it."""
-    rows = mixing.mix(docs, docs.columns)
-    return rows.select(*docs.columns, F.explode(F.array_repeat(F.lit(0), F.col("copies").cast("int"))).alias("__copy")).drop("__copy")
+    return mixing.replicated(docs)
 
 
 def shard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

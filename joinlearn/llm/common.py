@@ -59,6 +59,20 @@ def word_count(name: str = "text") -> Column:
     return F.length(F.regexp_replace(F.regexp_replace(text_or_empty(name), WORD_PATTERN, "\u0001"), r"[\x20\x09-\x0D]+", "")).cast("long")
 
 
+def named(keep: list[str] | dict[str, str]) -> dict[str, str]:
+    """Columns to carry along and the names they get; a list keeps its names."""
+    return keep if isinstance(keep, dict) else {c: c for c in keep}
+
+
+def masked(df: DataFrame) -> dict[str, str]:
+    """All columns under names that no operator uses, for results that must not clash with them."""
+    return {c: f"__in{i}" for i, c in enumerate(df.columns)}
+
+
+def unmasked(df: DataFrame, names: dict[str, str]) -> DataFrame:
+    return df.select(*[F.col(k).alias(c) for c, k in names.items()])
+
+
 def _runs(batch: pa.RecordBatch, text_at: int | None) -> Iterator[pa.RecordBatch]:
     if text_at is None or batch.num_rows == 0:
         yield batch

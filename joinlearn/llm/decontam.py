@@ -173,10 +173,10 @@ def blocks_of(benchmark: DataFrame, id_col: str = "item_id", text_col: str = "te
 RESULT = "n_words long, spans array<struct<start:long,end:long>>, items array<string>, longest array<struct<item:string,start:long,words:long>>"
 
 
-def contaminated(docs: DataFrame, benchmark: DataFrame, keep: list[str] | None = None, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW) -> DataFrame:
+def contaminated(docs: DataFrame, benchmark: DataFrame, keep: list[str] | dict[str, str] | None = None, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW) -> DataFrame:
     """keep columns (the id if not given) with n_words, spans of hit words, items and longest matches, for each row of docs."""
     spark = docs.sparkSession
-    keep = keep or [id_col]
+    keep = common.named(keep or [id_col])
     carried = "__text"
     shown = {c: f"k{i}" for i, c in enumerate(keep)}
     kinds = [f"k{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(keep)]
@@ -207,7 +207,7 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, keep: list[str] | None =
 
         picked = [*(docs[c].alias(k) for c, k in shown.items()), docs[text_col].cast("string").alias(carried)]
         out = common.map_columns(docs, picked, every, ", ".join([*kinds, RESULT]), text=carried)
-    return out.select(*[F.col(k).alias(c) for c, k in shown.items()], "n_words", "spans", "items", "longest")
+    return out.select(*[F.col(k).alias(keep[c]) for c, k in shown.items()], "n_words", "spans", "items", "longest")
 
 
 def _merged(spans: list[dict]) -> list[dict]:
@@ -222,8 +222,8 @@ def _merged(spans: list[dict]) -> list[dict]:
 
 def remove(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW) -> DataFrame:
     """docs without the rows that hold a window of the benchmark; all columns as they came."""
-    names = docs.columns
-    return contaminated(docs, benchmark, names, id_col, text_col, window).where(F.size("spans") == 0).select(*names)
+    names = common.masked(docs)
+    return common.unmasked(contaminated(docs, benchmark, names, id_col, text_col, window).where(F.size("spans") == 0), names)
 
 
 def items_digest(items: list[str]) -> str:

@@ -56,7 +56,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", thresh
     """(doc_id, license, dice, n_matches): the best template over all units of the text, and how many units match any."""
     sets = [(name, bigrams_of(text)) for name, text in (templates or TEMPLATES)]
     text = common.text_or_empty(text_col)
-    least = threshold / (2 - threshold)
+    least = threshold / (2 - threshold) * (1 - 1e-9)  # a hair lower, so that rounding cannot prune an exact tie
     floor, ceiling = least * min(len(b) for _, b in sets), max(len(b) for _, b in sets) / least
     units = F.array_distinct(F.concat(F.split(text, "\n"), F.split(text, r"\n[ \t]*\n"), F.array(text)))
 

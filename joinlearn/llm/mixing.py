@@ -130,7 +130,7 @@ def _salt(docs: DataFrame, id_col: str = "doc_id"):
     return F.pmod(F.xxhash64(F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.lit(3)), F.lit(SALTS))
 
 
-def mix(docs: DataFrame, keep: list[str], id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
+def mix(docs: DataFrame, keep: list[str] | dict[str, str], id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
     """The keep columns, size, source_size, target, rate and copies (0, 1 or 2) for each row of docs."""
     placed, goals = rates(docs, source_col, text_col, weights, share, most)
     placed = common.cut(placed).select(F.col("source").alias("__s"), F.col("size").alias("__n"), F.col("salt").alias("__t"), "rate", "cell", "extra", "ahead")
@@ -143,4 +143,13 @@ def mix(docs: DataFrame, keep: list[str], id_col: str = "doc_id", source_col: st
     step = lambda i: F.floor(i * F.col("extra") / F.col("cell"))
     rows = rows.withColumn("__at", at).withColumn("copies", (F.floor("rate") + step(F.col("__at")) - step(F.col("__at") - 1)).cast("long"))
     out = rows.join(goals, rows.source.eqNullSafe(goals["__g"]))
-    return out.select(*[F.col(k).alias(c) for c, k in shown.items()], F.col("size"), "source_size", "target", "rate", "copies")
+    names = common.named(keep)
+    return out.select(*[F.col(k).alias(names[c]) for c, k in shown.items()], F.col("size"), "source_size", "target", "rate", "copies")
+
+
+def replicated(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
+    """docs with each row as often as the mix takes it; all columns as they came."""
+    names = common.masked(docs)
+    rows = mix(docs, names, id_col, source_col, text_col, weights, share, most)
+    rows = rows.select(*names.values(), F.explode(F.array_repeat(F.lit(0), F.col("copies").cast("int"))).alias("__copy"))
+    return common.unmasked(rows, names)

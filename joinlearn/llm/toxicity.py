@@ -342,7 +342,7 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     return Model(chosen, weights.tolist(), Automaton(chosen, innocent=innocent))
 
 
-def score(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text") -> DataFrame:
+def score(docs: DataFrame, model: Model, keep: list[str] | dict[str, str], text_col: str = "text") -> DataFrame:
     """The keep columns and score for each row; the model (its lexicon is bounded by the sample) is broadcast."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     shown = {c: f"k{i}" for i, c in enumerate(keep)}
@@ -353,4 +353,11 @@ def score(docs: DataFrame, model: Model, keep: list[str], text_col: str = "text"
 
     schema = ", ".join([*(f"{k} {docs.schema[c].dataType.simpleString()}" for c, k in shown.items()), "score double"])
     out = common.map_columns(docs, [*(docs[c].alias(k) for c, k in shown.items()), docs[text_col].cast("string").alias("__text")], run, schema, text="__text")
-    return out.select(*[F.col(k).alias(c) for c, k in shown.items()], "score")
+    names = common.named(keep)
+    return out.select(*[F.col(k).alias(names[c]) for c, k in shown.items()], "score")
+
+
+def accepted(docs: DataFrame, model: Model, threshold: float = THRESHOLD, text_col: str = "text") -> DataFrame:
+    """docs without the rows whose score reaches the threshold; all columns as they came."""
+    names = common.masked(docs)
+    return common.unmasked(score(docs, model, names, text_col).where(F.col("score") < threshold), names)
