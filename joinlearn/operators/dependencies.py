@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from ..functions.layout import FeatureLayout
 from ..functions.models import FactorizationMachine, Linear
-from ..functions.penalties import Merged, Woodbury
+from ..functions.penalties import DenseD, Merged, Woodbury
 from ..plans.monomials import Monomial, variable
 from ..plans.query import FeatureQuery
 
@@ -130,6 +130,32 @@ def merged_penalty(model: Linear, dependency: Dependency, groups: dict[str, np.n
     return Merged(model.width, parts, intercept)
 
 
+def merged_penalty_of_all(model: Linear, dependencies: list[tuple[Dependency, dict[str, np.ndarray]]], intercept: bool = True) -> Merged:
+    """The penalty after several dependencies with different determinants. Each rules its own blocks; in the product block of
+    two determinants u and v, D is the element-wise product of the two agreement counts over the pairs that occur."""
+    parts: list[tuple[np.ndarray, object]] = []
+    dets = {d.determinant: g for d, g in dependencies}
+    crossed = [m for m in model.h if sum(c in dets for c in m.cats) == 2]
+    taken = {i for m in crossed for i in range(model.layout.offset[m], model.layout.offset[m] + model.layout.size[m])}
+    for d, groups in dependencies:
+        parts += [(p, s) for p, s in merged_penalty(model, d, groups, intercept).parts if not len(p) or int(p[0]) not in taken]
+    lay = model.layout
+    for m in crossed:
+        at = lay.positions(m.cats, m.cats)
+        agree = np.ones((lay.size[m], lay.size[m]))
+        for c in m.cats:
+            level = np.empty(len(at), np.int64)
+            level[at] = lay.positions(m.cats, (c,))
+            same = (level[:, None] == level[None, :]).astype(float)
+            for g in dets[c].values():
+                same += g[level][:, None] == g[level][None, :]
+            agree *= same
+        solver = DenseD([np.arange(lay.size[m])], 0.0)
+        solver.d = agree
+        parts.append((np.arange(lay.size[m]) + lay.offset[m], solver))
+    return Merged(model.width, parts, intercept)
+
+
 class _ByContext:
     """Woodbury systems of the contexts of one product block, each over the determinant levels that occur in it."""
 

@@ -214,6 +214,18 @@ def moments(query: FeatureQuery, monomials: list[Monomial], order: VariableOrder
     return Moments(query, tables, kept, time.time() - began, f"{strategy}/{kernel}")
 
 
+def entry_counts(query: FeatureQuery, monomials: list[Monomial], order: VariableOrder | None = None) -> tuple[int, int]:
+    """Scalar and grouped aggregates that moments() would hold, from the occurring key combinations alone."""
+    groups = by_keys(monomials)
+    found = moments(query, [Monomial((), k) for k in groups], order, kernel="arrow", eager=False)
+    return len(groups.get((), ())), sum(len(found.tables[k]) * len(ms) for k, ms in groups.items() if k)
+
+
+def rolled_up(finer: DataFrame, keys: list[str], sums: list[str]) -> DataFrame:
+    """A coarser key set's view from a finer one: sums of sums."""
+    return finer.groupBy(*keys).agg(*[F.sum(c).alias(c) for c in sums])
+
+
 def long_table(roots: Roots) -> DataFrame:
     """(monomial STRING, keys MAP<STRING,STRING>, value DOUBLE): all entries as one table, nothing collected."""
     parts = []

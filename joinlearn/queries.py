@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from . import sqltext, workloads
+from . import experiments, sqltext, workloads
 from .baselines import design, least_squares, stochastic
 from .functions import bgd as solver
 from .functions.layout import FeatureLayout, SigmaIndex
@@ -700,6 +700,57 @@ def census_relation(spark, sf_dir):
     return workloads.census(spark, sf_dir)
 
 
+@query("SELECT o_orderstatus, CAST(count(*) FILTER (WHERE l_returnflag = 'A') AS BIGINT) AS a, CAST(count(*) FILTER (WHERE l_returnflag = 'N') AS BIGINT) AS n, CAST(count(*) FILTER (WHERE l_returnflag = 'R') AS BIGINT) AS r FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
+def pivot_counts(spark, sf_dir):
+    rel = workloads.star_relations(spark, sf_dir)
+    rows = rel["lineitem"].join(rel["orders"], "orderkey").groupBy("o_orderstatus").pivot("l_returnflag", ["A", "N", "R"]).count()
+    return rows.select("o_orderstatus", *[F.coalesce(F.col(c), F.lit(0)).alias(c.lower()) for c in "ANR"])
+
+
+@query(f"WITH {sqltext.STAR.format(where='')} SELECT p_brand, CAST(count(*) AS DOUBLE) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS DOUBLE) AS quantity FROM star GROUP BY 1")
+def rolled_up_view(spark, sf_dir):
+    """A coarser view from a finer one."""
+    from .operators.moments import rolled_up
+
+    q, order = workloads.star(spark, sf_dir, "W2", True, continuous=(), categorical=("p_brand", "p_type"))
+    both = ("p_brand", "p_type")
+    (_, _, finer), = lower(q, [Monomial((), both), Monomial((("l_quantity", 1),), both)], order, eager=False)
+    out = rolled_up(finer, ["p_brand"], ["m0", "m1"])
+    return out.select("p_brand", F.col("m0").cast("double").alias("n"), F.col("m1").cast("double").alias("quantity"))
+
+
+@query("SELECT monomial, CAST(sum(value) AS DOUBLE) AS value FROM (SELECT unnest([{'monomial': '1', 'value': 1}, {'monomial': 'q', 'value': q}, {'monomial': 'q^2', 'value': q * q}, {'monomial': 'q*s', 'value': q * s}, {'monomial': 's', 'value': s}, {'monomial': 's^2', 'value': s * s}], recursive := true) FROM (SELECT CAST(l_quantity AS BIGINT) AS q, CAST(p_size AS BIGINT) AS s FROM lineitem JOIN part ON l_partkey = p_partkey)) GROUP BY 1")
+def expanded_monomials(spark, sf_dir):
+    from .functions.scoring import expand
+
+    rel = workloads.star_relations(spark, sf_dir)
+    rows = rel["lineitem"].join(rel["part"], "partkey")
+    each = rows.select(F.explode(expand([("q", F.col("l_quantity")), ("s", F.col("p_size"))])).alias("e")).select("e.*")
+    return each.groupBy("monomial").agg(F.sum("value").alias("value"))
+
+
+@query("SELECT c_custkey, CAST(ntile(4) OVER w AS INTEGER) AS quarter, CAST(rank() OVER w AS INTEGER) AS place, round(percent_rank() OVER w, 9) AS share FROM customer WINDOW w AS (PARTITION BY c_mktsegment ORDER BY c_acctbal, c_custkey)")
+def window_ranks(spark, sf_dir):
+    c = table(spark, sf_dir, "customer")
+    w = Window.partitionBy("c_mktsegment").orderBy("c_acctbal", "c_custkey")
+    return c.select("c_custkey", F.ntile(4).over(w).alias("quarter"), F.rank().over(w).alias("place"), F.round(F.percent_rank().over(w), 9).alias("share"))
+
+
+for _name in ("rows_and_categories", "strategies", "sharing", "onehot_against_sparse", "degree_two_entries", "epoch_against_descent", "minibatch_sizes"):
+    QUERIES[f"experiment_{_name}"] = getattr(experiments, _name)
+
+
+@query()
+def fm_scores(spark, sf_dir):
+    """Vectorised factor scoring of the join's rows."""
+    from .functions.scoring import fm_scores as score
+
+    q, order = workloads.star(spark, sf_dir, "W1", False, SMALL_CONT, SMALL_CATS)
+    model = FactorizationMachine(q, 4)
+    model.attach(SigmaIndex(FeatureLayout(moments(q, aggregate_monomials(model.h, q.response), order, eager=False), model.h)))
+    return score(model, model.start(0), q.listing())
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return dict(QUERIES)
 

@@ -185,3 +185,40 @@ def test_distributed_matvec(star, spark):
     gdf = spark.createDataFrame([(i, float(x)) for i, x in enumerate(g)], "i long, value double")
     got = {r.i: r.value for r in predict.matvec_table(predict.sigma_table(model.sigma, spark), gdf).collect()}
     assert np.allclose([got[i] for i in range(model.width)], model.sigma.matvec(g))
+
+
+def test_several_dependencies(spark):
+    rng = np.random.default_rng(9)
+    import pandas as pd
+
+    from joinlearn.plans.query import FeatureQuery
+
+    u = pd.DataFrame({"u": range(8), "ua": rng.integers(0, 3, 8), "ub": rng.integers(0, 2, 8)})
+    v = pd.DataFrame({"v": range(6), "va": rng.integers(0, 2, 6)})
+    f = pd.DataFrame({"u": rng.integers(0, 8, 150), "v": rng.integers(0, 6, 150), "y": rng.normal(size=150)})
+    rel = {n: spark.createDataFrame(d.astype({c: int for c in d.columns if c != "y"})) for n, d in (("f", f), ("du", u), ("dv", v))}
+    q = FeatureQuery(rel, (), ("u", "ua", "ub", "v", "va"), "y")
+    deps = [fd.Dependency("u", ("ua", "ub")), fd.Dependency("v", ("va",))]
+    r = fd.reduce_query(q, deps)
+    full, small = fitted(q, None, Linear(q, 2)), fitted(r, None, Linear(r, 2))
+    pen = fd.merged_penalty_of_all(small, [(d, fd.groupings(q, d, small.layout)) for d in deps])
+    a, b = solve_exact(full, LAM), solve_exact(small, LAM, pen)
+    assert np.isclose(objective(small, b, LAM, pen), objective(full, a, LAM, Ridge(full.width)), rtol=1e-8)
+
+
+def test_factor_scoring_matches_the_join_form(star):
+    from joinlearn.functions.scoring import fm_scores
+
+    q, order = star
+    model = fitted(q, order, FactorizationMachine(q, 3))
+    theta = np.random.default_rng(3).normal(0, 0.2, model.width)
+    got = fm_scores(model, theta, predict.predict(model, theta, q.listing(), "by_join"), "by_factors").select("by_join", "by_factors").toPandas()
+    assert np.allclose(got.by_join, got.by_factors)
+
+
+@pytest.mark.parametrize("workload,pr2", [("W1", 311499), ("W4F", 450172)])
+def test_degree_two_entry_counts(spark, sf, workload, pr2):
+    from joinlearn.operators.moments import entry_counts
+
+    q, order = workloads.star(spark, sf, workload)
+    assert entry_counts(q, q.aggregates(2), order) == (541, pr2)

@@ -111,3 +111,10 @@ def test_limit_names_the_key_set(spark, sf):
     with pytest.raises(MemoryError, match="l_returnflag"):
         moments(q, q.aggregates(1), order, kernel="sql", limit=3)
     assert ONE == Monomial()
+
+
+def test_cyclic_bag(spark):
+    rng = np.random.default_rng(2)
+    frame = lambda cols: spark.createDataFrame(pd.DataFrame({c: rng.integers(0, 5, 40) for c in cols}))
+    q = FeatureQuery({"r": frame("ab"), "s": frame("bc"), "t": frame("ac")}, ("c",), ("a",), extra=("b",))
+    same(moments(q, q.aggregates(1), kernel="sql"), moments(q, q.aggregates(1), strategy="materialize", kernel="sql"))
