@@ -110,26 +110,31 @@ class Block:
     def search(self, documents: list[list[bytes]]) -> list[tuple[list[tuple[int, int]], list[str], list[tuple[str, int, int]]]]:
         """For each document: covered word spans, ids of items with occurring windows, maximal matches (item, start, words)."""
         get = self.vocabulary.get
-        found: list = []
+        # (document, first word, words): a document beyond a shard is cut into pieces that share window - 1 words
+        step = max(1, SHARD_WORDS - self.window + 1)
+        pieces = [(i, at, d[at : at + SHARD_WORDS] if len(d) > SHARD_WORDS else d) for i, d in enumerate(documents) for at in (range(0, max(1, len(d) - self.window + 1), step) if len(d) > SHARD_WORDS else (0,))]
+        places: dict[int, set[tuple[int, int]]] = {}
         start = 0
-        while start < len(documents):
+        while start < len(pieces):
             end, total = start, 0
-            while end < len(documents) and (end == start or total + len(documents[end]) <= SHARD_WORDS):
-                total += len(documents[end]) + 1
+            while end < len(pieces) and (end == start or total + len(pieces[end][2]) <= SHARD_WORDS):
+                total += len(pieces[end][2]) + 1
                 end += 1
-            shard = documents[start:end]
-            first = np.cumsum([0, *(len(d) + 1 for d in shard)])
+            shard = pieces[start:end]
+            first = np.cumsum([0, *(len(d) + 1 for _, _, d in shard)])
             ids = np.zeros(int(first[-1]), np.int64)
-            for d, at in zip(shard, first, strict=False):
+            for (_, _, d), at in zip(shard, first, strict=False):
                 ids[at : at + len(d)] = [get(w, 0) for w in d]
             query, place = self.find(ids)
-            by = np.argsort(place, kind="stable")
-            query, place = query[by], place[by]
-            bounds = np.searchsorted(place, first)
-            for k in range(len(shard)):
-                mine = slice(bounds[k], bounds[k + 1])
-                found.append(self._document(query[mine].tolist(), (place[mine] - first[k]).tolist()) if bounds[k] < bounds[k + 1] else ([], [], []))
+            owner = np.searchsorted(first, place, "right") - 1
+            for q, p, k in zip(query.tolist(), place.tolist(), owner.tolist(), strict=True):
+                i, offset, _ = shard[k]
+                places.setdefault(i, set()).add((p - int(first[k]) + offset, q))
             start = end
+        found: list = [([], [], [])] * len(documents)
+        for i, hits in places.items():
+            ordered = sorted(hits)
+            found[i] = self._document([q for _, q in ordered], [p for p, _ in ordered])
         return found
 
     def _document(self, query: list[int], place: list[int]) -> tuple[list, list, list]:

@@ -16,7 +16,7 @@ repeated rows are rounded one by one; sources without words have target 0; an em
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import common
@@ -25,8 +25,9 @@ WEIGHTS = (3, 1, 2)
 SHARE, MOST = 1.5, 2.0
 STEPS, TOLERANCE = 40, 1e-9
 SETTLE = 5
-#: One window partition of the rounding holds the rows of a source and size whose ids share a hash modulo this.
-SALTS = 64
+#: One window partition of the rounding holds the rows of a source and size whose ids share a hash modulo the salts:
+#: at least SALTS, and one for each SALT_ROWS rows of the table.
+SALTS, SALT_ROWS = 64, 1_000_000
 
 
 def targets(sources: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
@@ -80,11 +81,11 @@ def multipliers(cells: DataFrame, goals: DataFrame, most: float = MOST, steps: i
     return state.select("source", "lam", "mean")
 
 
-def rates(docs: DataFrame, source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> tuple[DataFrame, DataFrame]:
+def rates(docs: DataFrame, source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST, salts: int = SALTS, id_col: str = "doc_id") -> tuple[DataFrame, DataFrame]:
     """Cells (source, size, salt, rate, cell, extra, ahead) and the sources' sizes and targets.
 
     cell documents share source and size, extra of them get one copy more, and ahead of them have a smaller salt."""
-    sized = docs.select(F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(docs).alias("salt"))
+    sized = docs.select(F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(id_col, salts).alias("salt"))
     salted = common.cut(sized.groupBy("source", "size", "salt").agg(F.count(F.lit(1)).alias("n")))
     cells = common.cut(salted.groupBy("source", "size").agg(F.sum("n").alias("n")))
     totals = cells.groupBy("source").agg(F.sum(F.col("n") * F.col("size")).alias("source_size"), F.sum("n").alias("rows"))
@@ -126,17 +127,18 @@ def _rounded(cells: DataFrame) -> DataFrame:
     return rows.select("source", "size", "n", "rate", F.col("k").cast("long").alias("extra"))
 
 
-def _salt(docs: DataFrame, id_col: str = "doc_id"):
-    return F.pmod(F.xxhash64(F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.lit(3)), F.lit(SALTS))
+def _salt(id_col: str, salts: int) -> Column:
+    return F.pmod(F.xxhash64(F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.lit(3)), F.lit(salts))
 
 
 def mix(docs: DataFrame, keep: list[str] | dict[str, str], id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
     """The keep columns, size, source_size, target, rate and copies (0, 1 or 2) for each row of docs."""
-    placed, goals = rates(docs, source_col, text_col, weights, share, most)
+    salts = max(SALTS, docs.count() // SALT_ROWS)
+    placed, goals = rates(docs, source_col, text_col, weights, share, most, salts, id_col)
     placed = common.cut(placed).select(F.col("source").alias("__s"), F.col("size").alias("__n"), F.col("salt").alias("__t"), "rate", "cell", "extra", "ahead")
     goals = goals.select(F.col("source").alias("__g"), "source_size", "target")
     shown = {c: f"__k{i}" for i, c in enumerate(keep)}
-    rows = docs.select(*[F.col(c).alias(k) for c, k in shown.items()], F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(docs, id_col).alias("salt"), F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("__id"))
+    rows = docs.select(*[F.col(c).alias(k) for c, k in shown.items()], F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(id_col, salts).alias("salt"), F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("__id"))
     rows = rows.join(placed, rows.source.eqNullSafe(placed["__s"]) & (rows["size"] == placed["__n"]) & (rows.salt == placed["__t"]))
     number = F.row_number().over(Window.partitionBy("source", "size", "salt").orderBy("__id"))
     at = F.col("ahead") + number  # 1 to cell; the extra copies are spread evenly over these numbers

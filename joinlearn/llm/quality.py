@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import re
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -23,6 +24,23 @@ HOST_LIMIT, HOST_LEAST = 0.5, 20
 FEATURES = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
 
 
+#: From so many words on, windows are counted as numbers: tuples of all of them would fill an executor.
+LONG = 200_000
+
+
+def repeated_words(words: list[bytes]) -> int:
+    """How many words lie in a three-word window that occurs twice or more; by numbered pairs, then numbered triples."""
+    number: dict[bytes, int] = {}
+    ids = np.fromiter((number.setdefault(w, len(number)) for w in words), np.int64, len(words))
+    pair = np.unique(ids[:-1] * (len(number) + 1) + ids[1:], return_inverse=True)[1].astype(np.int64)
+    _, at, count = np.unique(pair[:-1] * (len(number) + 1) + ids[2:], return_inverse=True, return_counts=True)
+    hit = np.zeros(len(words), bool)
+    twice = count[at] > 1
+    for k in range(3):
+        hit[k : len(words) - 2 + k] |= twice
+    return int(hit.sum())
+
+
 def features(text: str | None) -> tuple[int, int, int, int, int]:
     """n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words of a whole text."""
     if not text:
@@ -38,7 +56,9 @@ def features(text: str | None) -> tuple[int, int, int, int, int]:
             elif line.strip(SPACES):
                 seen.add(line)
     repeated = 0
-    if n > 3:
+    if n >= LONG:
+        repeated = repeated_words(words)
+    elif n > 3:
         windows = list(zip(words, words[1:], words[2:], strict=False))
         first: dict[tuple, int] = {}
         if len(set(windows)) < len(windows):

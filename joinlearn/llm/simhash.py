@@ -35,15 +35,13 @@ def fingerprint(text: str | None, shingle: int = 3) -> int:
     words = text.encode("utf-8", "surrogatepass").translate(_FOLD).split() if text else []
     if not words:
         return 0
-    n = len(words) - shingle + 1
-    if n < 1:
-        parts, n = [b" ".join(words)], 1
-    else:
-        parts = list(map(b" ".join, zip(*(words[i:] for i in range(shingle)), strict=False)))
+    n = max(1, len(words) - shingle + 1)
     digest = xxhash.xxh64_intdigest
     set_bits = np.zeros(64, np.int64)
     for i in range(0, n, _CHUNK):
-        h = np.array([digest(p, 42) for p in parts[i : i + _CHUNK]], "<u8")
+        near = words[i : i + min(_CHUNK, n - i) + shingle - 1]  # shingles are made piece by piece, however long the text
+        parts = map(b" ".join, zip(*(near[k:] for k in range(shingle)), strict=False)) if len(near) >= shingle else [b" ".join(near)]
+        h = np.array([digest(p, 42) for p in parts], "<u8")
         set_bits += np.unpackbits(h.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
     return int(np.packbits(2 * set_bits > n, bitorder="little").view("<u8")[0])
 

@@ -261,7 +261,7 @@ def choose_terms(counts: list[tuple[str, int, int]], support: dict[int, int], to
         if p <= share:
             return False
         bound = m * (p * math.log(p / share) + ((1 - p) * math.log((1 - p) / (1 - share)) if p < 1 else 0.0))
-        return bound > math.log(at_least.get(min(m, top), 1) / chance) and p > max(0.6, 3 * share)
+        return bound > math.log(at_least.get(min(m, top), 1) / chance) and p > max(0.6, min(3 * share, (1 + share) / 2))
 
     good = {term: (t, n) for term, t, n in counts if passes(t, n)}
     children: dict[str, list[str]] = {}

@@ -65,3 +65,16 @@ def test_odd_rows(odd_docs, no_docs, spark):
     kept = decontam.remove(odd_docs, bench)
     assert kept.columns == odd_docs.columns and kept.count() == odd_docs.count() - 2
     assert decontam.remove(no_docs, bench).count() == 0 and decontam.remove(odd_docs, bench.limit(0)).count() == odd_docs.count()
+
+
+def test_documents_beyond_a_shard(monkeypatch):
+    import random
+
+    rng = random.Random(4)
+    items = [(str(i), " ".join(rng.choices("abcde", k=rng.choice([3, 9, 12, 15])))) for i in range(6)]
+    docs = [" ".join(rng.choices("abcde", k=n)) + " " + items[n % 6][1] for n in (5, 200, 90)]
+    monkeypatch.setattr(decontam, "SHARD_WORDS", 40)
+    got = decontam.Block(items).search([decontam.words_of(d) for d in docs])
+    for d, (spans, found, _) in zip(docs, got, strict=True):
+        n, hit, want = brute(d, items)
+        assert sum(b - a for a, b in spans) == hit and found == want

@@ -41,3 +41,11 @@ def test_clean_documents_stay(spark, sf01):
 
 def test_odd_rows(odd_docs, no_docs):
     assert quality.judge(odd_docs).count() == odd_docs.count() and quality.judge(no_docs).count() == 0
+
+
+def test_long_texts_count_alike():
+    import random
+
+    for seed in range(20):
+        ws = random.Random(seed).choices("abcd", k=60)
+        assert quality.repeated_words([w.encode() for w in ws]) == brute(" ".join(ws))[4]
