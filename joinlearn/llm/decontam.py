@@ -108,7 +108,7 @@ class Block:
         return query, order[first]
 
     def search(self, documents: list[list[bytes]]) -> list[tuple[list[tuple[int, int]], list[str], list[tuple[str, int, int]]]]:
-        """For each document: covered word spans, ids of items with occurring windows, maximal matches (item, start, words)."""
+        """For each document: covered word spans, ids of items with occurring windows, unbroken runs of windows of one item (item, start, words)."""
         get = self.vocabulary.get
         # (document, first word, words): a document beyond a shard is cut into pieces that share window - 1 words
         step = max(1, SHARD_WORDS - self.window + 1)
@@ -233,3 +233,22 @@ def remove(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_c
 
 def items_digest(items: list[str]) -> str:
     return hashlib.sha256(",".join(sorted(items)).encode()).hexdigest()
+
+
+def oracle(window: int = WINDOW) -> str:
+    """The query in SQL for DuckDB: windows as texts, equal ones joined, hits and runs counted as word positions."""
+    fold = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+    words = rf"regexp_extract_all({fold}, '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
+    return f"""WITH d AS MATERIALIZED (SELECT doc_id, {words} AS w FROM documents),
+b AS MATERIALIZED (SELECT coalesce(CAST(item_id AS VARCHAR), '') AS item, w, least({window}, len(w)) AS size FROM (SELECT item_id, {words} AS w FROM benchmark) WHERE len(w) > 0),
+item_windows AS MATERIALIZED (SELECT DISTINCT item, size, array_to_string(w[i : i + size - 1], ' ') AS g FROM (SELECT item, size, w, unnest(range(1, len(w) - size + 2)) AS i FROM b)),
+sizes AS (SELECT DISTINCT size FROM b),
+doc_windows AS (SELECT doc_id, size, i, array_to_string(w[i : i + size - 1], ' ') AS g FROM (SELECT doc_id, size, w, unnest(range(1, len(w) - size + 2)) AS i FROM d, sizes WHERE len(w) >= size)),
+met AS MATERIALIZED (SELECT DISTINCT doc_id, item, size, i FROM doc_windows JOIN item_windows USING (size, g)),
+hits AS (SELECT doc_id, count(*) AS n FROM (SELECT DISTINCT doc_id, unnest(range(i, i + size)) AS at FROM met) GROUP BY 1),
+items AS (SELECT doc_id, count(*) AS n, string_agg(item, ',' ORDER BY item) AS ids FROM (SELECT DISTINCT doc_id, item FROM met) GROUP BY 1),
+runs AS (SELECT doc_id, item, size, count(*) + size - 1 AS words FROM (SELECT *, i - row_number() OVER (PARTITION BY doc_id, item ORDER BY i) AS run FROM met) GROUP BY doc_id, item, size, run),
+longest AS (SELECT doc_id, max(words) AS words FROM runs GROUP BY 1)
+SELECT d.doc_id, CAST(len(d.w) AS BIGINT) AS n_words, CAST(coalesce(hits.n, 0) AS BIGINT) AS n_hit, CAST(coalesce(items.n, 0) AS BIGINT) AS n_items,
+ sha256(coalesce(items.ids, '')) AS items_sha256, coalesce(hits.n, 0) > 0 AS contaminated, CAST(coalesce(longest.words, 0) AS BIGINT) AS longest_match
+FROM d LEFT JOIN hits USING (doc_id) LEFT JOIN items USING (doc_id) LEFT JOIN longest USING (doc_id)"""

@@ -110,3 +110,23 @@ def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_
     hosts = common.cut(host_verdicts(rows, limit, least)).select(F.col("host").alias("__host"), "shrunk_rate", "host_kept")
     joined = rows.join(hosts, rows.host.eqNullSafe(hosts["__host"]), "left").drop("__host")
     return joined.withColumn("kept", ~F.col("base_failed") & F.col("host_kept"))
+
+
+def oracle(limit: float = HOST_LIMIT, least: int = HOST_LEAST) -> str:
+    """The query in SQL for DuckDB."""
+    blank = r"[\x20\x09-\x0D]"
+    word = r"[^\x20\x09-\x0D]"
+    return f"""WITH d AS MATERIALIZED (SELECT doc_id, source AS host, coalesce(text, '') AS t, regexp_extract_all(coalesce(text, ''), '{word}+') AS w FROM documents),
+lines AS (SELECT doc_id, count(*) - count(DISTINCT line) AS n FROM (SELECT doc_id, unnest(string_split(t, chr(10))) AS line FROM d) WHERE regexp_matches(line, '{word}') GROUP BY 1),
+windows AS MATERIALIZED (SELECT doc_id, i, array_to_string(w[i : i + 2], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 1)) AS i FROM d)),
+repeated AS (SELECT doc_id, count(*) AS n FROM (SELECT DISTINCT doc_id, unnest(range(i, i + 3)) AS at FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, g) AS times FROM windows) WHERE times > 1) GROUP BY 1),
+f AS MATERIALIZED (SELECT doc_id, host, CAST(len(w) AS BIGINT) AS n_words, CAST(length(regexp_replace(t, '{blank}', '', 'g')) AS BIGINT) AS word_chars,
+ CAST(length(t) - length(regexp_replace(t, '[#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, CAST(coalesce(lines.n, 0) AS BIGINT) AS n_dup_lines, CAST(coalesce(repeated.n, 0) AS BIGINT) AS n_repeat_words
+ FROM d LEFT JOIN lines USING (doc_id) LEFT JOIN repeated USING (doc_id)),
+j AS MATERIALIZED (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM f),
+hosts AS MATERIALIZED (SELECT host, count(*) AS n, count(*) FILTER (WHERE base_failed) AS bad FROM j GROUP BY 1),
+prior AS (SELECT (sum(bad) + 0.5::DOUBLE) / (sum(n) + 1.0::DOUBLE) AS m, coalesce(var_samp(bad / n), 0) AS v FROM hosts),
+strength AS (SELECT m, greatest(1.0::DOUBLE, least(1e6::DOUBLE, m * (1 - m) / greatest(v, 1e-12::DOUBLE) - 1)) AS s FROM prior),
+verdicts AS (SELECT host, n, (bad + m * s) / (n + s) AS rate FROM hosts, strength)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND NOT (rate > {limit} AND n >= {least}) AS kept, round(rate, 9) AS host_rate
+FROM j JOIN verdicts ON j.host IS NOT DISTINCT FROM verdicts.host"""

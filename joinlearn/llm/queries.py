@@ -85,4 +85,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op6_licenses": licenses.oracle()}
+    return {"op4_host_quality": quality.oracle(), "op5_decontaminate": decontam.oracle(), "op6_licenses": licenses.oracle()}
