@@ -81,6 +81,25 @@ def moments_fm_v1(spark, sf_dir):
     return keyed_table(lower(q, _FM, order, eager=False))
 
 
+#: Categories of the degree-two plans over the other workloads; W4F is W4 after its dependency partkey -> p_brand.
+DEGREE_TWO = {"W2": SMALL_CATS, "W3": ("l_returnflag", "o_orderstatus", "s_nationkey"), "W4": ("l_returnflag", "partkey", "p_brand"), "W4F": ("l_returnflag", "partkey")}
+
+
+def _degree_two(workload: str, squares: bool) -> tuple[Callable, str]:
+    wanted = aggregate_monomials(feature_monomials(SMALL_CONT, DEGREE_TWO[workload], 2, squares=squares), "l_quantity")
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        q, order = workloads.star(spark, sf_dir, workload, True, SMALL_CONT, DEGREE_TWO[workload])
+        return keyed_table(lower(q, wanted, order, eager=False))
+
+    return run, sqltext.star_moments(wanted, workload)
+
+
+for _w, _tail in (("W2", "v2"), ("W3", "v3"), ("W4", "v4"), ("W4F", "v4_fd")):
+    for _kind, _squares in (("pr2", True), ("fm", False)):
+        QUERIES[f"moments_{_kind}_{_tail}"], SQL[f"moments_{_kind}_{_tail}"] = _degree_two(_w, _squares)
+
+
 @query(sqltext.star_moments(_LR_SMALL, "W1"))
 def moments_all_views_grouped(spark, sf_dir):
     """Every bag aggregated eagerly, as the variable order says."""
@@ -238,7 +257,17 @@ def listing_vs_factorized_w5(spark, sf_dir):
     return measures.compression(*workloads.many_to_many(spark, sf_dir))
 
 
-@query()
+_FACT = "suppkey, orderkey, partkey"
+_LINE = ("l_returnflag", "l_linestatus", "l_discount", "l_tax", "l_extendedprice", "l_quantity")
+#: What each variable of the star's order depends on, itself last.
+_W2_SIZES = [
+    "suppkey", "suppkey, s_acctbal", "suppkey, s_acctbal, s_nationkey", "suppkey, orderkey", "orderkey, custkey", "custkey, c_mktsegment", "custkey, c_mktsegment, c_acctbal",
+    "orderkey, custkey, o_orderpriority", "orderkey, custkey, o_orderpriority, o_orderstatus", "orderkey, custkey, o_orderpriority, o_orderstatus, o_totalprice", _FACT,
+    *(", ".join(("partkey", "p_brand", "p_type", "p_name", "p_size", "p_retailprice")[:k]) for k in range(2, 7)), *(", ".join((_FACT, *_LINE[:k])) for k in range(1, 7)),
+]
+
+
+@query(f"WITH {sqltext.STAR.format(where='')}, f AS (SELECT CAST(sum(n) AS BIGINT) AS factorized FROM (" + " UNION ALL ".join(f"SELECT count(*) AS n FROM (SELECT DISTINCT {c} FROM star)" for c in _W2_SIZES) + ")) SELECT (SELECT count(*) * 22 FROM star) AS listing, factorized, round((SELECT count(*) * 22 FROM star) / CAST(factorized AS DOUBLE), 6) AS ratio FROM f")
 def compression_w2(spark, sf_dir):
     q, order = workloads.star(spark, sf_dir, "W2", extra=("s_nationkey",))
     return measures.compression(q, order)
@@ -258,7 +287,20 @@ def feature_counts(spark, sf_dir):
     return measures.table_of(spark, rows, "workload string, continuous long, categorical long")
 
 
-@query()
+def _entry_counts_sql(workload: str) -> str:
+    """Rows, one-hot width and occurring pairs of a workload in one pass; the counting identities give the rest."""
+    cats = {"W3": (*workloads.CATEGORICAL, "s_nationkey"), "W4": (*workloads.CATEGORICAL, "partkey"), "W4F": tuple(c for c in (*workloads.CATEGORICAL, "partkey") if c not in workloads.PART.determined)}.get(workload, workloads.CATEGORICAL)
+    levels = " + ".join(f"count(DISTINCT {c})" for c in cats)
+    pairs = " + ".join(f"count(DISTINCT ({a}, {b}))" for i, a in enumerate(cats) for b in cats[i + 1 :])
+    where = "WHERE orderkey % 5 = 0" if workload == "W1" else ""
+    return f"SELECT '{workload}' AS workload, CAST(count(*) AS DOUBLE) AS n_rows, {levels} AS onehot, {pairs} AS pairs FROM star {where}"
+
+
+def _entries_sql(*names: str) -> str:
+    return f"WITH {sqltext.STAR.format(where='')}, c AS ({' UNION ALL '.join(map(_entry_counts_sql, names))}), e AS (SELECT workload, n_rows, CAST(55 AS BIGINT) AS scalar, onehot * 10 + pairs AS grouped, 9 + onehot AS width FROM c) "
+
+
+@query(_entries_sql("W1", "W2", "W3", "W4", "W4F") + "SELECT *, CAST(width * (width + 1) AS DOUBLE) / 2 / (scalar + grouped) AS dense_per_entry FROM e")
 def aggregate_counts_lr(spark, sf_dir):
     """Scalar and grouped entries with and without the dependency, and dense pairs for each entry."""
     rows = []
@@ -270,7 +312,7 @@ def aggregate_counts_lr(spark, sf_dir):
     return measures.table_of(spark, rows, "workload string, n_rows double, scalar long, grouped long, width long, dense_per_entry double")
 
 
-@query()
+@query(_entries_sql("W4") + "SELECT width * (width + 1) // 2 AS dense, scalar + grouped AS entries, CAST(width * (width + 1) AS DOUBLE) / 2 / (scalar + grouped) AS ratio FROM e")
 def dense_vs_sparse_ratio(spark, sf_dir):
     mom, q = _counts(spark, sf_dir, "W4")
     s, g = mom.entries()
@@ -342,9 +384,9 @@ def fd_chain_supplier(spark, sf_dir):
 # --- fits ---
 
 
-def _fit_query(model_of, workload="W1", degree=1, squares=True, **options):
+def _fit_query(model_of, workload="W1", degree=1, **options):
     def run(spark, sf_dir):
-        q, order = workloads.star(spark, sf_dir, workload, False, *(() if degree == 1 else (SMALL_CONT, SMALL_CATS)))
+        q, order = workloads.star(spark, sf_dir, workload, False, *(() if degree == 1 else (SMALL_CONT, DEGREE_TWO.get(workload, SMALL_CATS))))
         model = model_of(q)
         mom = moments(q, aggregate_monomials(model.h, q.response), order, eager=False)
         model.attach(SigmaIndex(FeatureLayout(mom, model.h)))
@@ -363,8 +405,9 @@ QUERIES["lr_fit_v2"] = _fit_query(Linear, "W2", **_LR_FIT)
 QUERIES["lr_fit_v3"] = _fit_query(Linear, "W3", **_LR_FIT)
 QUERIES["lr_fit_v4"] = _fit_query(Linear, "W4", **_LR_FIT)
 QUERIES["lr_fit_bb2"] = _fit_query(Linear, "W1", **_LR_FIT, step="bb2")
-QUERIES["pr2_fit_v1"] = _fit_query(lambda q: Linear(q, 2), "W1", 2, **_LR_FIT)
-QUERIES["fm_fit_v1"] = _fit_query(lambda q: FactorizationMachine(q, 8), "W1", 2, squares=False, precondition="diag", tol=None, max_iter=300, seed=0)
+for _i in (1, 2, 3, 4):
+    QUERIES[f"pr2_fit_v{_i}"] = _fit_query(lambda q: Linear(q, 2), f"W{_i}", 2, **_LR_FIT)
+    QUERIES[f"fm_fit_v{_i}"] = _fit_query(lambda q: FactorizationMachine(q, 8), f"W{_i}", 2, precondition="diag", tol=None, max_iter=300, seed=0)
 
 
 @query()
@@ -471,14 +514,19 @@ def rmse_from_moments(spark, sf_dir):
     return e.withColumn("from_moments", F.lit(rmse(model, theta)))
 
 
-@query()
+@query(f"""WITH {sqltext.STAR.format(where='WHERE l_orderkey % 5 = 0')}, r AS MATERIALIZED (SELECT row_number() OVER () AS rid, CAST(l_quantity AS DOUBLE) AS y, * FROM star),
+x AS MATERIALIZED (SELECT rid, y, 0 AS block, '' AS level, CAST(1 AS DOUBLE) AS v FROM r UNION ALL SELECT rid, y, 1, '', l_discount FROM r UNION ALL SELECT rid, y, 2, '', p_size FROM r
+ UNION ALL SELECT rid, y, 3, l_returnflag, 1 FROM r UNION ALL SELECT rid, y, 4, o_orderstatus, 1 FROM r UNION ALL SELECT rid, y, 5, c_mktsegment, 1 FROM r),
+c AS (SELECT block, level, sum(v * y) / (SELECT count(*) FROM r) AS c FROM x GROUP BY ALL), s AS (SELECT rid, sum(v * c) AS s FROM x JOIN c USING (block, level) GROUP BY 1),
+p AS (SELECT block, level, round(sum(v * s) / (SELECT count(*) FROM r), 4) AS p FROM x JOIN s USING (rid) GROUP BY ALL)
+SELECT row_number() OVER (ORDER BY block, level) - 1 AS i, p AS value, p AS driver FROM p""")
 def distributed_matvec(spark, sf_dir):
     """Sigma times the response correlations, as a join and a grouping, beside the driver's product."""
     _, model, _ = _small_model(spark, sf_dir)
     g = model.sigma.c
     gdf = measures.table_of(spark, [(i, float(v)) for i, v in enumerate(g)], "i long, value double")
     own = measures.table_of(spark, [(i, float(v)) for i, v in enumerate(model.sigma.matvec(g))], "i long, driver double")
-    return predict.matvec_table(predict.sigma_table(model.sigma, spark), gdf).join(own, "i").select("i", "value", "driver")
+    return predict.matvec_table(predict.sigma_table(model.sigma, spark), gdf).join(own, "i").select("i", F.round("value", 4).alias("value"), F.round("driver", 4).alias("driver"))
 
 
 # --- baselines ---
