@@ -2,7 +2,8 @@
 
 Variables of one path that no relation ends between are contracted to a bag and eliminated by one grouping. A view belongs
 to a bag and to the categorical keys its consumer still needs; its columns are one payload for each partial aggregate.
-Equal views are one DataFrame, so their exchanges are computed once."""
+Equal views are one DataFrame, so their exchanges are computed once. A bag that is not grouped keeps its plain columns and
+hands products on as expressions, so joins above it carry variables, not products."""
 
 from __future__ import annotations
 
@@ -65,7 +66,7 @@ class Views:
         self.bags = contract(order, query)
         self.eager = eager if callable(eager) else (lambda bag: eager)
         self.exact = query.scale is not None
-        self.made: dict[tuple, tuple[DataFrame, dict[Monomial, str]]] = {}
+        self.made: dict[tuple, tuple[DataFrame, dict[Monomial, Column]]] = {}
         self.number = 0
 
     def _frame(self, bag: Bag) -> DataFrame | None:
@@ -75,8 +76,8 @@ class Views:
             return None
         return reduce(lambda a, b: a.join(b, [c for c in b.columns if c in a.columns]), frames)
 
-    def view(self, bag: Bag, keys: tuple[str, ...], wanted: tuple[Monomial, ...], group: bool | None = None) -> tuple[DataFrame, dict[Monomial, str]]:
-        """(dep + keys + payloads, payload names) for partial aggregates over the bag and what is below."""
+    def view(self, bag: Bag, keys: tuple[str, ...], wanted: tuple[Monomial, ...], group: bool | None = None) -> tuple[DataFrame, dict[Monomial, Column]]:
+        """(dep + keys + payloads, payload expressions) for partial aggregates over the bag and what is below."""
         at = (id(bag), keys, wanted, group)
         if at in self.made:
             return self.made[at]
@@ -95,10 +96,10 @@ class Views:
         out, names = [], {}
         for m in wanted:
             factors = [power(v, e) for v, e in m.cont if v in here]
-            factors += [F.col(n[m.on(c.below)]) for c, n in child_names]
-            names[m] = f"p{self.number}"
+            factors += [n[m.on(c.below)] for c, n in child_names]
+            out.append((f"p{self.number}", product(factors, self.exact)))
+            names[m] = F.col(out[-1][0])
             self.number += 1
-            out.append((names[m], product(factors, self.exact)))
         by = [*bag.dep, *(k for k in keys if k not in bag.dep)]
         aggregate = self.eager(bag) if group is None else group
         if aggregate:
@@ -114,7 +115,7 @@ class Views:
                     other = piece.select(*[F.col(b).alias(f"__{b}") for b in by], *[n for n, _ in out[i : i + WIDEST]])
                     made = made.join(other, reduce(lambda a, b: a & b, [made[b].eqNullSafe(other[f"__{b}"]) for b in by])).drop(*[f"__{b}" for b in by])
         else:
-            made = frame.select(*by, *[e.alias(n) for n, e in out])
+            made, names = frame, {m: e for m, (_, e) in zip(wanted, out, strict=True)}
         self.made[at] = made, names
         return made, names
 
@@ -131,7 +132,7 @@ class Views:
         top, out = self.top(), []
         for keys, wanted in by_keys(monomials).items():
             df, names = self.view(top, keys, tuple(wanted), True)
-            out.append((keys, wanted, df.select(*keys, *[F.col(names[m]).alias(f"m{i}") for i, m in enumerate(wanted)])))
+            out.append((keys, wanted, df.select(*keys, *[names[m].alias(f"m{i}") for i, m in enumerate(wanted)])))
         return out
 
     def finest(self, monomials: list[Monomial]) -> tuple[DataFrame, list[Monomial], dict[Monomial, str]]:
@@ -142,4 +143,4 @@ class Views:
         keys = tuple(sorted({k for m in monomials for k in m.cats}))
         wanted = tuple(dict.fromkeys(Monomial(m.cont, ()) for m in monomials))
         df, names = self.view(top, keys, wanted, False)
-        return df.select(*keys, *[F.col(names[m]).alias(f"m{i}") for i, m in enumerate(wanted)]), list(wanted), {m: f"m{i}" for i, m in enumerate(wanted)}
+        return df.select(*keys, *[names[m].alias(f"m{i}") for i, m in enumerate(wanted)]), list(wanted), {m: f"m{i}" for i, m in enumerate(wanted)}
