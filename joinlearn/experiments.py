@@ -47,12 +47,12 @@ def rows_and_categories(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def strategies(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _table(spark, [learn(spark, sf_dir, "W1", s) for s in ("factorized", "materialize")])
+    return _table(spark, [learn(spark, sf_dir, "W2", s) for s in ("factorized", "materialize")])
 
 
 def sharing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(strategy, aggregates, seconds, seconds_each): all aggregates at once, and one job for each of a few."""
-    query, order = workloads.star(spark, sf_dir, "W1")
+    query, order = workloads.star(spark, sf_dir, "W2")
     wanted = query.aggregates(1)
     bulk = moments(query, wanted, order, kernel="arrow", eager=False)
     some = [m for m in wanted if len(m.cats) == 1][:6]
@@ -63,7 +63,7 @@ def sharing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def onehot_against_sparse(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(form, columns, entries, seconds): categories as indicator columns, dense, against grouped sums."""
-    query, order = workloads.star(spark, sf_dir, "W1", categorical=("l_returnflag", "l_linestatus", "o_orderpriority", "o_orderstatus", "c_mktsegment"))
+    query, order = workloads.star(spark, sf_dir, "W2", categorical=("l_returnflag", "l_linestatus", "o_orderpriority", "o_orderstatus", "c_mktsegment"))
     sparse = moments(query, query.aggregates(1), order, kernel="arrow", eager=False)
     hot = onehot_query(spark, query)
     dense = moments(hot, hot.aggregates(1), kernel="arrow", eager=False)
@@ -83,17 +83,17 @@ def degree_two_entries(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def epoch_against_descent(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(learner, seconds): one stochastic epoch over exported rows, and the whole route over moments."""
-    query, _ = workloads.star(spark, sf_dir, "W1")
+    query, _ = workloads.star(spark, sf_dir, "W2")
     rows = design.to_sparse_rows(query.listing(), list(query.continuous), list(query.categorical), "l_quantity")
     width = len(query.continuous) + design.dictionaries(query.listing(), list(query.categorical)).count()
     _, epoch = measures.timed(lambda: stochastic.sgd_ftrl(rows, width, 10_000))
-    _, route = measures.timed(lambda: learn(spark, sf_dir, "W1"))
+    _, route = measures.timed(lambda: learn(spark, sf_dir, "W2"))
     return spark.createDataFrame([("epoch", epoch), ("moments", route)], "learner string, seconds double")
 
 
 def minibatch_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(batch, shuffle, batches, seconds) of an epoch."""
-    query, _ = workloads.star(spark, sf_dir, "W1", False, ("l_discount",), ("l_returnflag",))
+    query, _ = workloads.star(spark, sf_dir, "W2", False, ("l_discount",), ("l_returnflag",))
     rows, out = design.to_sparse_rows(query.listing(), ["l_discount"], ["l_returnflag"], "l_quantity"), []
     for size in (100, 1000, 10_000):
         for shuffle in (False, True):

@@ -100,26 +100,29 @@ for _w, _tail in (("W2", "v2"), ("W3", "v3"), ("W4", "v4"), ("W4F", "v4_fd")):
         QUERIES[f"moments_{_kind}_{_tail}"], SQL[f"moments_{_kind}_{_tail}"] = _degree_two(_w, _squares)
 
 
-@query(sqltext.star_moments(_LR_SMALL, "W1"))
-def moments_all_views_grouped(spark, sf_dir):
-    """Every bag aggregated eagerly, as the variable order says."""
-    q, order = _small(spark, sf_dir)
-    return keyed_table(lower(q, _LR_SMALL, order, eager=True))
+def _both(name: str, doc: str | None, run: Callable, sql: Callable) -> None:
+    """A query over W1 (a subset of the rows) and as name_v2 over W2 (all rows), each beside its SQL."""
+    for tail, workload in (("", "W1"), ("_v2", "W2")):
+
+        def one(spark: SparkSession, sf_dir: str, workload: str = workload) -> DataFrame:
+            return run(spark, sf_dir, workload)
 
+        one.__name__, one.__doc__ = f"{name}{tail}", doc
+        query(sql(workload))(one)
 
-@query(sqltext.star_moments(_LR_SMALL, "W1"))
-def materialized_moments(spark, sf_dir):
-    return keyed_table(lower(_small(spark, sf_dir)[0], _LR_SMALL, strategy="materialize"))
 
+def _strategy(name: str, doc: str | None, wanted: list[Monomial], ordered: bool, **options) -> None:
+    def run(spark: SparkSession, sf_dir: str, workload: str) -> DataFrame:
+        q, order = _small(spark, sf_dir, workload)
+        return keyed_table(lower(q, wanted, order if ordered else None, **options))
 
-@query(sqltext.star_moments(_LR_SMALL[:12], "W1"))
-def individual_aggregates(spark, sf_dir):
-    return keyed_table(lower(_small(spark, sf_dir)[0], _LR_SMALL[:12], strategy="individual"))
+    _both(name, doc, run, lambda w: sqltext.star_moments(wanted, w))
 
 
-@query(sqltext.star_moments(_LR_SMALL, "W1"))
-def order_per_key_set_moments(spark, sf_dir):
-    return keyed_table(lower(_small(spark, sf_dir)[0], _LR_SMALL, strategy="order_per_keys", eager=False))
+_strategy("moments_all_views_grouped", "Every bag aggregated eagerly, as the variable order says.", _LR_SMALL, True, eager=True)
+_strategy("materialized_moments", None, _LR_SMALL, False, strategy="materialize")
+_strategy("individual_aggregates", None, _LR_SMALL[:12], False, strategy="individual")
+_strategy("order_per_key_set_moments", None, _LR_SMALL, False, strategy="order_per_keys", eager=False)
 
 
 @query(f"""WITH {sqltext.STAR.format(where="")} SELECT l_returnflag, o_orderstatus, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS quantity,
@@ -148,11 +151,17 @@ def _listing(spark, sf_dir):
 _ONEHOT_SQL_COLS = [("l_returnflag", v) for v in ("A", "N", "R")] + [("l_linestatus", v) for v in ("F", "O")]
 
 
-@query(f"""WITH {sqltext.STAR.format(where="WHERE l_orderkey % 5 = 0")}, x AS (SELECT l_quantity, """ + ", ".join(f"CAST({c} = '{v}' AS BIGINT) AS c{i}" for i, (c, v) in enumerate(_ONEHOT_SQL_COLS)) + """ FROM star)
+def _star(workload: str) -> str:
+    return sqltext.STAR.format(where="WHERE l_orderkey % 5 = 0" if workload == "W1" else "")
+
+
+def _onehot_sql(workload: str) -> str:
+    return (f"""WITH {_star(workload)}, x AS (SELECT l_quantity, """ + ", ".join(f"CAST({c} = '{v}' AS BIGINT) AS c{i}" for i, (c, v) in enumerate(_ONEHOT_SQL_COLS)) + """ FROM star)
 """ + "\nUNION ALL\n".join([f"SELECT {i} AS i, {j} AS j, CAST(sum(c{i} * c{j}) AS DOUBLE) AS value FROM x" for i in range(5) for j in range(i, 5)] + [f"SELECT {i} AS i, 5 AS j, CAST(sum(c{i} * CAST(l_quantity AS BIGINT)) AS DOUBLE) AS value FROM x" for i in range(5)]))
-def linear_only_onehot_moments(spark, sf_dir):
-    """The linear-only prototype: indicators as continuous columns of the relations, dense scalars."""
-    q, order = workloads.star(spark, sf_dir, "W1", False, (), ("l_returnflag", "l_linestatus"))
+
+
+def _onehot_moments(spark, sf_dir, workload):
+    q, order = workloads.star(spark, sf_dir, workload, False, (), ("l_returnflag", "l_linestatus"))
     hot = onehot_query(spark, q)
     order = VariableOrder.suggest(hot)
     names = list(hot.continuous)
@@ -163,6 +172,9 @@ def linear_only_onehot_moments(spark, sf_dir):
     return df.select(F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.lit(j).alias("j"), F.col(at[m]).alias("value")) for i, j, m in pairs])).alias("e")).select("e.*")
 
 
+_both("linear_only_onehot_moments", "The linear-only prototype: indicators as continuous columns of the relations, dense scalars.", _onehot_moments, _onehot_sql)
+
+
 _SCALAR = [m for m in aggregate_monomials(feature_monomials(workloads.CONTINUOUS, ()), "l_quantity") if not m.cats]
 
 
@@ -404,7 +416,7 @@ QUERIES["lr_fit_v1"] = _fit_query(Linear, "W1", **_LR_FIT)
 QUERIES["lr_fit_v2"] = _fit_query(Linear, "W2", **_LR_FIT)
 QUERIES["lr_fit_v3"] = _fit_query(Linear, "W3", **_LR_FIT)
 QUERIES["lr_fit_v4"] = _fit_query(Linear, "W4", **_LR_FIT)
-QUERIES["lr_fit_bb2"] = _fit_query(Linear, "W1", **_LR_FIT, step="bb2")
+QUERIES["lr_fit_bb2"] = _fit_query(Linear, "W2", **_LR_FIT, step="bb2")
 for _i in (1, 2, 3, 4):
     QUERIES[f"pr2_fit_v{_i}"] = _fit_query(lambda q: Linear(q, 2), f"W{_i}", 2, **_LR_FIT)
     QUERIES[f"fm_fit_v{_i}"] = _fit_query(lambda q: FactorizationMachine(q, 8), f"W{_i}", 2, precondition="diag", tol=None, max_iter=300, seed=0)
@@ -422,8 +434,8 @@ def lr_fit_v4_fd(spark, sf_dir):
 
 def _fd_small(spark, sf_dir):
     cats = ("partkey", "p_brand", "p_type", "l_returnflag")
-    full = workloads.star(spark, sf_dir, "W1", False, ("l_discount",), cats)
-    return full, workloads.star(spark, sf_dir, "W1", False, ("l_discount",), ("partkey", "l_returnflag")), fd.Dependency("partkey", ("p_brand", "p_type"))
+    full = workloads.star(spark, sf_dir, "W2", False, ("l_discount",), cats)
+    return full, workloads.star(spark, sf_dir, "W2", False, ("l_discount",), ("partkey", "l_returnflag")), fd.Dependency("partkey", ("p_brand", "p_type"))
 
 
 @query()
@@ -493,8 +505,8 @@ def ridge_per_category(spark, sf_dir):
     return per.crossJoin(F.broadcast(total)).select("l_returnflag", F.round(s / n / (n / F.col("t") + LAM) * (n / F.col("t")), 9).alias("coefficient"))
 
 
-def _small_model(spark, sf_dir):
-    q, order = workloads.star(spark, sf_dir, "W1", False, SMALL_CONT, SMALL_CATS)
+def _small_model(spark, sf_dir, workload="W2"):
+    q, order = workloads.star(spark, sf_dir, workload, False, SMALL_CONT, SMALL_CATS)
     model = Linear(q).attach(SigmaIndex(FeatureLayout(moments(q, q.aggregates(1), order, eager=False), q.feature_map(1))))
     return q, model, solver.solve_exact(model, LAM)
 
@@ -514,42 +526,59 @@ def rmse_from_moments(spark, sf_dir):
     return e.withColumn("from_moments", F.lit(rmse(model, theta)))
 
 
-@query(f"""WITH {sqltext.STAR.format(where='WHERE l_orderkey % 5 = 0')}, r AS MATERIALIZED (SELECT row_number() OVER () AS rid, CAST(l_quantity AS DOUBLE) AS y, * FROM star),
+def _matvec_sql(workload: str) -> str:
+    return f"""WITH {_star(workload)}, r AS MATERIALIZED (SELECT row_number() OVER () AS rid, CAST(l_quantity AS DOUBLE) AS y, * FROM star),
 x AS MATERIALIZED (SELECT rid, y, 0 AS block, '' AS level, CAST(1 AS DOUBLE) AS v FROM r UNION ALL SELECT rid, y, 1, '', l_discount FROM r UNION ALL SELECT rid, y, 2, '', p_size FROM r
  UNION ALL SELECT rid, y, 3, l_returnflag, 1 FROM r UNION ALL SELECT rid, y, 4, o_orderstatus, 1 FROM r UNION ALL SELECT rid, y, 5, c_mktsegment, 1 FROM r),
 c AS (SELECT block, level, sum(v * y) / (SELECT count(*) FROM r) AS c FROM x GROUP BY ALL), s AS (SELECT rid, sum(v * c) AS s FROM x JOIN c USING (block, level) GROUP BY 1),
 p AS (SELECT block, level, round(sum(v * s) / (SELECT count(*) FROM r), 4) AS p FROM x JOIN s USING (rid) GROUP BY ALL)
-SELECT row_number() OVER (ORDER BY block, level) - 1 AS i, p AS value, p AS driver FROM p""")
-def distributed_matvec(spark, sf_dir):
-    """Sigma times the response correlations, as a join and a grouping, beside the driver's product."""
-    _, model, _ = _small_model(spark, sf_dir)
+SELECT row_number() OVER (ORDER BY block, level) - 1 AS i, p AS value, p AS driver FROM p"""
+
+
+def _matvec(spark, sf_dir, workload):
+    _, model, _ = _small_model(spark, sf_dir, workload)
     g = model.sigma.c
     gdf = measures.table_of(spark, [(i, float(v)) for i, v in enumerate(g)], "i long, value double")
     own = measures.table_of(spark, [(i, float(v)) for i, v in enumerate(model.sigma.matvec(g))], "i long, driver double")
     return predict.matvec_table(predict.sigma_table(model.sigma, spark), gdf).join(own, "i").select("i", F.round("value", 4).alias("value"), F.round("driver", 4).alias("driver"))
 
 
+_both("distributed_matvec", "Sigma times the response correlations, as a join and a grouping, beside the driver's product.", _matvec, _matvec_sql)
+
+
 # --- baselines ---
 
 
-def _encoded(spark, sf_dir, drop_first=True):
-    q, _ = workloads.star(spark, sf_dir, "W1", False, SMALL_CONT, SMALL_CATS)
+def _encoded(spark, sf_dir, drop_first=True, workload="W2"):
+    q, _ = workloads.star(spark, sf_dir, workload, False, SMALL_CONT, SMALL_CATS)
     return design.onehot_encode(q.listing(), list(SMALL_CATS), drop_first)
 
 
-@query(f"WITH {sqltext.STAR.format(where='WHERE l_orderkey % 5 = 0')} SELECT count(*) AS n, (SELECT count(DISTINCT l_returnflag) + count(DISTINCT o_orderstatus) + count(DISTINCT c_mktsegment) FROM star) AS width FROM star")
-def onehot_width(spark, sf_dir):
-    rows, names = _encoded(spark, sf_dir, False)
+def _onehot_width_sql(workload: str) -> str:
+    return f"WITH {_star(workload)} SELECT count(*) AS n, (SELECT count(DISTINCT l_returnflag) + count(DISTINCT o_orderstatus) + count(DISTINCT c_mktsegment) FROM star) AS width FROM star"
+
+
+def _onehot_width(spark, sf_dir, workload):
+    rows, names = _encoded(spark, sf_dir, False, workload)
     return rows.agg(F.count(F.lit(1)).alias("n"), F.lit(len(names)).cast("long").alias("width"))
 
 
-@query(f"WITH {sqltext.STAR.format(where='WHERE l_orderkey % 5 = 0')} SELECT CAST(l_quantity AS DOUBLE) AS label, (CASE WHEN l_discount <> 0 THEN 1 ELSE 0 END) + (CASE WHEN p_size <> 0 THEN 1 ELSE 0 END) + 3 AS kept, count(*) AS n FROM star GROUP BY 1, 2")
-def zero_suppressed_rows(spark, sf_dir):
-    q, _ = workloads.star(spark, sf_dir, "W1", False, SMALL_CONT, SMALL_CATS)
+_both("onehot_width", None, _onehot_width, _onehot_width_sql)
+
+
+def _zero_suppressed_sql(workload: str) -> str:
+    return f"WITH {_star(workload)} SELECT CAST(l_quantity AS DOUBLE) AS label, (CASE WHEN l_discount <> 0 THEN 1 ELSE 0 END) + (CASE WHEN p_size <> 0 THEN 1 ELSE 0 END) + 3 AS kept, count(*) AS n FROM star GROUP BY 1, 2"
+
+
+def _zero_suppressed(spark, sf_dir, workload):
+    q, _ = workloads.star(spark, sf_dir, workload, False, SMALL_CONT, SMALL_CATS)
     rows = design.to_sparse_rows(q.listing(), list(SMALL_CONT), list(SMALL_CATS), "l_quantity")
     return rows.groupBy("label", F.size("indices").alias("kept")).agg(F.count(F.lit(1)).alias("n"))
 
 
+_both("zero_suppressed_rows", None, _zero_suppressed, _zero_suppressed_sql)
+
+
 def _coefficients(spark, columns, theta):
     return measures.table_of(spark, [(n, float(t)) for n, t in zip(["1", *columns], theta, strict=True)], "feature string, coefficient double")
 
@@ -594,7 +623,7 @@ def design_limits(spark, sf_dir):
 @query()
 def sgd_ftrl_fit(spark, sf_dir):
     """One epoch in stored order, minibatches of 1,000."""
-    q, _ = workloads.star(spark, sf_dir, "W1", False, SMALL_CONT, SMALL_CATS)
+    q, _ = workloads.star(spark, sf_dir, "W2", False, SMALL_CONT, SMALL_CATS)
     rows = design.to_sparse_rows(q.listing(), list(SMALL_CONT), list(SMALL_CATS), "l_quantity")
     width = len(SMALL_CONT) + design.dictionaries(q.listing(), list(SMALL_CATS)).count()
     scale = np.ones(width)
@@ -612,10 +641,10 @@ def fm_sgd_fit(spark, sf_dir):
 
 @query()
 def fm_mcmc_fit(spark, sf_dir):
-    q, _ = workloads.star(spark, sf_dir, "W1", False, SMALL_CONT, SMALL_CATS)
+    q, _ = workloads.star(spark, sf_dir, "W2", False, SMALL_CONT, SMALL_CATS)
     rows = design.to_sparse_rows(q.listing(), list(SMALL_CONT), list(SMALL_CATS), "l_quantity")
     width = len(SMALL_CONT) + design.dictionaries(q.listing(), list(SMALL_CATS)).count()
-    got = stochastic.fm_mcmc(rows, width, 2, 10)
+    got = stochastic.fm_mcmc(rows, width, 2, 10, max_rows=10_000_000)  # a driver that cannot hold the rows fails
     return measures.table_of(spark, [(got["rmse"], got["baseline_rmse"], got["runs"])], "rmse double, spread double, runs int")
 
 
@@ -793,7 +822,7 @@ def fm_scores(spark, sf_dir):
     """Vectorised factor scoring of the join's rows."""
     from .functions.scoring import fm_scores as score
 
-    q, order = workloads.star(spark, sf_dir, "W1", False, SMALL_CONT, SMALL_CATS)
+    q, order = workloads.star(spark, sf_dir, "W2", False, SMALL_CONT, SMALL_CATS)
     model = FactorizationMachine(q, 4)
     model.attach(SigmaIndex(FeatureLayout(moments(q, aggregate_monomials(model.h, q.response), order, eager=False), model.h)))
     return score(model, model.start(0), q.listing())
