@@ -6,7 +6,8 @@ expected words meet the targets, those closest to 1 in relative entropy, sum of
 r = min(2, exp(lambda_s * size / mean size)): each source's multiplier solves a convex dual whose gradient and curvature
 are sums over its documents, so one Newton step for all sources is one grouped sum. Steps that leave the bracket are
 halved into it. Rounding: documents of a source in order of size, their fractional rates summed up; an extra copy is given
-where the running sum passes a whole number, and what is then missing, about one large document, is settled with smaller ones.
+where the running sum passes a whole number, and what is then missing is settled with documents smaller than twice the gap
+until none has room.
 
 Rates depend on size alone, so the Newton steps run on counts by (source, size) and never on the documents.
 
@@ -24,6 +25,7 @@ from . import common
 WEIGHTS = (3, 1, 2)
 SHARE, MOST = 1.5, 2.0
 STEPS, TOLERANCE = 40, 1e-9
+#: Rounds of settling in one plan; plans follow until all is settled.
 SETTLE = 5
 #: One window partition of the rounding holds the rows of a source and size whose ids share a hash modulo the salts:
 #: at least SALTS, and one for each SALT_ROWS rows of the table.
@@ -84,7 +86,7 @@ def multipliers(cells: DataFrame, goals: DataFrame, most: float = MOST, steps: i
 def rates(docs: DataFrame, source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST, salts: int = SALTS, id_col: str = "doc_id") -> tuple[DataFrame, DataFrame]:
     """Cells (source, size, salt, rate, cell, extra, ahead) and the sources' sizes and targets.
 
-    cell documents share source and size, extra of them get one copy more, and ahead of them have a smaller salt."""
+    cell documents share source and size, extra copies are added to (or taken from) floor(rate) of each, and ahead of them have a smaller salt."""
     sized = docs.select(F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(id_col, salts).alias("salt"))
     salted = common.cut(sized.groupBy("source", "size", "salt").agg(F.count(F.lit(1)).alias("n")))
     cells = common.cut(salted.groupBy("source", "size").agg(F.sum("n").alias("n")))
@@ -96,35 +98,47 @@ def rates(docs: DataFrame, source_col: str = "source", text_col: str = "text", w
     goal = goals.select(F.col("source").alias("__g"), "target", (F.col("target") >= most * F.col("source_size") * (1 - 1e-12)).alias("full"))
     at = cells.join(lam, cells.source.eqNullSafe(lam["__l"]), "left").join(goal, cells.source.eqNullSafe(goal["__g"]), "left")
     rate = F.when(F.col("size") == 0, 0.0).when(F.col("full"), float(most)).otherwise(F.coalesce(F.exp(F.least(F.col("lam") * F.col("size") / F.col("mean"), F.log(F.lit(float(most))))), F.lit(0.0)))
-    cells = common.cut(_rounded(at.select("source", "size", "n", "target", rate.alias("rate"))))
+    cells = _rounded(at.select("source", "size", "n", "target", rate.alias("rate")), most)
     firsts = cells.select(F.col("source").alias("__c"), F.col("size").alias("__n"), "rate", "extra", F.col("n").alias("cell"))
     inner = F.coalesce(F.sum("n").over(Window.partitionBy("source", "size").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     placed = salted.withColumn("ahead", inner).join(firsts, salted.source.eqNullSafe(firsts["__c"]) & (salted["size"] == firsts["__n"]))
     return placed.select("source", "size", "salt", "rate", "cell", "extra", "ahead"), goals
 
 
-def _rounded(cells: DataFrame) -> DataFrame:
-    """Cells (source, size, n, target, rate) with extra: how many of the cell's documents get a copy above floor(rate).
+def _rounded(cells: DataFrame, most: float = MOST) -> DataFrame:
+    """Cells (source, size, n, target, rate) with extra: how many copies above floor(rate) a cell's documents get together.
 
-    First by the running sum of fractional rates over a source's cells in order of size; what then is missing to the target,
-    at most about one large document, is settled in rounds with documents of the size nearest to it."""
+    First by the running sum of fractional rates over a source's cells in order of size. What then is missing to the target is
+    settled in rounds until no document smaller than twice the gap has room. Where the size nearest to the gap is above it, one
+    such document is moved; else sizes up to the gap are, from the largest down, as many of each as fit. Documents stay within a copy of their rate as long as
+    that finds one; else they take 0 to `most` copies. Every round makes the gap smaller."""
     base, part = F.floor("rate"), F.col("rate") - F.floor("rate")
     ahead = Window.partitionBy("source").orderBy("size").rowsBetween(Window.unboundedPreceding, -1)
+    larger = Window.partitionBy("source").orderBy(F.desc("size")).rowsBetween(Window.unboundedPreceding, -1)
     whole = Window.partitionBy("source")
     before = F.coalesce(F.sum(F.col("n") * part).over(ahead), F.lit(0.0))
     rows = cells.withColumn("k", F.floor(before + F.col("n") * part + 0.5) - F.floor(before + 0.5))
     rows = rows.withColumn("k", F.least(F.greatest(F.col("k"), F.lit(0)), F.when(part > 0, F.col("n")).otherwise(0)))
-    for _ in range(SETTLE):
-        missing = F.col("target") - F.sum((F.col("n") * base + F.col("k")) * F.col("size")).over(whole)
-        rows = rows.withColumn("missing", missing)
-        room = F.when(F.col("missing") > 0, F.when(part > 0, F.col("n") - F.col("k")).otherwise(0)).otherwise(F.col("k"))
-        rows = rows.withColumn("room", room)
-        gap = F.abs("missing")
-        fits = (F.col("room") > 0) & (F.col("size") > 0) & (F.col("size") < 2 * gap)
-        rows = rows.withColumn("best", F.min(F.when(fits, F.struct(F.abs(gap - F.col("size")), "size"))).over(whole)["size"])
-        moved = F.least(F.col("room"), F.greatest(F.lit(1), F.floor(gap / F.greatest("size", F.lit(1))))) * F.signum("missing").cast("long")
-        rows = rows.withColumn("k", F.col("k") + F.when(F.col("size") == F.col("best"), moved).otherwise(0))
-    return rows.select("source", "size", "n", "rate", F.col("k").cast("long").alias("extra"))
+    rows = rows.withColumn("missing", F.col("target") - F.sum((F.col("n") * base + F.col("k")) * F.col("size")).over(whole))
+    gap, up = F.abs("missing"), F.col("missing") > 0
+    near = F.when(up, F.when(part > 0, F.col("n") - F.col("k"))).otherwise(F.col("k"))
+    wide = F.when(up, F.col("n") * (F.lit(int(most)) - base) - F.col("k")).otherwise(F.col("n") * base + F.col("k"))
+    fits = lambda room: (room > 0) & (F.col("size") > 0) & (F.col("size") < 2 * gap)
+    some = lambda x: F.coalesce(F.max(x).over(whole), F.lit(False))
+    while True:
+        for _ in range(SETTLE):
+            room = F.greatest(F.coalesce(F.when(some(fits(near)), near).otherwise(wide), F.lit(0)), F.lit(0))
+            rows = rows.withColumn("room", room).withColumn("fits", fits(F.col("room")))
+            under = F.col("fits") & (F.col("size") <= gap)
+            used = F.coalesce(F.sum(F.when(under, F.col("room") * F.col("size")).otherwise(0)).over(larger), F.lit(0))
+            greedy = F.when(under, F.greatest(F.lit(0), F.least(F.col("room"), F.floor((gap - used) / F.greatest("size", F.lit(1))))))
+            best = F.min(F.when(F.col("fits"), F.struct(F.abs(gap - F.col("size")), "size"))).over(whole)["size"]
+            moved = F.coalesce(F.when(best <= gap, greedy).when(F.col("size") == best, 1), F.lit(0)) * F.signum("missing").cast("long")
+            rows = rows.withColumn("k", F.col("k") + moved)
+            rows = rows.withColumn("missing", F.col("target") - F.sum((F.col("n") * base + F.col("k")) * F.col("size")).over(whole))
+        rows = common.cut(rows.select("source", "size", "n", "target", "rate", F.col("k").cast("long").alias("k"), "missing"))
+        if rows.where(fits(wide)).isEmpty():
+            return rows.select("source", "size", "n", "rate", F.col("k").alias("extra"))
 
 
 def _salt(id_col: str, salts: int) -> Column:

@@ -51,3 +51,16 @@ def test_odd_rows(odd_docs, no_docs):
     rows = mixing.mix(odd_docs, ["doc_id", "size"]).collect()
     assert len(rows) == odd_docs.count()
     assert mixing.mix(no_docs, ["doc_id"]).count() == 0
+
+
+def test_rounding_settles_beside_a_giant(spark):
+    cases = {"giant": ([(100_000, 1), (500, 100)], 75_000.0, {100_000: 0.253, 500: 0.993}), "many": ([(s, 1) for s in range(1, 400)], 60_000.0, {s: 0.75 for s in range(1, 400)}), "low": ([(1000, 1), (7, 3)], 1010.0, {1000: 0.9, 7: 1.9})}
+    rows = [(name, s, n, t, r[s]) for name, (cells, t, r) in cases.items() for s, n in cells]
+    got = mixing._rounded(spark.createDataFrame(rows, "source string, size long, n long, target double, rate double")).collect()
+    for name, (_, target, _) in cases.items():
+        mine = [r for r in got if r.source == name]
+        copies = {r.size: r.n * int(r.rate) + r.extra for r in mine}
+        assert all(0 <= copies[r.size] <= 2 * r.n for r in mine)
+        gap = target - sum(s * c for s, c in copies.items())
+        left = [r.size for r in mine if r.size < 2 * abs(gap) and (copies[r.size] < 2 * r.n if gap > 0 else copies[r.size] > 0)]
+        assert not left and abs(gap) <= 0.01 * target, (name, gap)
