@@ -156,9 +156,7 @@ def main_text(page: str | None, window: int = 3, surge: int = 86, link_share: fl
         return ""
     lines = block_lines(page)
     if any(x[3] for x in lines):
-        declared = [x for x in lines if x[3]]
-        if 2 * sum(len(x[0]) for x in declared) >= sum(len(x[0]) for x in lines) or len(lines) <= 200:
-            lines = declared
+        lines = [x for x in lines if x[3]]
     lengths = [0 if links >= link_share * len(text) else len(text) for text, links, _, _ in lines]
     first, last = region(lengths, window, surge)
     if last < first:

@@ -36,3 +36,9 @@ def test_query(spark, sf):
 def test_odd_rows(spark):
     pages = spark.createDataFrame([(1, None, None, 1), (None, "u", "<p>x</p>", 2), (1, None, None, 1)], "page_id long, url string, html string, text int")
     assert htmltext.extract(pages).count() == 3 and htmltext.extract(pages.limit(0)).count() == 0
+
+
+def test_declared_article_at_every_size():
+    for n in (100, 150, 400):
+        page = f"<body><article>" + f"<p>{WORDS}</p>" * n + "</article><div>" + f"<p>{WORDS} thread</p>" * 2 * n + "</div></body>"
+        assert htmltext.main_text(page) == "\n".join([WORDS] * n)
