@@ -2,8 +2,10 @@
 
 The page is stripped to block lines (one for each block element). Text lengths are summed over windows of lines; where
 the sum surges the article begins, where it dives it ends. Elements that declare themselves as boilerplate (navigation,
-header, footer, aside, form, advert, notice, comments) never enter the distribution, and a region that fills one
-container element is widened to that container, so that short first or last paragraphs stay.
+header, footer, aside, form, advert, notice, comments) never enter the distribution, and a region is
+widened to the article or main around it, or else to the innermost container that holds all of it, so that short first or
+last paragraphs stay. If that is the whole page, all runs between surge and dive are kept. A declared article or main is
+taken whatever its share of the page.
 
 Defined results: null or empty html gives the empty text; a page without any text line gives the empty text; broken
 markup (unclosed or stray tags) is read to its end; every page gives one row.
@@ -54,9 +56,9 @@ def _boilerplate(tag: str, attrs: str, heads: bool) -> bool:
     return False
 
 
-def block_lines(page: str) -> list[tuple[str, int, tuple, bool]]:
-    """Lines in page order: (text, of it in links, ids of the containers around it, inside article or main)."""
-    out: list[tuple[str, int, tuple, bool]] = []
+def block_lines(page: str) -> list[tuple[str, int, tuple, tuple]]:
+    """Lines in page order: (text, of it in links, ids of the containers around it, of these article and main)."""
+    out: list[tuple[str, int, tuple, tuple]] = []
     stack: list[tuple[str, int, bool]] = []  # name, id, whether it is dropped
     parts: list[str] = []
     state = {"links": 0, "ids": 0, "dropped": 0, "heading": 0}
@@ -65,7 +67,7 @@ def block_lines(page: str) -> list[tuple[str, int, tuple, bool]]:
     def flush() -> None:
         text = " ".join("".join(parts).split())
         if text:
-            out.append((text, state["links"], tuple(i for _, i, _ in stack), any(n in ("article", "main") for n, _, _ in stack)))
+            out.append((text, state["links"], tuple(i for _, i, _ in stack), tuple(i for n, i, _ in stack if n in ("article", "main"))))
         parts.clear()
         state["links"] = 0
 
@@ -128,11 +130,16 @@ def distribution(lengths: list[int], window: int) -> list[int]:
 
 def region(lengths: list[int], window: int = 3, surge: int = 86) -> tuple[int, int]:
     """First and last line of the heaviest run between a surge point and the dive point after it; (0, -1) if none."""
+    return max(runs(lengths, window, surge), key=lambda r: sum(lengths[r[0] : r[1] + 1]), default=(0, -1))
+
+
+def runs(lengths: list[int], window: int = 3, surge: int = 86) -> list[tuple[int, int]]:
+    """First and last line of each run between a surge point and the dive point after it."""
     sums = distribution(lengths, window)
     if not sums or not any(lengths):
-        return 0, -1
+        return []
     level = min(surge, max(sums))
-    best, at, i = (0, 0, -1), 0, 0
+    found, i = [], 0
     while i < len(sums):
         if sums[i] < level:
             i += 1
@@ -145,10 +152,8 @@ def region(lengths: list[int], window: int = 3, surge: int = 86) -> tuple[int, i
             last = max((j for j in range(last, min(last + window, len(lengths))) if lengths[j] * window >= level), default=last)
         while first < last and lengths[first] * window * 2 < level and lengths[first] < lengths[first + 1]:
             first += 1
-        at = sum(lengths[first : last + 1])
-        if at > best[0]:
-            best = (at, first, last)
-    return best[1], best[2]
+        found.append((first, last))
+    return found
 
 
 def main_text(page: str | None, window: int = 3, surge: int = 86, link_share: float = 0.6) -> str:
@@ -161,22 +166,18 @@ def main_text(page: str | None, window: int = 3, surge: int = 86, link_share: fl
     first, last = region(lengths, window, surge)
     if last < first:
         return ""
-    # the innermost container that holds nearly all of the region's text
-    inside: dict[int, int] = {}
-    depth: dict[int, int] = {}
-    for text, _, path, _ in lines[first : last + 1]:
-        for d, c in enumerate(path):
-            inside[c] = inside.get(c, 0) + len(text)
-            depth[c] = d
-    whole = sum(len(x[0]) for x in lines[first : last + 1])
-    held = [c for c, n in inside.items() if n >= 0.95 * whole]
-    kept = range(first, last + 1)
-    if held:
-        core = max(held, key=depth.__getitem__)
-        own = [i for i, x in enumerate(lines) if core in x[2]]
-        outside = len(lines) - len(own)
-        if outside or any(x[3] for x in lines):
-            kept = own
+    # the innermost article or main, or else container, that holds the whole region; lines of links do not count
+    region_lines = [x for x, n in zip(lines[first : last + 1], lengths[first : last + 1], strict=True) if n]
+    around = [set.intersection(*(set(x[k]) for x in region_lines)) for k in (3, 2)]
+    core = max(around[0] or around[1], default=None)
+    own = [i for i, x in enumerate(lines) if core in x[2]]
+    if own and (len(own) < len(lines) or lines[first][3]):
+        kept = own
+    elif lines[first][3]:  # articles without a container around them
+        kept = range(len(lines))
+    else:  # the container is the page itself: its runs of text
+        kept = [i for a, b in runs(lengths, window, surge) for i in range(a, b + 1)]
+        kept = sorted(set(kept))
     return "\n".join(lines[i][0] for i in kept if not (lengths[i] == 0 and len(lines) > 1 and not (lines[i][3] and lines[i][1] < len(lines[i][0]))))
 
 

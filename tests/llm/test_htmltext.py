@@ -38,6 +38,16 @@ def test_odd_rows(spark):
     assert htmltext.extract(pages).count() == 3 and htmltext.extract(pages.limit(0)).count() == 0
 
 
+def test_headline_and_closing_lines_stay():
+    long = " ".join([WORDS] * 20)
+    assert htmltext.main_text(f"<article><h1>Title</h1><div><p>{long}</p></div><p>A closing paragraph of some words</p></article>") == f"Title\n{long}\nA closing paragraph of some words"
+    gap = "".join(f"<p>x{i}</p>" for i in range(9))
+    got = htmltext.main_text(f"<article><section><p>{long}</p>{gap}</section><section><p>{WORDS} two</p></section></article>")
+    assert got.startswith(long) and got.endswith(f"{WORDS} two")
+    flat = htmltext.main_text(f"<body><p>{long}</p>{gap}<p>{WORDS} two</p><p>{WORDS} three</p></body>")
+    assert long in flat and f"{WORDS} two\n{WORDS} three" in flat
+
+
 def test_declared_article_at_every_size():
     for n in (100, 150, 400):
         page = f"<body><article>" + f"<p>{WORDS}</p>" * n + "</article><div>" + f"<p>{WORDS} thread</p>" * 2 * n + "</div></body>"
