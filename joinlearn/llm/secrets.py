@@ -2,7 +2,8 @@
 
 Statements of the shape ``name = value`` (source code, YAML, JSON, INI, shell) are read into name-literal pairs.
 String constants that an earlier line of the same text bound to a name are propagated into later expressions, and
-each literal is scored by how sensitive the name is that it reaches and by how much it looks like a key.
+each literal is scored by how sensitive the name is that it reaches and by how much it, or the joined value it is a piece of,
+looks like a key.
 
 Defined results: a null or empty text has no spans; rows are never dropped, repeated rows give equal results;
 offsets are code points, ends are exclusive.
@@ -46,8 +47,9 @@ _STRING = re.compile(r'''"((?:[^"\\\n]|\\.)*)"|'((?:[^'\\\n]|\\.)*)'|`([^`\n]*)`
 _BARE = re.compile(r"[A-Za-z0-9+/_.=~@!%&*^$-]+")
 _JOIN = re.compile(r"[ \t]*(?:\+|\.\.|\.(?=[ \t]*[\"'$]))[ \t]*")
 _PARTS = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|[0-9]+")
-#: How far before an operator a name may begin; names are short, and this keeps the lexer linear.
+#: How far before an operator a name is looked for at first; one that reaches further back is read on to its start.
 NAME_REACH = 96
+_NAME_LETTERS = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789_$.-")
 
 
 def name_score(name: str) -> float:
@@ -79,21 +81,41 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
     return found
 
 
-def pairs(text: str) -> list[tuple[str, str, int, int, str]]:
-    """Name-literal pairs: (target name, literal, start, end, 'literal' or 'constant'), constants propagated."""
+def name_before(text: str, low: int, at: int) -> str | None:
+    """The name that ends before the operator at `at`, on the same line and not before low. No stretch is read for two
+    operators, as none lies inside a name or the blanks after it."""
+    near = max(low, at - NAME_REACH)
+    before = text[near:at]
+    line = before.rfind("\n") + 1
+    name = _NAME_BEFORE.search(before[line:])
+    if line or near == low or (name and name.start()):
+        return name.group(1) if name else None
+    end = at
+    while end > low and text[end - 1] in " \t":
+        end -= 1
+    for _ in range(2):
+        end -= end > low and text[end - 1] in "\"']"
+    first = end
+    while first > low and text[first - 1] in _NAME_LETTERS:
+        first -= 1
+    return text[first:end].lstrip("0123456789.-") or None
+
+
+def pairs(text: str) -> list[tuple[str, str, int, int, str, str]]:
+    """Name-literal pairs: (target name, literal, start, end, 'literal' or 'constant', joined value), constants propagated.
+
+    The joined value is that of all constant pieces of the expression."""
     if "=" not in text and ":" not in text:
         return []
-    out: list[tuple[str, str, int, int, str]] = []
+    out: list[tuple[str, str, int, int, str, str]] = []
     constants: dict[str, list[tuple[str, int, int]]] = {}
     done = 0
     for m in _OPERATOR.finditer(text):
         at = m.start()
         if at < done:
             continue
-        low = max(done, at - NAME_REACH)
-        before = text[low:at]
-        name = _NAME_BEFORE.search(before[before.rfind("\n") + 1 :])
-        if not name:
+        target = name_before(text, done, at)
+        if not target:
             continue
         p = at + 1
         if text[p : p + 1] in ("=", ">") and text[at] == "=":
@@ -124,13 +146,13 @@ def pairs(text: str) -> list[tuple[str, str, int, int, str]]:
         if not pieces:
             continue
         done = p
-        target = name.group(1)
         if not joined and pieces[0][3] == "bare":
             pieces = [(*pieces[0][:3], "literal")]
         kept = [x for x in pieces if x[3] != "bare"]
         if kept:
             constants[target] = [x[:3] for x in kept]
-        out += [(target, *x) for x in kept]
+        whole = "".join(x[0] for x in kept)
+        out += [(target, *x, whole) for x in kept]
     return out
 
 
@@ -143,11 +165,11 @@ def scan(text: str | None, threshold: float = 0.5) -> list[tuple[int, int, str,
     base = base_spans(text)
     spans = [(*s, 1.0) for s in base]
     seen: set[tuple[int, int]] = set()
-    for target, value, start, end, kind in pairs(text):
+    for target, value, start, end, kind, whole in pairs(text):
         named = name_score(target)
-        if not named or (start, end) in seen:
+        if not named or start == end or (start, end) in seen:
             continue
-        score = named * literal_score(value)
+        score = named * max(literal_score(value), literal_score(whole) if whole != value else 0.0)
         if score >= threshold and not any(a <= start and end <= b for a, b, _ in base):
             seen.add((start, end))
             spans.append((start, end, kind, score))

@@ -45,3 +45,13 @@ def test_query_on_tables(spark, sf):
 def test_odd_rows(odd_docs, no_docs):
     assert secrets.find_secrets(odd_docs).count() == odd_docs.count()
     assert secrets.find_secrets(no_docs).count() == 0
+
+
+def test_joined_values_and_long_names():
+    text = 'a = "abcd1"\nb = "efgh2"\nsecret = a + b + "ijkl3" + "mnop4"\n'
+    assert {text[a:b] for a, b, *_ in secrets.scan(text)} == {"abcd1", "efgh2", "ijkl3", "mnop4"}
+    assert not secrets.scan('colour = "abcd1" + "efgh2" + "ijkl3"')
+    for name in ("client_pwd." + "x" * 200, "9.pwd." + "x" * 200 + "']" + " " * 120):
+        text = f'{name} = "aB3dE5fG7"'
+        assert [text[a:b] for a, b, *_ in secrets.scan(text)] == ["aB3dE5fG7"], name
+    assert secrets.name_before("pwd\n" + " " * 200 + "=", 0, 204) is None
