@@ -4,8 +4,8 @@ Lexicon: document counts of words and their beginnings among labelled rows; thos
 be chance (a binomial bound, corrected for how many candidates there are) become terms: whole words, or stems where the
 endings vary. Near copies among the labelled rows count once, or all words of a copied document would look telling. Words
 near a term that clean documents use themselves are no misspellings. Matching: an automaton that accepts every term within an edit distance, built lazily as sets of (trie node,
-edits), reads each word. Context: hits add up over a window of words; hits inside quotation marks or after words of
-reporting count less. A logistic function of these evidence values, fitted to the same labelled rows, gives the score.
+edits), reads each word. Context: hits add up over a window of words; hits inside a quotation of any length or within three words after a
+word of reporting count less. A logistic function of these evidence values, fitted to the same labelled rows, gives the score.
 
 Only text and labels.toxic are read for learning. The rows learned from are at most about SAMPLE (a documented bound on
 a bounded model); scoring covers the whole of every text.
@@ -16,6 +16,7 @@ toxic label in the sample every score is 0; repeated rows score alike.
 
 from __future__ import annotations
 
+import bisect
 import math
 import re
 from collections.abc import Iterator
@@ -38,15 +39,36 @@ QUOTED = 0.35
 THRESHOLD = 0.7
 
 _WORD = re.compile(r"\w+")
-_OPEN, _CLOSE = "\"“„«‹‘", "\"”“»›’"
 # Words of speaking about a word, in the languages of the tables.
 REPORTING = {"word", "words", "term", "terms", "called", "said", "says", "quote", "quoted", "slur", "insult", "wort", "sagte", "mot", "terme", "dit", "palabra", "dijo"}
 
 
+#: How the learned terms are matched: swapped letters are one edit, and terms from four letters on may have one.
+LOOSE = {"fuzzy_least": 4, "swaps": True}
+_QUOTE = re.compile(r"[\"“”„«»‹›‘’]|\n\s*\n")
+_ENDS = {'"': '"', "“": "”", "„": "“”", "«": "»", "»": "«", "‹": "›", "›": "‹", "‘": "’"}
+
+
+def quotations(text: str) -> list[tuple[int, int]]:
+    """Spans between an opening quotation mark and the one that closes it; none runs over a blank line or stays unclosed."""
+    out, opened = [], None
+    for m in _QUOTE.finditer(text):
+        c, a, b = m.group(), m.start(), m.end()
+        if c[0] == "\n":
+            opened = None
+        elif opened is not None and c in _ENDS[text[opened]]:
+            if c not in "\"’" or (not text[a - 1].isspace() and not text[b : b + 1].isalnum()):
+                out.append((opened, b))
+                opened = None
+        elif opened is None and c in _ENDS and not text[max(0, a - 1) : a].isalnum() and text[b : b + 1].strip():
+            opened = a
+    return out
+
+
 class Automaton:
     """All terms within `edits` of a word: deterministic states made on demand over a trie."""
 
-    def __init__(self, terms: dict[str, float], edits: int = EDITS, fuzzy_least: int = FUZZY_LEAST, innocent: frozenset = frozenset()) -> None:
+    def __init__(self, terms: dict[str, float], edits: int = EDITS, fuzzy_least: int = FUZZY_LEAST, innocent: frozenset = frozenset(), swaps: bool = False) -> None:
         self.edits, self.fuzzy_least, self.innocent = edits, fuzzy_least, innocent
         self.children: list[dict[str, int]] = [{}]
         self.value: list[tuple[float, bool, int] | None] = [None]  # weight, whether a stem, length
@@ -64,6 +86,14 @@ class Automaton:
                 at = self.children[at][c]
                 self.longest[at] = max(self.longest[at], len(text))
             self.value[at] = (weight, stem, len(text))
+        #: Terms with two neighbouring letters swapped, whole words apart from stems.
+        self.swaps: tuple[dict[str, float], dict[str, float]] = ({}, {})
+        for term, weight in terms.items() if swaps else ():
+            text = term.rstrip("*")
+            for i in range(len(text) - 1) if len(text) >= fuzzy_least else ():
+                made, held = text[:i] + text[i + 1] + text[i] + text[i + 2 :], self.swaps[term.endswith("*")]
+                if made != text:
+                    held[made] = max(held.get(made, 0.0), weight)
         self._reset()
 
     def _reset(self) -> None:
@@ -72,9 +102,11 @@ class Automaton:
         self.moves: list[dict[str, int]] = [{}]
         self.start = self._state(self._closure({(0, 0)}))
         self.heads: dict[str, int] = {}
+        self.swap_heads = {v[:4] for held in self.swaps for v in held}
+        self.swap_lengths = sorted({len(v) for v in self.swaps[1]})
 
     def __getstate__(self) -> dict:
-        return {k: getattr(self, k) for k in ("edits", "fuzzy_least", "innocent", "children", "value", "longest")}
+        return {k: getattr(self, k) for k in ("edits", "fuzzy_least", "innocent", "children", "value", "longest", "swaps")}
 
     def __setstate__(self, state: dict) -> None:
         self.__dict__.update(state)
@@ -123,6 +155,7 @@ class Automaton:
                 break
         if len(self.heads) > 200_000:
             self.heads.clear()
+        accepted |= any(four[:k] in self.swap_heads for k in range(1, 5))
         self.heads[four] = got = -1 if accepted and not s else s
         return got
 
@@ -138,6 +171,9 @@ class Automaton:
                 v = self.value[node]
                 if v and (v[1] or last) and (e == 0 or v[2] >= self.fuzzy_least) and v[0] * (0.5**e) > best[0]:
                     best = (v[0] * (0.5**e), e)
+        for weight in (self.swaps[0].get(word, 0.0), *(self.swaps[1].get(word[:k], 0.0) for k in self.swap_lengths if k <= len(word))):
+            if 0.5 * weight > best[0]:
+                best = (0.5 * weight, 1)
         return (0.0, 0) if best[1] and word in self.innocent else best
 
 
@@ -154,11 +190,12 @@ def hits_of(text: str | None, automaton: Automaton) -> list[tuple[int, float, in
         return []
     wanted = {i for i, _, _ in found}
     places = {i: m.span() for i, m in enumerate(_WORD.finditer(text)) if i in wanted}
-    out = []
+    out, spans = [], quotations(text)
+    starts = [a for a, _ in spans]
     for i, weight, edits in found:
         a, b = places[i]
-        before, after = text[a - 1 : a], text[b : b + 1]
-        quoted = (bool(before) and before in _OPEN and bool(after) and after in _CLOSE) or (bool(before) and before in _OPEN and any(w in REPORTING for w in words[max(0, i - 3) : i]))
+        at = bisect.bisect_right(starts, a) - 1
+        quoted = (at >= 0 and b <= spans[at][1]) or any(w in REPORTING for w in words[max(0, i - 3) : i])
         out.append((i, weight, edits, quoted))
     return out
 
@@ -322,7 +359,7 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     # few pass: candidates must be mostly toxic, and they come from a bounded sample
     counts = [(r.term, r.t, r.n) for r in terms.where((F.col("t") >= 3) & (F.col("t") > 1.5 * F.col("n"))).collect()]
     chosen = choose_terms(counts, support, toxic, clean)
-    plain = docs.sparkSession.sparkContext.broadcast(Automaton(chosen))
+    plain = docs.sparkSession.sparkContext.broadcast(Automaton(chosen, **LOOSE))
 
     def near(cols: dict) -> dict:
         return {"word": cols["word"], "edits": [plain.value.match(w)[1] if plain.value.head(w[:4]) else 0 for w in cols["word"]]}
@@ -330,7 +367,7 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     usual = words.where((F.col("n") >= 2) & (F.col("t") < F.col("n")))
     usual = common.map_columns(usual, ["word"], near, "word string, edits int", text=None).where("edits > 0")
     innocent = frozenset(r.word for r in usual.collect())  # words of the bounded sample, one edit from a term
-    shared = docs.sparkSession.sparkContext.broadcast(Automaton(chosen, innocent=innocent))
+    shared = docs.sparkSession.sparkContext.broadcast(Automaton(chosen, innocent=innocent, **LOOSE))
 
     def run(cols: dict) -> dict:
         made = [evidence(hits_of(t, shared.value)) for t in cols["text"]]
@@ -339,7 +376,7 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     kind = rows.schema["toxic"].dataType.simpleString()
     got = common.map_columns(rows, ["text", "toxic"], run, f"toxic {kind}, x double, y double").toPandas()  # about `sample` rows of numbers
     weights = fit_logistic(_features(list(zip(got.x, got.y, strict=True))), (got.toxic > 0).to_numpy(float))
-    return Model(chosen, weights.tolist(), Automaton(chosen, innocent=innocent))
+    return Model(chosen, weights.tolist(), Automaton(chosen, innocent=innocent, **LOOSE))
 
 
 def score(docs: DataFrame, model: Model, keep: list[str] | dict[str, str], text_col: str = "text") -> DataFrame:

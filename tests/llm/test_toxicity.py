@@ -49,3 +49,13 @@ def test_odd_rows(spark, odd_docs, no_docs):
     got = toxicity.score(odd_docs, model, odd_docs.columns[:5])
     assert got.count() == odd_docs.count() and all(0 <= r.score <= 1 for r in got.collect())
     assert toxicity.score(no_docs, toxicity.learn(no_docs, labels.limit(0)), ["doc_id"]).count() == 0
+
+
+def test_long_quotations_reports_and_misspellings():
+    a = toxicity.Automaton({"scum": 2.0, "idiot": 2.0, "lowei*": 2.0}, **toxicity.LOOSE)
+    quoted = lambda t: [q for *_, q in toxicity.hits_of(t, a)]
+    assert quoted('she wrote "you are a stupid idiot" and left') == [True] and quoted("er rief „du bist ein idiot“ laut") == [True]
+    assert quoted("the word idiot is old") == [True] and quoted("you stupid idiot") == [False]
+    assert quoted('5" pipe, you idiot') == [False] and quoted('"so what\n\nyou idiot"') == [False] and quoted('"yes" you idiot "no"') == [False]
+    for w in ("idoit", "scun", "scmu", "lwoeischaft"):
+        assert a.match(w) == (1.0, 1) and a.head(w[:4]), w
