@@ -25,7 +25,7 @@ def _noop(df: DataFrame) -> float:
 
 def learn(spark: SparkSession, sf_dir: str, workload: str, strategy: str = "factorized") -> dict:
     query, order = workloads.star(spark, sf_dir, workload)
-    mom = moments(query, query.aggregates(1), order, strategy, eager=False)
+    mom = moments(query, query.aggregates(1), order, strategy)
     began = time.time()
     model = Linear(query).attach(SigmaIndex(FeatureLayout(mom, query.feature_map(1))))
     penalty = fd.merged_penalty(model, workloads.PART, fd.groupings(query, workloads.PART, model.layout)) if workload == "W4F" else None
@@ -54,7 +54,7 @@ def sharing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(strategy, aggregates, seconds, seconds_each): all aggregates at once, and one job for each of a few."""
     query, order = workloads.star(spark, sf_dir, "W2")
     wanted = query.aggregates(1)
-    bulk = moments(query, wanted, order, kernel="arrow", eager=False)
+    bulk = moments(query, wanted, order)
     some = [m for m in wanted if len(m.cats) == 1][:6]
     one = sum(_noop(df) for _, _, df in lower(query, some, strategy="individual"))
     n = sum(bulk.entries())
@@ -64,9 +64,9 @@ def sharing(spark: SparkSession, sf_dir: str) -> DataFrame:
 def onehot_against_sparse(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(form, columns, entries, seconds): categories as indicator columns, dense, against grouped sums."""
     query, order = workloads.star(spark, sf_dir, "W2", categorical=("l_returnflag", "l_linestatus", "o_orderpriority", "o_orderstatus", "c_mktsegment"))
-    sparse = moments(query, query.aggregates(1), order, kernel="arrow", eager=False)
+    sparse = moments(query, query.aggregates(1), order)
     hot = onehot_query(spark, query)
-    dense = moments(hot, hot.aggregates(1), kernel="arrow", eager=False)
+    dense = moments(hot, hot.aggregates(1))
     return spark.createDataFrame([("sparse", len(query.features), sum(sparse.entries()), sparse.seconds), ("onehot", len(hot.features), sum(dense.entries()), dense.seconds)], "form string, columns long, entries long, seconds double")
 
 

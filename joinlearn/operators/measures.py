@@ -14,9 +14,9 @@ from ..plans.query import FeatureQuery
 from ..plans.views import Views
 
 
-def count_query(query: FeatureQuery, order: VariableOrder | None = None, eager=True) -> DataFrame:
+def count_query(query: FeatureQuery, order: VariableOrder | None = None, eager=None) -> DataFrame:
     """(n): rows of the join, from pushed-down counts."""
-    return Views(query, order or VariableOrder.suggest(query), eager).roots([ONE])[0][2].select(F.coalesce("m0", F.lit(0.0)).cast("long").alias("n"))
+    return next(Views(query, order or VariableOrder.suggest(query), eager).roots([ONE]))[2].select(F.coalesce("m0", F.lit(0.0)).cast("long").alias("n"))
 
 
 def listing_size(query: FeatureQuery, order: VariableOrder | None = None) -> int:

@@ -1,17 +1,21 @@
 """Moments of a feature query: sums of all aggregate monomials by categorical key, under several strategies.
 
-factorized: views over a variable order (sums pushed past the join). materialize: over the join itself. individual: one
-job for each aggregate (no sharing). onehot: categories turned into 0/1 columns of the relations, then factorized
-(the linear-only prototype). order_per_keys: a variable order of its own for every key set."""
+factorized: shared views over a variable order (sums pushed past the join where that shrinks them). materialize: over the
+join itself, a grouping for each key set. individual: one job for each aggregate (no sharing). onehot: categories turned
+into 0/1 columns of the relations, then factorized (the linear-only prototype). order_per_keys: a variable order of its own
+for every key set."""
 
 from __future__ import annotations
 
 import json
+from collections.abc import Callable, Iterator, Sequence
 from dataclasses import dataclass, field
+from functools import cached_property, reduce
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -20,14 +24,39 @@ from pyspark.sql.pandas.types import to_arrow_schema
 from ..plans.monomials import ONE, Monomial, by_keys
 from ..plans.order import VariableOrder
 from ..plans.query import FeatureQuery
-from ..plans.views import WIDEST, Views, power, product
+from ..plans.views import WIDEST, View, Views, plain, power, product
 
-#: More key sets than this are served by the one-pass kernel.
-MANY_KEY_SETS = 12
+#: Payloads of more pieces of WIDEST columns than this are served by the one-pass kernel: each piece is a join of its own.
+MANY_PIECES = 6
 #: Most entries that are collected to the driver; beyond, moments stay a table (see `long_table`).
 DRIVER_ENTRIES = 200_000_000
 
-Roots = list[tuple[tuple[str, ...], list[Monomial], DataFrame]]
+Keys = tuple[str, ...]
+Root = tuple[Keys, list[Monomial], DataFrame]
+
+
+class Lowered(Sequence):
+    """Lazy results of the factorized strategy: the shared views, and (made when asked for) one DataFrame a key set."""
+
+    def __init__(self, views: Views, monomials: list[Monomial]) -> None:
+        self.plans, self.monomials = views, monomials
+
+    @cached_property
+    def views(self) -> list[View]:
+        return self.plans.results(self.monomials)
+
+    @cached_property
+    def _roots(self) -> list[Root]:
+        return list(self.plans.roots(self.monomials))
+
+    def __len__(self) -> int:
+        return len(self._roots)
+
+    def __getitem__(self, i):
+        return self._roots[i]
+
+
+Roots = Sequence[Root]
 
 
 @dataclass
@@ -62,12 +91,12 @@ class Moments:
         return scalar, sum(len(t) * len(self.monomials[k]) for k, t in self.tables.items() if k)
 
 
-def lower(query: FeatureQuery, monomials: list[Monomial], order: VariableOrder | None = None, strategy: str = "factorized", eager=True) -> Roots:
-    """Lazy DataFrames, one a key set, for the strategies that are plain plans."""
+def lower(query: FeatureQuery, monomials: list[Monomial], order: VariableOrder | None = None, strategy: str = "factorized", eager=None) -> Roots:
+    """Lazy DataFrames, one a key set, for the strategies that are plain plans. eager: see `Views`."""
     if strategy == "factorized":
-        return Views(query, order or VariableOrder.suggest(query), eager).roots(monomials)
+        return Lowered(Views(query, order or VariableOrder.suggest(query), eager), monomials)
     if strategy == "order_per_keys":
-        out: Roots = []
+        out: list[Root] = []
         for keys, wanted in by_keys(monomials).items():
             shaped = FeatureQuery(query.relations, query.continuous, tuple(keys), query.response, query.where, query.set_semantics, query.null_policy, query.scale, tuple(c for c in query.categorical if c not in keys))
             out += Views(shaped, VariableOrder.suggest(shaped), eager).roots(wanted)
@@ -139,8 +168,8 @@ def one_pass(frame: DataFrame, keys: tuple[str, ...], payloads: list[Monomial],
                     distinct, sums = [()], x.sum(0, keepdims=True)
                 else:
                     joined = codes[cols[0]]
-                    for c in cols[1:]:
-                        joined = joined * (int(codes[c].max()) + 1) + codes[c]
+                    for c in cols[1:]:  # dense again after each key: level codes grow over a task and their product could overflow
+                        joined = np.unique(joined, return_inverse=True)[1].astype(np.int64) * (int(codes[c].max()) + 1) + codes[c]
                     _, first, inverse = np.unique(joined, return_index=True, return_inverse=True)
                     sums = np.column_stack([np.bincount(inverse, weights=x[:, j], minlength=len(first)) for j in range(x.shape[1])])
                     distinct = list(zip(*(codes[c][first].tolist() for c in cols), strict=True))
@@ -169,56 +198,115 @@ def _merge_wide(partial: DataFrame) -> DataFrame:
     return rows.select("set", "key", F.transform("x", lambda e: e.v).alias("sums"))
 
 
-def moments(query: FeatureQuery, monomials: list[Monomial], order: VariableOrder | None = None, strategy: str = "factorized", kernel: str = "auto", eager=True, limit: int = DRIVER_ENTRIES) -> Moments:
-    """Evaluate and collect. kernel: 'sql' (a grouping for each key set), 'arrow' (one pass for all), 'auto' by their number."""
+def _guarded(df: DataFrame, by: list[str], entries: Callable[..., tuple[int, Keys]], limit: int) -> pa.Table:
+    """The rows on the driver, after their entries were counted and found within the limit.
+
+    entries: width and key set of the rows that share the values of the columns `by`."""
+    held, total = df.persist(), 0
+    try:
+        for *at, rows in held.groupBy(*by).count().collect():
+            width, keys = entries(*at)
+            total += rows * width
+            if total > limit:
+                raise MemoryError(f"key set {keys} takes the moments over {limit} entries; use long_table()")
+        return held.toArrow()
+    finally:
+        held.unpersist()
+
+
+def _stacked(views: list[View]) -> tuple[DataFrame, list[str]]:
+    """All views as one frame (__v: place of the view, __n: key set, keys, __p: sums), so that one job evaluates them."""
+    keys = sorted({k for v in views for k in v.keys})
+    frames = [v.frame.select(F.lit(i).alias("__v"), F.col(v.number).alias("__n"), *[F.col(k) if k in v.keys else F.lit(None).alias(k) for k in keys], F.col(v.packed).alias("__p")) for i, v in enumerate(views)]
+    return reduce(DataFrame.unionByName, frames), keys
+
+
+def _matrix(column: pa.ChunkedArray, width: int) -> np.ndarray:
+    """An array column of sums as rows by width."""
+    flat = pa.chunked_array([c.flatten() for c in column.chunks], column.type.value_type)
+    return flat.cast(pa.float64()).to_numpy().reshape(len(column), width)
+
+
+def _slices(table: pa.Table, by: list[str]) -> Iterator[tuple[tuple[int, ...], pa.Table]]:
+    """Rows of each combination of numbers in the columns `by`."""
+    table = table.take(pc.sort_indices(table, [(c, "ascending") for c in by]))
+    numbers = np.column_stack([table[c].to_numpy() for c in by])
+    starts = np.flatnonzero(np.r_[True, (numbers[1:] != numbers[:-1]).any(1)]) if len(numbers) else np.zeros(0, int)
+    for low, high in zip(starts, [*starts[1:], len(numbers)], strict=False):
+        yield tuple(int(x) for x in numbers[low]), table.slice(low, high - low)
+
+
+def _frame_of(keys: Keys, columns: dict, sums: np.ndarray) -> pd.DataFrame:
+    return pd.DataFrame({k: columns[k] for k in keys} | {f"m{i}": sums[:, i] for i in range(sums.shape[1])})
+
+
+def moments(query: FeatureQuery, monomials: list[Monomial], order: VariableOrder | None = None, strategy: str = "factorized", kernel: str = "auto", eager=None, limit: int = DRIVER_ENTRIES) -> Moments:
+    """Evaluate and collect. kernel: 'sql' (shared views, or a grouping for each key set), 'arrow' (one pass over the join for
+    all key sets), 'auto' (views unless their payloads are very wide). Entries are counted before they are collected: over `limit` of them raise MemoryError."""
     import time
 
     began = time.time()
     groups = by_keys(monomials)
     if kernel == "auto":
-        kernel = "arrow" if len(groups) > MANY_KEY_SETS and strategy in ("factorized", "materialize") and query.scale is None else "sql"
-    tables: dict = {}
-    kept: dict = {}
-    total = 0
+        pieces = sum(-(-len(f) // WIDEST) for f in {tuple(sorted(map(plain, ms))) for ms in groups.values()})
+        kernel = "arrow" if pieces > MANY_PIECES and strategy in ("factorized", "materialize") and query.scale is None else "sql"
+    found: dict[Keys, list[tuple[pd.DataFrame, list[Monomial]]]] = {ks: [] for ks in groups}
     if kernel == "arrow":
         keys = tuple(sorted({k for g in groups for k in g}))
         if strategy == "factorized":
-            frame, payloads, _ = Views(query, order or VariableOrder.suggest(query), eager).finest(monomials)
+            frame, payloads = Views(query, order or VariableOrder.suggest(query), eager).finest(monomials)
         else:
-            payloads = list(dict.fromkeys(Monomial(m.cont, ()) for m in monomials))
+            payloads = list(dict.fromkeys(map(plain, monomials)))
             frame = query.listing().select(*keys, *[product([power(v, e) for v, e in m.cont], False).alias(f"m{i}") for i, m in enumerate(payloads)])
-        kinds = {k: frame.schema[k].dataType for k in keys}
-        got = one_pass(frame, keys, payloads, groups).toPandas()
-        for s, (ks, wanted) in enumerate(groups.items()):
-            mine = got[got["set"] == s]
-            total += len(mine) * len(wanted)
-            parsed = list(map(json.loads, mine["key"]))
-            table = {k: [p[i] for p in parsed] for i, k in enumerate(ks)}
-            sums = np.array([r[: len(wanted)] for r in mine["sums"]], float).reshape(len(mine), len(wanted))
-            tables[ks] = pd.DataFrame(table | {f"m{i}": sums[:, i] for i in range(len(wanted))})
-            kept[ks] = wanted
-        del kinds
+        sets = list(groups.items())
+        got = _guarded(one_pass(frame, keys, payloads, groups), ["set"], lambda s: (len(sets[s][1]), sets[s][0]), limit)
+        for (s,), mine in _slices(got, ["set"]):
+            ks, wanted = sets[s]
+            parsed = list(map(json.loads, mine["key"].to_pylist()))
+            sums = np.array([r[: len(wanted)] for r in mine["sums"].to_pylist()], float).reshape(len(parsed), len(wanted))
+            found[ks].append((_frame_of(ks, {k: [p[i] for p in parsed] for i, k in enumerate(ks)}, sums), wanted))
     else:
-        for ks, wanted, df in lower(query, monomials, order, strategy, eager):
-            got = df.toPandas()
-            total += len(got) * len(wanted)
-            if total > limit:
-                raise MemoryError(f"key set {ks} takes the moments over {limit} entries; use long_table()")
-            if ks in tables:
-                n = len(kept[ks])
-                got = got.rename(columns={f"m{i}": f"m{n + i}" for i in range(len(wanted))})
-                tables[ks] = tables[ks].merge(got, on=list(ks)) if ks else pd.concat([tables[ks], got], axis=1)
-                kept[ks] = [*kept[ks], *wanted]
-            else:
-                tables[ks], kept[ks] = got, list(wanted)
-    return Moments(query, tables, kept, time.time() - began, f"{strategy}/{kernel}")
+        roots = lower(query, monomials, order, strategy, eager)
+        if isinstance(roots, Lowered):
+            views = roots.views
+            named = [{n: ks for ks, n in v.sets.items()} for v in views]
+            frame, _ = _stacked(views)
+            got = _guarded(frame, ["__v", "__n"], lambda v, n: (len(views[v].payloads), named[v][n]), limit)
+            for (i, n), mine in _slices(got, ["__v", "__n"]):
+                ks, wanted = named[i][n], views[i].payloads
+                found[ks].append((_frame_of(ks, {k: mine[k].to_pandas() for k in ks}, _matrix(mine["__p"], len(wanted))), [Monomial(m.cont, ks) for m in wanted]))
+        else:
+            left = limit
+            for ks, wanted, df in roots:
+                got = _guarded(df, [], lambda ks=ks, wanted=wanted: (len(wanted), ks), left)
+                left -= got.num_rows * len(wanted)
+                found[ks].append((_frame_of(ks, {k: got[k].to_pandas() for k in ks}, np.column_stack([got[f"m{i}"].cast(pa.float64()).to_numpy() for i in range(len(wanted))])), wanted))
+    tables: dict = {}
+    kept: dict = {}
+    for ks, parts in found.items():
+        kept[ks] = [m for _, wanted in parts for m in wanted] or groups[ks]
+        tables[ks] = _beside(ks, [t for t, _ in parts]) if parts else _frame_of(ks, dict.fromkeys(ks, []), np.zeros((0, len(kept[ks]))))
+    return Moments(query, tables, kept, time.time() - began, f"{strategy}/{'arrow' if kernel == 'arrow' else 'sql'}")
+
+
+def _beside(keys: Keys, parts: list[pd.DataFrame]) -> pd.DataFrame:
+    """Payload pieces of one key set in one table, rows matched by key."""
+    out = parts[0]
+    for p in parts[1:]:
+        n = len(out.columns) - len(keys)
+        p = p.rename(columns={c: f"m{n + i}" for i, c in enumerate(c for c in p.columns if c not in keys)})
+        out = out.merge(p, on=list(keys)) if keys else pd.concat([out, p], axis=1)
+    return out
 
 
 def entry_counts(query: FeatureQuery, monomials: list[Monomial], order: VariableOrder | None = None) -> tuple[int, int]:
-    """Scalar and grouped aggregates that moments() would hold, from the occurring key combinations alone."""
+    """Scalar and grouped aggregates that moments() would hold, from the occurring key combinations alone, counted in place."""
     groups = by_keys(monomials)
-    found = moments(query, [Monomial((), k) for k in groups], order, kernel="arrow", eager=False)
-    return len(groups.get((), ())), sum(len(found.tables[k]) * len(ms) for k, ms in groups.items() if k)
+    grouped = 0
+    for v in lower(query, [Monomial((), k) for k in groups], order).views:
+        named = {n: ks for ks, n in v.sets.items()}
+        grouped += sum(rows * len(groups[named[n]]) for n, rows in v.frame.groupBy(v.number).count().collect() if named[n])
+    return len(groups.get((), ())), grouped
 
 
 def rolled_up(finer: DataFrame, keys: list[str], sums: list[str]) -> DataFrame:
@@ -226,17 +314,30 @@ def rolled_up(finer: DataFrame, keys: list[str], sums: list[str]) -> DataFrame:
     return finer.groupBy(*keys).agg(*[F.sum(c).alias(c) for c in sums])
 
 
+def _entries(roots: Roots) -> Iterator[tuple[Keys, DataFrame]]:
+    """(keys, DataFrame of the keys, monomial STRING and value DOUBLE): every entry, nothing collected."""
+    if isinstance(roots, Lowered):
+        for v in roots.views:
+            rows = [f"array({', '.join(repr(str(Monomial(m.cont, ks))) for m in v.payloads)})" for ks in v.sets]  # in order of number
+            each = v.frame.select(v.number, *v.keys, F.posexplode(v.packed).alias("__at", "value"))
+            yield v.keys, each.select(*v.keys, F.expr(f"array({', '.join(rows)})[`{v.number}`][__at] AS monomial"), F.col("value").cast("double").alias("value"))
+    else:
+        for keys, wanted, df in roots:
+            each = F.explode(F.array(*[F.struct(F.lit(str(m)).alias("monomial"), F.col(f"m{i}").cast("double").alias("value")) for i, m in enumerate(wanted)])).alias("e")
+            yield keys, df.select(*keys, each).select(*keys, "e.monomial", "e.value")
+
+
 def long_table(roots: Roots) -> DataFrame:
-    """(monomial STRING, keys MAP<STRING,STRING>, value DOUBLE): all entries as one table, nothing collected."""
-    parts = []
-    for keys, wanted, df in roots:
+    """(monomial STRING, keys MAP<STRING,STRING>, value DOUBLE): all entries as one table, nothing collected.
+
+    A null in a map means a key that the monomial lacks or a null level of one that it has."""
+
+    def one(keys: Keys, df: DataFrame) -> DataFrame:
         named = F.map_from_arrays(F.array(*[F.lit(k) for k in keys]).cast("array<string>"), F.array(*[F.col(k).cast("string") for k in keys]).cast("array<string>"))
-        each = F.explode(F.array(*[F.struct(F.lit(str(m)).alias("monomial"), F.col(f"m{i}").cast("double").alias("value")) for i, m in enumerate(wanted)])).alias("e")
-        parts.append(df.select(named.alias("keys"), each).select("e.monomial", "keys", "e.value"))
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+        own = F.map_filter(named, lambda k, _: F.contains(F.col("monomial"), F.concat(F.lit("["), k, F.lit("]"))))
+        return df.select("monomial", own.alias("keys"), "value")
+
+    return reduce(DataFrame.unionByName, [one(keys, df) for keys, df in _entries(roots)])
 
 
 def save(roots: Roots, path: str) -> None:
@@ -245,11 +346,7 @@ def save(roots: Roots, path: str) -> None:
 
 def keyed_table(roots: Roots) -> DataFrame:
     """(monomial, k STRING, value): keys as one text, for comparisons."""
-    parts = [df.select(F.explode(F.array(*[F.struct(F.lit(str(m)).alias("monomial"), F.col(f"m{i}").cast("double").alias("value")) for i, m in enumerate(wanted)])).alias("e"), F.concat_ws("|", *[F.col(k).cast("string") for k in keys]).alias("k")).select("e.monomial", "k", "e.value") for keys, wanted, df in roots]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    return reduce(DataFrame.unionByName, [df.select("monomial", F.concat_ws("|", *[F.col(k).cast("string") for k in keys]).alias("k"), "value") for keys, df in _entries(roots)])
 
 
 def category_levels(query: FeatureQuery, name: str) -> DataFrame:

@@ -51,7 +51,7 @@ def _lr(workload: str) -> tuple[Callable, str]:
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         q, order = workloads.star(spark, sf_dir, workload, exact=True)
-        return keyed_table(lower(q, wanted, order, eager=False))
+        return keyed_table(lower(q, wanted, order))
 
     return run, sqltext.star_moments(wanted, workload)
 
@@ -72,13 +72,13 @@ def _small(spark: SparkSession, sf_dir: str, workload: str = "W1", exact: bool =
 @query(sqltext.star_moments(_PR2, "W1"))
 def moments_pr2_v1(spark, sf_dir):
     q, order = _small(spark, sf_dir)
-    return keyed_table(lower(q, _PR2, order, eager=False))
+    return keyed_table(lower(q, _PR2, order))
 
 
 @query(sqltext.star_moments(_FM, "W1"))
 def moments_fm_v1(spark, sf_dir):
     q, order = _small(spark, sf_dir)
-    return keyed_table(lower(q, _FM, order, eager=False))
+    return keyed_table(lower(q, _FM, order))
 
 
 #: Categories of the degree-two plans over the other workloads; W4F is W4 after its dependency partkey -> p_brand.
@@ -90,7 +90,7 @@ def _degree_two(workload: str, squares: bool) -> tuple[Callable, str]:
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         q, order = workloads.star(spark, sf_dir, workload, True, SMALL_CONT, DEGREE_TWO[workload])
-        return keyed_table(lower(q, wanted, order, eager=False))
+        return keyed_table(lower(q, wanted, order))
 
     return run, sqltext.star_moments(wanted, workload)
 
@@ -122,7 +122,7 @@ def _strategy(name: str, doc: str | None, wanted: list[Monomial], ordered: bool,
 _strategy("moments_all_views_grouped", "Every bag aggregated eagerly, as the variable order says.", _LR_SMALL, True, eager=True)
 _strategy("materialized_moments", None, _LR_SMALL, False, strategy="materialize")
 _strategy("individual_aggregates", None, _LR_SMALL[:12], False, strategy="individual")
-_strategy("order_per_key_set_moments", None, _LR_SMALL, False, strategy="order_per_keys", eager=False)
+_strategy("order_per_key_set_moments", None, _LR_SMALL, False, strategy="order_per_keys")
 
 
 @query(f"""WITH {sqltext.STAR.format(where="")} SELECT l_returnflag, o_orderstatus, count(*) AS n, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS quantity,
@@ -167,7 +167,7 @@ def _onehot_moments(spark, sf_dir, workload):
     names = list(hot.continuous)
     y = variable("l_quantity", False)
     pairs = [(i, j, variable(a, False) * (variable(names[j], False) if j < len(names) else y)) for i, a in enumerate(names) for j in range(i, len(names) + 1)]
-    (_, wanted, df), = lower(hot, list(dict.fromkeys(m for _, _, m in pairs)), order, eager=False)
+    (_, wanted, df), = lower(hot, list(dict.fromkeys(m for _, _, m in pairs)), order)
     at = {m: f"m{i}" for i, m in enumerate(wanted)}
     return df.select(F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.lit(j).alias("j"), F.col(at[m]).alias("value")) for i, j, m in pairs])).alias("e")).select("e.*")
 
@@ -181,7 +181,7 @@ _SCALAR = [m for m in aggregate_monomials(feature_monomials(workloads.CONTINUOUS
 @query(sqltext.star_moments(_SCALAR, "W2"))
 def scalar_moments_star(spark, sf_dir):
     q, order = workloads.star(spark, sf_dir, "W2", True, categorical=())
-    return keyed_table(lower(q, _SCALAR, order, eager=False))
+    return keyed_table(lower(q, _SCALAR, order))
 
 
 _PAIRS = [Monomial((), p) for p in by_keys(aggregate_monomials(feature_monomials((), workloads.CATEGORICAL))) if len(p) == 2]
@@ -190,7 +190,7 @@ _PAIRS = [Monomial((), p) for p in by_keys(aggregate_monomials(feature_monomials
 @query(sqltext.star_moments(_PAIRS, "W2"))
 def cat_pair_counts(spark, sf_dir):
     q, order = workloads.star(spark, sf_dir, "W2", True, continuous=())
-    return keyed_table(lower(q, _PAIRS, order, eager=False))
+    return keyed_table(lower(q, _PAIRS, order))
 
 
 _SUMS = [variable(c, True) * variable(z, False) for c in workloads.CATEGORICAL for z in workloads.CONTINUOUS]
@@ -199,7 +199,7 @@ _SUMS = [variable(c, True) * variable(z, False) for c in workloads.CATEGORICAL f
 @query(sqltext.star_moments(_SUMS, "W2"))
 def cat_cont_sums(spark, sf_dir):
     q, order = workloads.star(spark, sf_dir, "W2", True)
-    return keyed_table(lower(q, _SUMS, order, eager=False))
+    return keyed_table(lower(q, _SUMS, order))
 
 
 @query("SELECT l_suppkey AS suppkey, CAST(sum(CAST(l_quantity AS BIGINT) * p_size) AS DOUBLE) AS total FROM lineitem JOIN part ON l_partkey = p_partkey JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1")
@@ -287,7 +287,7 @@ def compression_w2(spark, sf_dir):
 
 def _counts(spark, sf_dir, workload):
     q, order = workloads.star(spark, sf_dir, workload)
-    return moments(q, q.aggregates(1), order, kernel="arrow", eager=False), q
+    return moments(q, q.aggregates(1), order), q
 
 
 @query("SELECT w AS workload, CAST(9 AS BIGINT) AS continuous, n AS categorical FROM (" + " UNION ALL ".join(f"SELECT '{w}' AS w, (SELECT sum(n)::BIGINT FROM ({' UNION ALL '.join(f'SELECT count(DISTINCT {c}) AS n FROM lineitem JOIN part ON l_partkey = p_partkey JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey' for c in cats)})) AS n" for w, cats in (("W2", workloads.CATEGORICAL), ("W3", (*workloads.CATEGORICAL, "s_nationkey")), ("W4", (*workloads.CATEGORICAL, "l_partkey")))) + ")")
@@ -408,7 +408,7 @@ def _fit_query(model_of, workload="W1", small=False, **options):
     def run(spark, sf_dir):
         q, order = workloads.star(spark, sf_dir, workload, False, *((SMALL_CONT, DEGREE_TWO.get(workload, SMALL_CATS)) if small else ()))
         model = model_of(q)
-        mom = moments(q, aggregate_monomials(model.h, q.response), order, eager=False)
+        mom = moments(q, aggregate_monomials(model.h, q.response), order)
         model.attach(SigmaIndex(FeatureLayout(mom, model.h)))
         fit = solver.bgd(model, LAM, theta0=_fm_start(model) if isinstance(model, FactorizationMachine) else None, **options)
         gap = 0.0
@@ -436,7 +436,7 @@ for _name, _w, _few in (("v1", "W1", False), ("v2", "W2", False), ("v3", "W3", F
 def lr_fit_v4_fd(spark, sf_dir):
     """LR over the reduced features of W4 with the reparameterised penalty."""
     q, order = workloads.star(spark, sf_dir, "W4F")
-    model = Linear(q).attach(SigmaIndex(FeatureLayout(moments(q, q.aggregates(1), order, eager=False), q.feature_map(1))))
+    model = Linear(q).attach(SigmaIndex(FeatureLayout(moments(q, q.aggregates(1), order), q.feature_map(1))))
     groups = fd.groupings(q, workloads.PART, model.layout)
     fit = solver.bgd(model, LAM, penalty=fd.merged_penalty(model, workloads.PART, groups), **_LR_FIT)
     return _result(spark, [("bgd+fd", fit.runs, fit.status, fit.objective, rmse(model, fit.theta), 0.0)])
@@ -454,7 +454,7 @@ def pr2_fit_fd(spark, sf_dir):
     rows = []
     for name, q, order in (("full", fq, forder), ("dependency", rq, rorder)):
         model = Linear(q, 2)
-        model.attach(SigmaIndex(FeatureLayout(moments(q, aggregate_monomials(model.h, q.response), order, eager=False), model.h)))
+        model.attach(SigmaIndex(FeatureLayout(moments(q, aggregate_monomials(model.h, q.response), order), model.h)))
         pen = fd.merged_penalty(model, dep, fd.groupings(fq, dep, model.layout)) if name == "dependency" else None
         fit = solver.bgd(model, LAM, penalty=pen, **_LR_FIT)
         rows.append((name, fit.runs, fit.status, fit.objective, rmse(model, fit.theta), abs(fit.objective - rows[0][3]) if rows else 0.0))
@@ -465,7 +465,7 @@ def pr2_fit_fd(spark, sf_dir):
 def fm_fit_fd(spark, sf_dir):
     (fq, _), (rq, rorder), dep = _fd_small(spark, sf_dir)
     model = fd.DependentFM(rq, dep, 4)
-    model.attach(SigmaIndex(FeatureLayout(moments(rq, aggregate_monomials(model.h, rq.response), rorder, eager=False), model.h)))
+    model.attach(SigmaIndex(FeatureLayout(moments(rq, aggregate_monomials(model.h, rq.response), rorder), model.h)))
     model.with_groups(fd.groupings(fq, dep, model.layout))
     fit = solver.bgd(model, LAM, tol=None, max_iter=100, seed=1, penalty=model)
     return _result(spark, [("fm+fd", fit.runs, fit.status, fit.objective, rmse(model, fit.theta), 0.0)])
@@ -517,7 +517,7 @@ def ridge_per_category(spark, sf_dir):
 
 def _small_model(spark, sf_dir, workload="W2"):
     q, order = workloads.star(spark, sf_dir, workload, False, SMALL_CONT, SMALL_CATS)
-    model = Linear(q).attach(SigmaIndex(FeatureLayout(moments(q, q.aggregates(1), order, eager=False), q.feature_map(1))))
+    model = Linear(q).attach(SigmaIndex(FeatureLayout(moments(q, q.aggregates(1), order), q.feature_map(1))))
     return q, model, solver.solve_exact(model, LAM)
 
 
@@ -801,7 +801,7 @@ def rolled_up_view(spark, sf_dir):
 
     q, order = workloads.star(spark, sf_dir, "W2", True, continuous=(), categorical=("p_brand", "p_type"))
     both = ("p_brand", "p_type")
-    (_, _, finer), = lower(q, [Monomial((), both), Monomial((("l_quantity", 1),), both)], order, eager=False)
+    (_, _, finer), = lower(q, [Monomial((), both), Monomial((("l_quantity", 1),), both)], order)
     out = rolled_up(finer, ["p_brand"], ["m0", "m1"])
     return out.select("p_brand", F.col("m0").cast("double").alias("n"), F.col("m1").cast("double").alias("quantity"))
 
@@ -834,7 +834,7 @@ def fm_scores(spark, sf_dir):
 
     q, order = workloads.star(spark, sf_dir, "W2", False, SMALL_CONT, SMALL_CATS)
     model = FactorizationMachine(q, 4)
-    model.attach(SigmaIndex(FeatureLayout(moments(q, aggregate_monomials(model.h, q.response), order, eager=False), model.h)))
+    model.attach(SigmaIndex(FeatureLayout(moments(q, aggregate_monomials(model.h, q.response), order), model.h)))
     return score(model, solver.bgd(model, LAM, theta0=_fm_start(model), **_FM_FIT).theta, q.listing())
 
 
@@ -850,7 +850,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """LR on W1 end to end: factorized moments, descent, predictions for the join's rows."""
     q, order = workloads.star(spark, sf_dir, "W1", False, SMALL_CONT, SMALL_CATS)
     model = Linear(q)
-    model.attach(SigmaIndex(FeatureLayout(moments(q, q.aggregates(1), order, eager=False), model.h)))
+    model.attach(SigmaIndex(FeatureLayout(moments(q, q.aggregates(1), order), model.h)))
     fit = solver.bgd(model, LAM, **_LR_FIT)
     return predict.predict(model, fit.theta, q.listing())
 

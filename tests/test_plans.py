@@ -76,3 +76,50 @@ def test_pushdown_and_pruning(spark, sf):
     q, order = workloads.star(spark, sf, "W1", False, ("l_discount",), ("l_returnflag",))
     plan = lower(q, q.aggregates(1), order, eager=False)[0][2]._jdf.queryExecution().toString()
     assert "l_tax" not in plan.split("Physical Plan")[1] and "PartitionFilters" in plan and "CartesianProduct" not in plan
+
+
+def physical(roots):
+    return keyed_table(roots)._jdf.queryExecution().executedPlan().toString()
+
+
+def test_default_plans_group_below_the_join(spark, sf01):
+    """Sums are grouped by the root's key before the join above them: an aggregate lies under a join, unlike over the listing."""
+    for q, order in (workloads.star(spark, sf01, "W2", False, workloads.CONTINUOUS, ()), workloads.many_to_many(spark, sf01)):
+        wanted = [m for m in q.aggregates(1) if not m.cats]
+        below = lambda p: "Join" in p[: p.rindex("HashAggregate")]
+        factorized, listed = physical(lower(q, wanted, order)), physical(lower(q, wanted, strategy="materialize"))
+        assert below(factorized) and not below(listed)
+
+
+def test_views_are_shared_between_key_sets(spark, sf01):
+    q, order = workloads.star(spark, sf01, "W2")
+    wanted = q.aggregates(1)
+    views = lower(q, wanted, order).views
+    assert sum(len(v.sets) for v in views) == 37 and len(views) == 3
+    assert physical(lower(q, wanted, order)).count("FileScan") < 20  # the listing is read anew for each of 37 key sets
+
+
+def test_one_pass_with_many_levels(spark):
+    """Four keys of many levels in one batch: their codes cannot be multiplied in 64 bits."""
+    import numpy as np
+    import pandas as pd
+
+    from joinlearn.operators.moments import one_pass
+
+    n = 131_072
+    rows = pd.DataFrame({k: np.r_[np.arange(n), np.random.default_rng(i).permutation(n)] for i, k in enumerate("abcd")} | {"m0": 1.0})
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 400_000)
+    try:
+        keys = ("a", "b", "c", "d")
+        frame = spark.createDataFrame(rows).coalesce(1)
+        assert one_pass(frame, keys, [ONE], {keys: [Monomial((), keys)]}).count() == 2 * n
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+
+
+def test_limit_stops_the_one_pass_kernel_too(spark, sf):
+    from joinlearn.operators.moments import moments
+
+    q, order = workloads.star(spark, sf, "W2", False, (), ("l_returnflag", "p_brand"))
+    with pytest.raises(MemoryError):
+        moments(q, q.aggregates(1), order, kernel="arrow", limit=10)
