@@ -52,3 +52,32 @@ def test_declared_article_at_every_size():
     for n in (100, 150, 400):
         page = f"<body><article>" + f"<p>{WORDS}</p>" * n + "</article><div>" + f"<p>{WORDS} thread</p>" * 2 * n + "</div></body>"
         assert htmltext.main_text(page) == "\n".join([WORDS] * n)
+
+
+def test_everything_of_the_article_stays():
+    page = f'''<div class="social-history"><article><h1>T</h1><p>{WORDS}</p><figure><figcaption>Cap</figcaption></figure><p><a href="x">one link</a></p>
+    <svg><title>i</title><text x="1">Ab<tspan>c</tspan></text></svg><math><mi>x</mi></math><article class="comment"><p>first!</p></article></article></div><div class="comments"><article><p>no</p></article></div>'''
+    assert htmltext.main_text(page.replace('<div class="comments"><article><p>no</p></article></div>', "")) == f"T\n{WORDS}\nCap\none link\nAbc x"
+
+
+def test_same_rule_at_every_page_size():
+    for n in (199, 200, 201, 5000):
+        page = "<body><article>" + f"<p>{WORDS}</p>" * (2 * n // 5) + "</article><div>" + f"<p>{WORDS}</p>" * (n - 2 * n // 5) + "</div></body>"
+        assert htmltext.main_text(page).count("\n") == 2 * n // 5 - 1
+
+
+def test_surge_and_dive_choose_the_lines():
+    flat = "".join(f"<p>{t}</p>" for t in ["Home", "News", WORDS, WORDS, "a b", WORDS, *["x"] * 5, "Imprint", "Contact"])
+    assert htmltext.main_text(f"<body>{flat}</body>") == f"{WORDS}\n{WORDS}\na b\n{WORDS}"
+    lengths = [3, 200, 0, 0, 0, 150, 150, 4]
+    brute = [sum(lengths[i : i + 3]) for i in range(8)]
+    assert htmltext.distribution(lengths, 3) == brute and htmltext.region(lengths) == (5, 6)
+
+
+def test_deep_and_open_markup_is_read_in_time():
+    import time
+
+    n, began = 100_000, time.time()
+    for page in ("<div>" * n + f"<p>{WORDS}</p>", "<div><p>x</p></b></section>" * n, '<a href="x>y ' * n, "<b " * n, "<![CDATA[" * n, "<div><section>" * n + "</div>" * n + WORDS, "<svg>" * n + WORDS, '<p class="ad">' * n + WORDS):
+        htmltext.main_text(page)
+    assert time.time() - began < 60
