@@ -256,11 +256,11 @@ def main_text(page: str | None, window: int = 3, surge: int = 86, link_share: fl
     low, high = rows[first], rows[last]
     core = _around(lines, low, high, declared[low])
     solid = dict(zip(rows, lengths, strict=True))
-    if core > 0:
+    if core > 0 and (declared[low] or lines.stop[core] - lines.first[core] < len(lines.text)):
         kept = [i for i in range(lines.first[core], lines.stop[core]) if low <= i <= high or declared[i] or solid.get(i)]
     elif declared[low]:  # articles without a container around them
         kept = list(rows)
-    else:  # the container is the page itself: its runs of text
+    else:  # the container holds all there is: its runs of text
         spans = [_solid(lengths, a, b) for a, b in runs(lengths, window, surge)]
         kept = [rows[i] for a, b in spans for i in range(a, b + 1)]
     return "\n".join(lines.text[i] for i in kept)
