@@ -1,15 +1,19 @@
 """Benchmark decontamination with suffix arrays over shards of the training text.
 
-Each task reads its documents in shards of a bounded number of words, numbers the words by the benchmark's vocabulary (any
-other word can match nothing and separates), builds a suffix array of the shard and binary-searches every benchmark
-suffix in it. That gives the places of every verbatim match and, by extension, the longest ones. Nothing is shuffled.
+Each task reads its documents in shards of a bounded number of words and numbers the words by the benchmark's vocabulary (any
+other word can match nothing and separates). The shard's suffix array is built by prefix doubling; the names of the doubled
+prefixes are places in the benchmark's own sorted prefixes, so a suffix that no benchmark suffix begins like drops out at the
+first doubling. Every benchmark suffix is then binary-searched in the array, which gives the places of every verbatim match.
+Places that follow one another in a text and in an item are one match: the longest for each item is kept with its place. Nothing
+is shuffled.
 
-The benchmark is read in blocks of bounded size (BLOCK_BYTES); each block is one narrow pass in the same job, so the
-driver and the tasks hold one block however large the benchmark is.
+The benchmark is read in blocks of bounded size (BLOCK_BYTES). The driver collects one at a time, each is broadcast, and a
+task unpacks one at a time, so memory is that of one block however many there are; work is one pass of a run of texts a block.
 
 Defined results: null or empty texts have no words, no hits; items without words match nothing; items of fewer words
 than the window are matched whole; repeated rows and items give equal results and count once an item id; a null item id
-is written as the empty text; an empty benchmark leaves every document clean.
+is written as the empty text; an empty benchmark leaves every document clean; texts beyond a shard are read in overlapping
+pieces. Of equally long matches of an item the first in the text is kept.
 """
 
 from __future__ import annotations
@@ -26,94 +30,131 @@ from . import common
 _FOLD = bytes(c + 32 if 65 <= c <= 90 else c if 48 <= c <= 57 or 97 <= c <= 122 or c >= 128 else 32 for c in range(256))
 WINDOW = 10
 SHARD_WORDS = 1_000_000
-BLOCK_BYTES = 32 << 20
+BLOCK_BYTES = 8 << 20
+#: Pairs of places in a text and in items that are looked at together.
+PAIRS = 2_000_000
 
 
 def words_of(text: str | None) -> list[bytes]:
     return text.encode("utf-8", "surrogatepass").translate(_FOLD).split() if text else []
 
 
-def suffix_array(ids: np.ndarray, depth: int) -> np.ndarray:
-    """Positions of the suffixes of ids, in order of their first `depth` (a power of two at least) ids; 0 follows the end.
+def _keyed(first: np.ndarray, second: np.ndarray, base: int) -> np.ndarray:
+    """One number for two names, in their order; 0 where one of them is none."""
+    return np.where((first > 0) & (second > 0), first * base + second, 0)
 
-    Doubling: ranks of length-k prefixes give those of length 2k."""
-    n = len(ids)
-    rank = np.unique(ids, return_inverse=True)[1].astype(np.int64) + 1
-    k = 1
-    while True:
-        ahead = np.zeros(n, np.int64)
-        ahead[: max(0, n - k)] = rank[k:]
-        key = rank * (n + 2) + ahead
-        k *= 2
-        if k >= depth:
-            return np.argsort(key, kind="stable")
-        kinds, inverse = np.unique(key, return_inverse=True)
-        rank = inverse.astype(np.int64) + 1
-        if len(kinds) == n:
-            return np.argsort(rank, kind="stable")
+
+def _ahead(names: np.ndarray, by: int) -> np.ndarray:
+    """The names `by` places further on; none beyond the end."""
+    out = np.zeros(len(names), np.int64)
+    out[: max(0, len(names) - by)] = names[by:]
+    return out
+
+
+def _named(keys: np.ndarray, known: np.ndarray) -> np.ndarray:
+    """The place of each key in the sorted known ones, from 1; 0 for keys that are not among them."""
+    out = np.zeros(len(keys), np.int64)
+    live = np.flatnonzero(keys)
+    if len(known) and len(live):
+        at = np.minimum(np.searchsorted(known, keys[live]), len(known) - 1)
+        out[live] = np.where(known[at] == keys[live], at + 1, 0)
+    return out
+
+
+def _chain(size: int) -> list[tuple[int, int]]:
+    """(offset, power of two) pieces that make up a prefix of that many words, the largest first."""
+    out, at = [], 0
+    while at < size:
+        k = 1 << ((size - at).bit_length() - 1)
+        out.append((at, k))
+        at += k
+    return out
 
 
 class Block:
-    """A block of the benchmark: its vocabulary and its suffixes."""
+    """A block of the benchmark in arrays: its words numbered, its sorted prefixes at each doubling, its suffixes by name."""
 
     def __init__(self, items: list[tuple[str, str]], window: int = WINDOW) -> None:
         self.window = window
         self.vocabulary: dict[bytes, int] = {}
-        suffixes: dict[tuple, list[int]] = {}
-        self.items = [i for i, _ in items]
-        self.texts: list[np.ndarray] = []
-        for at, (_, text) in enumerate(items):
-            ids = [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words_of(text)]
-            self.texts.append(np.array(ids, np.int64))
-            size = min(window, len(ids))
-            for i in range(len(ids) - size + 1) if ids else ():
-                suffixes.setdefault(tuple(ids[i : i + size]), []).append(at)
-        self.queries = sorted(suffixes)
-        self.owners = [sorted(set(suffixes[q])) for q in self.queries]
-
-    def find(self, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Every place of every query in ids: (query, start). Binary search in the sparse suffix array of vocabulary words."""
-        known = np.flatnonzero(ids)
-        if not len(known) or not self.queries:
-            return np.zeros(0, np.int64), np.zeros(0, np.int64)
-        order = suffix_array(ids, self.window)
-        order = order[ids[order] > 0]
-        n = len(ids)
-        padded = np.concatenate([ids, np.zeros(self.window, np.int64)])
-        low = np.zeros(len(self.queries), np.int64)
-        high = np.full(len(self.queries), len(order), np.int64)
-        length = np.array([len(q) for q in self.queries])
-        grid = np.zeros((len(self.queries), self.window), np.int64)
-        for i, q in enumerate(self.queries):
-            grid[i, : len(q)] = q
-        ends = []
-        for upper in (False, True):
-            lo, hi = low.copy(), high.copy()
-            while (open_ := lo < hi).any():
-                mid = (lo + hi) // 2
-                at = order[np.minimum(mid, len(order) - 1)]
-                less = np.zeros(len(lo), bool)
-                same = np.ones(len(lo), bool)
-                for j in range(self.window):
-                    here, want = padded[np.minimum(at + j, n + self.window - 1)], grid[:, j]
-                    live = same & (j < length)
-                    less |= live & (here < want)
-                    same &= ~live | (here == want)
-                right = less | (same if upper else False)
-                lo, hi = np.where(open_ & right, mid + 1, lo), np.where(open_ & ~right, mid, hi)
-            ends.append(lo)
-        counts = ends[1] - ends[0]
-        query = np.repeat(np.arange(len(counts)), counts)
-        first = np.repeat(ends[0], counts) + np.arange(counts.sum()) - np.repeat(np.cumsum(counts) - counts, counts)
-        return query, order[first]
+        self.items = sorted({i for i, _ in items})
+        number = {i: n for n, i in enumerate(self.items)}
+        ids: list[int] = []
+        owner: list[int] = []
+        size: list[int] = []  # of the suffix that begins here; 0 where none does
+        for name, text in items:
+            words = [self.vocabulary.setdefault(w, len(self.vocabulary) + 1) for w in words_of(text)]
+            n = min(window, len(words))
+            ids += [*words, 0]
+            owner += [number[name]] * (len(words) + 1)
+            size += [n] * (len(words) - n + 1) + [0] * n if words else [0]
+        self.owner, sizes = np.array(owner, np.int32), np.array(size, np.int32)
+        levels = {1: np.array(ids, np.int64)}
+        self.base = max(2, len(ids) + 2)
+        self.prefixes: dict[int, np.ndarray] = {}
+        k = 1
+        while 2 * k <= window:
+            keys = _keyed(levels[k], _ahead(levels[k], k), self.base)
+            self.prefixes[2 * k] = np.unique(keys[keys > 0])
+            levels[2 * k] = _named(keys, self.prefixes[2 * k])
+            k *= 2
+        self.steps: dict[int, list[np.ndarray]] = {}
+        self.starts: dict[int, np.ndarray] = {}  # of each size, the places of its suffixes by name
+        self.places: dict[int, np.ndarray] = {}
+        for n in np.unique(sizes[sizes > 0]).tolist():
+            names, self.steps[n] = self._suffixes(levels, n, None)
+            names = np.where(sizes == n, names, 0)
+            kinds, names[names > 0] = np.unique(names[names > 0], return_inverse=True)
+            names[sizes == n] += 1
+            self.steps[n].append(kinds)
+            order = np.argsort(names, kind="stable")
+            order = order[names[order] > 0]
+            self.places[n] = order
+            self.starts[n] = np.searchsorted(names[order], np.arange(1, len(kinds) + 2))
+
+    def _suffixes(self, levels: dict[int, np.ndarray], size: int, steps: list[np.ndarray] | None) -> tuple[np.ndarray, list[np.ndarray]]:
+        """Names of the prefixes of that many words; the sorted keys are made where steps are not given."""
+        (_, k), *rest = _chain(size)
+        names, made = levels[k], []
+        for i, (offset, k) in enumerate(rest):
+            keys = _keyed(names, _ahead(levels[k], offset), self.base)
+            made.append(np.unique(keys[keys > 0]) if steps is None else steps[i])
+            names = _named(keys, made[-1])
+        return names, made
+
+    def suffix_array(self, ids: np.ndarray) -> dict[int, tuple[np.ndarray, np.ndarray]]:
+        """For each size of benchmark suffixes: the shard's places in the order of their suffixes, and these suffixes' names.
+
+        Places whose suffix no benchmark suffix equals are not in it."""
+        levels = {1: ids}
+        for k, known in self.prefixes.items():
+            levels[k] = _named(_keyed(levels[k // 2], _ahead(levels[k // 2], k // 2), self.base), known)
+        out = {}
+        for size, steps in self.steps.items():
+            names = _named(self._suffixes(levels, size, steps)[0], steps[-1])
+            at = np.flatnonzero(names)
+            order = at[np.argsort(names[at], kind="stable")]
+            out[size] = order, names[order]
+        return out
+
+    def find(self, ids: np.ndarray) -> list[tuple[int, np.ndarray, np.ndarray]]:
+        """Every place of every benchmark suffix in ids, by binary search in the suffix array: (size, names, places)."""
+        found = []
+        for size, (order, names) in self.suffix_array(ids).items():
+            if not len(order):
+                continue
+            queries = np.arange(1, len(self.starts[size]))
+            low, high = np.searchsorted(names, queries, "left"), np.searchsorted(names, queries, "right")
+            found.append((size, np.repeat(queries, high - low), order[low[0] : high[-1]]))
+        return found
 
     def search(self, documents: list[list[bytes]]) -> list[tuple[list[tuple[int, int]], list[str], list[tuple[str, int, int]]]]:
-        """For each document: covered word spans, ids of items with occurring windows, unbroken runs of windows of one item (item, start, words)."""
+        """For each document: covered word spans, ids of items with occurring windows, longest match of each (item, start, words)."""
         get = self.vocabulary.get
         # (document, first word, words): a document beyond a shard is cut into pieces that share window - 1 words
         step = max(1, SHARD_WORDS - self.window + 1)
         pieces = [(i, at, d[at : at + SHARD_WORDS] if len(d) > SHARD_WORDS else d) for i, d in enumerate(documents) for at in (range(0, max(1, len(d) - self.window + 1), step) if len(d) > SHARD_WORDS else (0,))]
-        places: dict[int, set[tuple[int, int]]] = {}
+        hits: dict[int, dict[int, list[tuple[np.ndarray, np.ndarray]]]] = {}
         start = 0
         while start < len(pieces):
             end, total = start, 0
@@ -125,42 +166,74 @@ class Block:
             ids = np.zeros(int(first[-1]), np.int64)
             for (_, _, d), at in zip(shard, first, strict=False):
                 ids[at : at + len(d)] = [get(w, 0) for w in d]
-            query, place = self.find(ids)
-            owner = np.searchsorted(first, place, "right") - 1
-            for q, p, k in zip(query.tolist(), place.tolist(), owner.tolist(), strict=True):
-                i, offset, _ = shard[k]
-                places.setdefault(i, set()).add((p - int(first[k]) + offset, q))
+            for size, names, places in self.find(ids):
+                order = np.argsort(places, kind="stable")
+                names, places = names[order], places[order]
+                owner = np.searchsorted(first, places, "right") - 1
+                for low, high in _stretches(owner):
+                    i, offset, _ = shard[owner[low]]
+                    hits.setdefault(i, {}).setdefault(size, []).append((places[low:high] - first[owner[low]] + offset, names[low:high]))
             start = end
         found: list = [([], [], [])] * len(documents)
-        for i, hits in places.items():
-            ordered = sorted(hits)
-            found[i] = self._document([q for _, q in ordered], [p for p, _ in ordered])
+        for i, by_size in hits.items():
+            found[i] = self._document({n: _joined(parts) for n, parts in by_size.items()})
         return found
 
-    def _document(self, query: list[int], place: list[int]) -> tuple[list, list, list]:
-        spans: list[list[int]] = []
-        open_: dict[int, list[int]] = {}
-        longest: list[tuple[str, int, int]] = []
-        owners: set[int] = set()
-        for q, p in zip(query, place, strict=True):
-            stop = p + len(self.queries[q])
-            if spans and p <= spans[-1][1]:
-                spans[-1][1] = max(spans[-1][1], stop)
-            else:
-                spans.append([p, stop])
-            for o in self.owners[q]:
-                owners.add(o)
-                run = open_.get(o)
-                if run and p == run[2] + 1:
-                    run[1], run[2] = stop, p
-                elif run and p == run[2]:
-                    run[1] = max(run[1], stop)
-                else:
-                    if run:
-                        longest.append((self.items[o], run[0], run[1] - run[0]))
-                    open_[o] = [p, stop, p]
-        longest += [(self.items[o], r[0], r[1] - r[0]) for o, r in open_.items()]
-        return [tuple(s) for s in spans], sorted({self.items[o] for o in owners}), sorted(longest, key=lambda x: (x[1], x[0]))
+    def _document(self, hits: dict[int, tuple[np.ndarray, np.ndarray]]) -> tuple[list, list, list]:
+        starts = np.concatenate([p for p, _ in hits.values()])
+        stops = np.concatenate([p + n for n, (p, _) in hits.items()])
+        order = np.argsort(starts, kind="stable")
+        starts, stops = starts[order], np.maximum.accumulate(stops[order])
+        new = np.r_[True, starts[1:] > stops[:-1]]
+        spans = list(zip(starts[new].tolist(), stops[np.r_[new[1:], True]].tolist(), strict=True))
+        best: dict[int, tuple[int, int]] = {}
+        for size, (places, names) in hits.items():
+            for item, at, words in self._matches(size, places, names):
+                if item not in best or (words, -at) > (best[item][1], -best[item][0]):
+                    best[item] = at, words
+        longest = sorted(((self.items[o], at, words) for o, (at, words) in best.items()), key=lambda x: (x[1], x[0]))
+        return spans, [self.items[o] for o in sorted(best)], longest
+
+    def _matches(self, size: int, places: np.ndarray, names: np.ndarray):
+        """(item, start, words) of each stretch of suffixes that follow one another in the text and in an item.
+
+        Pairs of a place and a place in the benchmark are looked at PAIRS at a time; stretches go on from one to the next."""
+        begin, count = self.starts[size][names - 1], self.starts[size][names] - self.starts[size][names - 1]
+        ends = np.cumsum(count)
+        low, carried = 0, (np.zeros(0, np.int64), np.zeros(0, np.int64), -2)
+        while low < len(places):
+            high = max(low + 1, int(np.searchsorted(ends, (ends[low - 1] if low else 0) + PAIRS, "right")))
+            n = count[low:high]
+            place = np.repeat(places[low:high], n)
+            within = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+            there = self.places[size][np.repeat(begin[low:high], n) + within]
+            line = place - there
+            order = np.lexsort((place, line))
+            place, there, line = place[order], there[order], line[order]
+            new = np.r_[True, (line[1:] != line[:-1]) | (place[1:] != place[:-1] + 1)]
+            first, last = np.flatnonzero(new), np.flatnonzero(np.r_[new[1:], True])
+            start = place[first]
+            if len(carried[0]):
+                at = np.minimum(np.searchsorted(carried[0], line[first]), len(carried[0]) - 1)
+                start = np.where((carried[0][at] == line[first]) & (start == carried[2] + 1), carried[1][at], start)
+            yield from zip(self.owner[there[first]].tolist(), start.tolist(), (place[last] - start + size).tolist(), strict=True)
+            final = int(places[high - 1])
+            open_ = place[last] == final
+            carried = line[first][open_], start[open_], final
+            low = high
+
+
+def _stretches(values: np.ndarray) -> list[tuple[int, int]]:
+    """(first, end) of each stretch of equal values."""
+    at = np.flatnonzero(np.r_[True, values[1:] != values[:-1]]) if len(values) else np.zeros(0, int)
+    return list(zip(at.tolist(), [*at[1:].tolist(), len(values)], strict=True))
+
+
+def _joined(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    """Places and names of all pieces of a document, in order of place; short suffixes may lie in two pieces."""
+    places, names = (np.concatenate(x) for x in zip(*parts, strict=True))
+    kept = np.unique(places, return_index=True)[1]
+    return places[kept], names[kept]
 
 
 def blocks_of(benchmark: DataFrame, id_col: str = "item_id", text_col: str = "text", limit: int = BLOCK_BYTES) -> list[list[tuple[str, str]]]:
@@ -185,44 +258,36 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, keep: list[str] | dict[s
     carried = "__text"
     shown = {c: f"k{i}" for i, c in enumerate(keep)}
     kinds = [f"k{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(keep)]
-    parts = []
-    for items in blocks_of(benchmark):
-        shared = spark.sparkContext.broadcast(Block(items, window))  # at most BLOCK_BYTES of text
-
-        def run(cols: dict, shared=shared) -> dict:
-            words = [words_of(t) for t in cols[carried]]
-            got = shared.value.search(words)
-            made = {"n_words": list(map(len, words)), "spans": [[{"start": a, "end": b} for a, b in g[0]] for g in got], "items": [g[1] for g in got], "longest": [[{"item": i, "start": s, "words": w} for i, s, w in g[2]] for g in got]}
-            return {c: cols[c] for c in shown.values()} | made
-
-        parts.append(run)
-    if len(parts) == 1:
-        picked = [*(docs[c].alias(k) for c, k in shown.items()), docs[text_col].cast("string").alias(carried)]
-        out = common.map_columns(docs, picked, parts[0], ", ".join([*kinds, RESULT]), text=carried)
-    else:  # every block in turn over the same runs of documents; spans and items are merged document by document
-
-        def every(cols: dict) -> dict:
-            made = [p(cols) for p in parts]
-            out = dict(made[0])
-            for k in range(len(out["spans"])):
-                out["spans"][k] = _merged([s for m in made for s in m["spans"][k]])
-            out["items"] = [sorted({i for m in made for i in m["items"][k]}) for k in range(len(out["spans"]))]
-            out["longest"] = [[x for m in made for x in m["longest"][k]] for k in range(len(out["spans"]))]
-            return out
-
-        picked = [*(docs[c].alias(k) for c, k in shown.items()), docs[text_col].cast("string").alias(carried)]
-        out = common.map_columns(docs, picked, every, ", ".join([*kinds, RESULT]), text=carried)
+    blocks = [spark.sparkContext.broadcast(Block(items, window)) for items in blocks_of(benchmark)]  # each of at most BLOCK_BYTES of text
+
+    def run(cols: dict) -> dict:
+        words = [words_of(t) for t in cols[carried]]
+        got = [([], [], [])] * len(words)
+        for shared in blocks:
+            found = shared.value.search(words)
+            got = found if len(blocks) == 1 else [_united(a, b) for a, b in zip(got, found, strict=True)]
+            if len(blocks) > 1:
+                shared.__dict__.pop("_value", None)  # one unpacked block at a time
+        made = {"n_words": list(map(len, words)), "spans": [[{"start": a, "end": b} for a, b in g[0]] for g in got], "items": [g[1] for g in got], "longest": [[{"item": i, "start": s, "words": w} for i, s, w in g[2]] for g in got]}
+        return {c: cols[c] for c in shown.values()} | made
+
+    picked = [*(docs[c].alias(k) for c, k in shown.items()), docs[text_col].cast("string").alias(carried)]
+    out = common.map_columns(docs, picked, run, ", ".join([*kinds, RESULT]), text=carried)
     return out.select(*[F.col(k).alias(keep[c]) for c, k in shown.items()], "n_words", "spans", "items", "longest")
 
 
-def _merged(spans: list[dict]) -> list[dict]:
-    out: list[dict] = []
-    for s in sorted(spans, key=lambda s: s["start"]):
-        if out and s["start"] <= out[-1]["end"]:
-            out[-1]["end"] = max(out[-1]["end"], s["end"])
+def _united(a: tuple, b: tuple) -> tuple[list, list, list]:
+    """What two blocks found in one document."""
+    spans: list[tuple[int, int]] = []
+    for start, end in sorted([*a[0], *b[0]]):
+        if spans and start <= spans[-1][1]:
+            spans[-1] = spans[-1][0], max(spans[-1][1], end)
         else:
-            out.append(dict(s))
-    return out
+            spans.append((start, end))
+    best: dict[str, tuple[int, int]] = {}
+    for item, at, words in [*a[2], *b[2]]:
+        best[item] = max(best.get(item, (0, 0)), (words, -at))
+    return spans, sorted({*a[1], *b[1]}), sorted(((i, -at, words) for i, (words, at) in best.items()), key=lambda x: (x[1], x[0]))
 
 
 def remove(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = WINDOW) -> DataFrame:
@@ -236,18 +301,19 @@ def items_digest(items: list[str]) -> str:
 
 
 def oracle(window: int = WINDOW) -> str:
-    """The query in SQL for DuckDB: windows as texts, equal ones joined, hits and runs counted as word positions."""
+    """The query in SQL for DuckDB: windows as texts, equal ones joined, hits counted as word positions,
+    longest matches as windows that follow one another in the text and in the item."""
     fold = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
     words = rf"regexp_extract_all({fold}, '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+')"
     return f"""WITH d AS MATERIALIZED (SELECT doc_id, {words} AS w FROM documents),
-b AS MATERIALIZED (SELECT coalesce(CAST(item_id AS VARCHAR), '') AS item, w, least({window}, len(w)) AS size FROM (SELECT item_id, {words} AS w FROM benchmark) WHERE len(w) > 0),
-item_windows AS MATERIALIZED (SELECT DISTINCT item, size, array_to_string(w[i : i + size - 1], ' ') AS g FROM (SELECT item, size, w, unnest(range(1, len(w) - size + 2)) AS i FROM b)),
+b AS MATERIALIZED (SELECT row_number() OVER () AS item_row, coalesce(CAST(item_id AS VARCHAR), '') AS item, w, least({window}, len(w)) AS size FROM (SELECT item_id, {words} AS w FROM benchmark) WHERE len(w) > 0),
+item_windows AS MATERIALIZED (SELECT item, item_row, j, size, array_to_string(w[j : j + size - 1], ' ') AS g FROM (SELECT item, item_row, size, w, unnest(range(1, len(w) - size + 2)) AS j FROM b)),
 sizes AS (SELECT DISTINCT size FROM b),
 doc_windows AS (SELECT doc_id, size, i, array_to_string(w[i : i + size - 1], ' ') AS g FROM (SELECT doc_id, size, w, unnest(range(1, len(w) - size + 2)) AS i FROM d, sizes WHERE len(w) >= size)),
-met AS MATERIALIZED (SELECT DISTINCT doc_id, item, size, i FROM doc_windows JOIN item_windows USING (size, g)),
-hits AS (SELECT doc_id, count(*) AS n FROM (SELECT DISTINCT doc_id, unnest(range(i, i + size)) AS at FROM met) GROUP BY 1),
+met AS MATERIALIZED (SELECT doc_id, item, item_row, size, i, j FROM doc_windows JOIN item_windows USING (size, g)),
+hits AS (SELECT doc_id, count(*) AS n FROM (SELECT DISTINCT doc_id, unnest(range(i, i + size)) AS at FROM (SELECT DISTINCT doc_id, i, size FROM met)) GROUP BY 1),
 items AS (SELECT doc_id, count(*) AS n, string_agg(item, ',' ORDER BY item) AS ids FROM (SELECT DISTINCT doc_id, item FROM met) GROUP BY 1),
-runs AS (SELECT doc_id, item, size, count(*) + size - 1 AS words FROM (SELECT *, i - row_number() OVER (PARTITION BY doc_id, item ORDER BY i) AS run FROM met) GROUP BY doc_id, item, size, run),
+runs AS (SELECT doc_id, item_row, size, count(*) + size - 1 AS words FROM (SELECT *, i - row_number() OVER (PARTITION BY doc_id, item_row, i - j ORDER BY i) AS run FROM met) GROUP BY doc_id, item_row, size, i - j, run),
 longest AS (SELECT doc_id, max(words) AS words FROM runs GROUP BY 1)
 SELECT d.doc_id, CAST(len(d.w) AS BIGINT) AS n_words, CAST(coalesce(hits.n, 0) AS BIGINT) AS n_hit, CAST(coalesce(items.n, 0) AS BIGINT) AS n_items,
  sha256(coalesce(items.ids, '')) AS items_sha256, coalesce(hits.n, 0) > 0 AS contaminated, CAST(coalesce(longest.words, 0) AS BIGINT) AS longest_match

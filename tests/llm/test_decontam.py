@@ -26,14 +26,46 @@ def brute(text, items, window=10):
     return len(ws), len(hit), sorted(found)
 
 
+def longest(text, items, window=10):
+    """Longest common run of words with each item that shares a window, by all pairs of places."""
+    ws, best = words(text), {}
+    for name, body in items:
+        b = words(body)
+        least = min(window, len(b))
+        for i in range(len(ws)):
+            for j in range(len(b)):
+                n = 0
+                while i + n < len(ws) and j + n < len(b) and ws[i + n] == b[j + n]:
+                    n += 1
+                if least and n >= least and n > best.get(str(name), (0, 0))[1]:
+                    best[str(name)] = i, n
+    return sorted(((k, *v) for k, v in best.items()), key=lambda x: (x[1], x[0]))
+
+
 def test_suffix_array_is_sorted():
     rng = np.random.default_rng(0)
-    for n in (1, 2, 50, 400):
-        ids = rng.integers(0, 3, n)
-        order = decontam.suffix_array(ids, 8)
-        keys = [tuple(ids[i : i + 8]) + (-1,) * max(0, 8 - (n - i)) for i in order]
-        keys = [tuple(x if x >= 0 else -1 for x in k) for k in keys]
-        assert keys == sorted(keys)
+    block = decontam.Block([("i", " ".join(map(str, rng.integers(0, 3, 300)))), ("j", "0 1 2")], 4)
+    ids = np.array([block.vocabulary[str(x).encode()] for x in rng.integers(0, 3, 500)])
+    for size, (order, names) in block.suffix_array(ids).items():
+        keys = [tuple(ids[i : i + size]) for i in order]
+        assert keys == sorted(keys) and all((a == b) == (m == n) for a, b, m, n in zip(keys, keys[1:], names, names[1:], strict=False))
+
+
+def test_longest_matches_are_those_of_one_place(monkeypatch):
+    a = [f"w{i}" for i in range(30)]
+    item = " ".join([*a[:12], "gap", *a[10:22]])
+    text = " ".join(["x", *a[:15], "y"])
+    (_, _, found), = decontam.Block([("1", item)]).search([decontam.words_of(text)])
+    assert found == [("1", 1, 12)]  # the windows of both places make 15 words in a row, no place of the item has more than 12
+    import random
+
+    rng = random.Random(7)
+    for pairs in (2_000_000, 5, 40):
+        monkeypatch.setattr(decontam, "PAIRS", pairs)
+        items = [(str(i), " ".join(rng.choices("abc", k=rng.choice([0, 3, 9, 12, 40])))) for i in range(6)] + [("same", "a " * 25)]
+        docs = [" ".join(rng.choices("abc", k=n)) + " " + items[n % 6][1] for n in (5, 200, 90)] + ["a " * 60]
+        for d, (_, names, got) in zip(docs, decontam.Block(items).search([decontam.words_of(d) for d in docs]), strict=True):
+            assert got == longest(d, items) and names == sorted(i for i, *_ in got)
 
 
 def test_query_matches_brute_force(spark, sf):
