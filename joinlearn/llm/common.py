@@ -19,21 +19,29 @@ RUN_CHARS = 4_000_000
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all machines share: spark.checkpoint.dir, or (local tests only) a temporary one that is then set."""
+    """The folder all machines share: spark.checkpoint.dir. Where it is unset, a temporary one is made and set, in local mode only."""
     context = spark.sparkContext
     folder = context.getConf().get("spark.checkpoint.dir", None) or context.getCheckpointDir()
     if not folder:
+        if not context.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all machines share")
         folder = "file://" + tempfile.mkdtemp(prefix="shared-")
         context.setCheckpointDir(folder)
     return folder.rstrip("/")
 
 
+#: Folders that `cut` has written and nobody has dropped.
+_written: list[str] = []
+
+
 def cut(df: DataFrame, partition_by: str | None = None) -> DataFrame:
     """Write df as Parquet into the shared folder and read it again: lineage ends there and nothing is computed twice.
 
-    A lost executor costs only its unfinished tasks; the written files stay readable for every other one."""
+    A lost executor costs only its unfinished tasks; the written files stay readable for every other one. They stay until
+    `drop_written` is told that no frame reads them any more."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/cut-{uuid.uuid4().hex}"
+    _written.append(path)
     writer = df.write
     if partition_by:
         writer = writer.partitionBy(partition_by)
@@ -41,6 +49,19 @@ def cut(df: DataFrame, partition_by: str | None = None) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def written() -> list[str]:
+    """Folders of `cut` so far."""
+    return list(_written)
+
+
+def drop_written(spark: SparkSession, paths: list[str]) -> None:
+    """Delete folders of `cut`; frames that read them must be done with."""
+    for path in paths:
+        where = spark._jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+        _written.remove(path)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

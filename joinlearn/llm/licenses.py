@@ -4,7 +4,8 @@ The units compared are the lines, the paragraphs and the whole of each text. The
 t/(2-t)*|B| <= |A| <= (2-t)/t*|B| distinct bigrams, so a template whose size is outside is never intersected.
 
 Defined results: null and empty texts match nothing (licence null, dice 0, 0 matches); equal dice goes to the template
-that is listed first; repeated rows give equal results; every row gives one row.
+that is listed first; units alike in their normalised words count once; repeated rows give equal results; every row gives one
+row; of a very long text only units within the size bounds are compared, and its words are held by one task.
 """
 
 from __future__ import annotations
@@ -79,7 +80,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", thresh
         made = F.element_at(F.transform(F.array(F.array_distinct(neighbours)), lambda g: F.when(F.size(g) <= ceiling, against(g)).otherwise(none)), 1)
         return F.when(n - 1 >= floor, made).otherwise(none)
 
-    scored = F.transform(F.transform(units, normalised_words), best)
+    scored = F.transform(F.array_distinct(F.transform(units, normalised_words)), best)
     rows = docs.select(docs[id_col].alias("doc_id"), F.filter(scored, lambda s: s.dice >= threshold).alias("hits"))
     top = F.array_max("hits")
     names = F.array(*[F.lit(name) for name, _ in sets])
@@ -101,14 +102,13 @@ units AS (
          list_concat(regexp_split_to_array(coalesce(text, ''), '\\n[ \\t]*\\n'), [coalesce(text, '')])))) AS unit
   FROM documents),
 worded AS (
-  SELECT doc_id, string_split(trim(regexp_replace(translate(unit, '{UPPER}', '{LOWER}'), '[^a-z0-9]+', ' ', 'g')), ' ') AS words FROM units),
+  SELECT DISTINCT doc_id, string_split(trim(regexp_replace(translate(unit, '{UPPER}', '{LOWER}'), '[^a-z0-9]+', ' ', 'g')), ' ') AS words FROM units),
 grammed AS (
-  SELECT doc_id, list_distinct([words[i] || ' ' || words[i + 1] for i in generate_series(1, len(words) - 1)]) AS grams FROM worded WHERE len(words) > 1),
+  SELECT doc_id, words, list_distinct([words[i] || ' ' || words[i + 1] for i in generate_series(1, len(words) - 1)]) AS grams FROM worded WHERE len(words) > 1),
 scored AS (
   SELECT g.doc_id, t.pos, t.name, 2.0 * len(list_intersect(g.grams, t.grams)) / (len(g.grams) + len(t.grams)) AS dice,
-         row_number() OVER (PARTITION BY g.doc_id, g.grams ORDER BY 2.0 * len(list_intersect(g.grams, t.grams)) / (len(g.grams) + len(t.grams)) DESC, t.pos) AS place,
-         g.grams
-  FROM grammed g JOIN templates t ON len(g.grams) <= 400),
+         row_number() OVER (PARTITION BY g.doc_id, g.words ORDER BY 2.0 * len(list_intersect(g.grams, t.grams)) / (len(g.grams) + len(t.grams)) DESC, t.pos) AS place
+  FROM grammed g, templates t),
 hits AS (SELECT doc_id, pos, name, dice FROM scored WHERE place <= 1 AND dice >= {threshold}),
 best AS (SELECT doc_id, arg_max(name, dice * 1e6 - pos) AS license, max(dice) AS dice, count(*) AS n FROM hits GROUP BY doc_id)
 SELECT d.doc_id, b.license, CAST(coalesce(round(b.dice, 6), 0) AS DOUBLE) AS dice, CAST(coalesce(b.n, 0) AS BIGINT) AS n_matches

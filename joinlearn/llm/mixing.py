@@ -24,10 +24,10 @@ from . import common
 
 WEIGHTS = (3, 1, 2)
 SHARE, MOST = 1.5, 2.0
-STEPS, TOLERANCE = 40, 1e-9
+STEPS, TOLERANCE = 200, 1e-9
 #: Rounds of settling in one plan; plans follow until all is settled.
 SETTLE = 5
-#: One window partition of the rounding holds the rows of a source and size whose ids share a hash modulo the salts:
+#: One window partition of the rounding holds the rows of a source and size whose ids and texts share a hash modulo the salts:
 #: at least SALTS, and one for each SALT_ROWS rows of the table.
 SALTS, SALT_ROWS = 64, 1_000_000
 
@@ -79,15 +79,15 @@ def multipliers(cells: DataFrame, goals: DataFrame, most: float = MOST, steps: i
         new = moved.select(F.col("__s").alias("source"), "target", "mean", F.when(near, F.col("lam")).when(inside, F.col("step")).otherwise(middle).alias("lam"), "lo", "hi", near.alias("done"))
         state = common.cut(new.unionByName(state.where("done")))
         if state.where("not done").isEmpty():
-            break
-    return state.select("source", "lam", "mean")
+            return state.select("source", "lam", "mean")
+    raise ArithmeticError(f"the dual is not solved after {steps} Newton steps; the state is {state.where('not done').take(3)}")
 
 
 def rates(docs: DataFrame, source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST, salts: int = SALTS, id_col: str = "doc_id") -> tuple[DataFrame, DataFrame]:
     """Cells (source, size, salt, rate, cell, extra, ahead) and the sources' sizes and targets.
 
     cell documents share source and size, extra copies are added to (or taken from) floor(rate) of each, and ahead of them have a smaller salt."""
-    sized = docs.select(F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(id_col, salts).alias("salt"))
+    sized = docs.select(F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(id_col, text_col, salts).alias("salt"))
     salted = common.cut(sized.groupBy("source", "size", "salt").agg(F.count(F.lit(1)).alias("n")))
     cells = common.cut(salted.groupBy("source", "size").agg(F.sum("n").alias("n")))
     totals = cells.groupBy("source").agg(F.sum(F.col("n") * F.col("size")).alias("source_size"), F.sum("n").alias("rows"))
@@ -141,8 +141,9 @@ def _rounded(cells: DataFrame, most: float = MOST) -> DataFrame:
             return rows.select("source", "size", "n", "rate", F.col("k").alias("extra"))
 
 
-def _salt(id_col: str, salts: int) -> Column:
-    return F.pmod(F.xxhash64(F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.lit(3)), F.lit(salts))
+def _salt(id_col: str, text_col: str, salts: int) -> Column:
+    """By id and text, so that rows without an id, or with one id, are spread as well."""
+    return F.pmod(F.xxhash64(F.coalesce(F.col(id_col).cast("string"), F.lit("")), common.text_or_empty(text_col), F.lit(3)), F.lit(salts))
 
 
 def mix(docs: DataFrame, keep: list[str] | dict[str, str], id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
@@ -152,12 +153,17 @@ def mix(docs: DataFrame, keep: list[str] | dict[str, str], id_col: str = "doc_id
     placed = common.cut(placed).select(F.col("source").alias("__s"), F.col("size").alias("__n"), F.col("salt").alias("__t"), "rate", "cell", "extra", "ahead")
     goals = goals.select(F.col("source").alias("__g"), "source_size", "target")
     shown = {c: f"__k{i}" for i, c in enumerate(keep)}
-    rows = docs.select(*[F.col(c).alias(k) for c, k in shown.items()], F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(id_col, salts).alias("salt"), F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("__id"))
+    rows = docs.select(*[F.col(c).alias(k) for c, k in shown.items()], F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(id_col, text_col, salts).alias("salt"), F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("__id"), F.xxhash64(common.text_or_empty(text_col)).alias("__x"))
     rows = rows.join(placed, rows.source.eqNullSafe(placed["__s"]) & (rows["size"] == placed["__n"]) & (rows.salt == placed["__t"]))
-    number = F.row_number().over(Window.partitionBy("source", "size", "salt").orderBy("__id"))
+    # documents of a cell whose extra copies come out even need no numbers: empty texts and full sources, however many
+    even = F.col("extra") % F.col("cell") == 0
+    alike = rows.where(even).withColumn("copies", (F.floor("rate") + F.col("extra") / F.col("cell")).cast("long"))
+    rows = rows.where(~even)
+    number = F.row_number().over(Window.partitionBy("source", "size", "salt").orderBy("__id", "__x"))
     at = F.col("ahead") + number  # 1 to cell; the extra copies are spread evenly over these numbers
     step = lambda i: F.floor(i * F.col("extra") / F.col("cell"))
     rows = rows.withColumn("__at", at).withColumn("copies", (F.floor("rate") + step(F.col("__at")) - step(F.col("__at") - 1)).cast("long"))
+    rows = alike.unionByName(rows.drop("__at"))
     out = rows.join(goals, rows.source.eqNullSafe(goals["__g"]))
     names = common.named(keep)
     return out.select(*[F.col(k).alias(names[c]) for c, k in shown.items()], F.col("size"), "source_size", "target", "rate", "copies")

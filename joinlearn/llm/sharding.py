@@ -3,11 +3,13 @@
 Law ``rows``: row number n of N becomes position P(n) of N, shard = position mod shards, slot = position div shards, so
 shard sizes differ by one row at most, slots have no gaps, and both are computable from the row number alone.
 
-Row numbers follow (bucket of the id, id, size, crc of the text). Equal keys are counted before they are numbered, so a
-key that holds a third of all rows is one row in the numbering and is spread out again afterwards.
+Row numbers follow (bucket of the key, key); the key is id, size and crc of the text and, where whole rows are placed, a hash
+of all columns. Equal keys are counted before they are numbered, so a key that holds a third of all rows is one row in the
+numbering and is spread out again afterwards, SPREAD rows at a time; rows without an id are bucketed by the rest of their key.
 
-Defined results: a null text has no bytes (size 1, crc 0) as has an empty one; null ids come first; repeated rows get
-numbers of their own; an empty table gives an empty result.
+Defined results: a null text has no bytes (size 1, crc 0) as has an empty one; null ids come first in a bucket; repeated rows
+get numbers of their own; a very long text counts by its size alone and is never held in Python; an empty table gives an empty
+result.
 """
 
 from __future__ import annotations
@@ -23,6 +25,8 @@ MIX = (0xBF58476D1CE4E5B9, 0x94D049BB133111EB, 30, 27, 31)
 ROUNDS = 6
 #: Range buckets in which rows are numbered side by side; each is one window partition.
 BUCKETS = 4096
+#: Most rows that one row of a key with many copies is spread out to in one step.
+SPREAD = 100_000
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -59,12 +63,12 @@ def crc_of(text: str = "text") -> Column:
     return F.crc32(common.text_or_empty(text).cast("binary"))
 
 
-def numbered(keys: DataFrame, columns: list[str], first: str, buckets: int = BUCKETS) -> tuple[DataFrame, int]:
+def numbered(keys: DataFrame, columns: list[str], buckets: int = BUCKETS) -> tuple[DataFrame, int]:
     """Distinct keys with their count and the number of their first row; and the number of rows in all.
 
-    keys are numbered by (hash bucket of the column first, columns): bucket totals (at most `buckets` rows) become
+    keys are numbered by (hash bucket of the columns, columns): bucket totals (at most `buckets` rows) become
     offsets, and inside a bucket a running sum over distinct keys goes on from there."""
-    counts = common.cut(keys.groupBy(*columns).agg(F.count(F.lit(1)).alias("copies")).withColumn("bucket", F.pmod(F.xxhash64(F.col(first)), F.lit(buckets))))
+    counts = common.cut(keys.groupBy(*columns).agg(F.count(F.lit(1)).alias("copies")).withColumn("bucket", F.pmod(F.xxhash64(*columns), F.lit(buckets))))
     totals = counts.groupBy("bucket").agg(F.sum("copies").alias("rows"))
     offsets = totals.withColumn("offset", F.coalesce(F.sum("rows").over(Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
     total = counts.agg(F.coalesce(F.sum("copies"), F.lit(0))).first()[0]
@@ -75,38 +79,59 @@ def numbered(keys: DataFrame, columns: list[str], first: str, buckets: int = BUC
     return out.select(*columns, "copies", (F.col("before") + F.col("offset")).alias("start")), total
 
 
-def assignments(docs: DataFrame, shards: int = 16, seed: int = 42, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, size, text_crc32, copy, row_number, shard, slot), one row for each row of docs.
+def _copies(rows: DataFrame, columns: list[str]) -> DataFrame:
+    """Each row as often as its `copies` says, with its `copy` from 0: first in parts of SPREAD, dealt out, then one by one."""
+    parts = rows.withColumn("__part", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("copies") - 1) / SPREAD))))
+    first = F.col("__part") * SPREAD
+    last = F.least(first + SPREAD, F.col("copies")) - 1
+    return parts.hint("rebalance").select(*columns, F.explode(F.sequence(first, last)).alias("copy"))
 
-    Rows alike in these three columns are interchangeable and told apart by `copy`, 0 upwards."""
-    keys = docs.select(F.col(id_col).alias("doc_id"), size_of(text_col).alias("size"), crc_of(text_col).alias("text_crc32"))
-    starts, total = numbered(keys, ["doc_id", "size", "text_crc32"], "doc_id")
-    rows = starts.select("doc_id", "size", "text_crc32", "start", F.explode(F.sequence(F.lit(0).cast("long"), F.col("copies") - 1)).alias("copy"))
-    kind = keys.schema["doc_id"].dataType.simpleString()
+
+def _placed(keys: DataFrame, columns: list[str], shards: int, seed: int) -> DataFrame:
+    """The key columns, copies, copy, row_number, shard and slot: one row for each row of keys."""
+    starts, total = numbered(keys, columns)
+    rows = _copies(starts, [*columns, "copies", "start"])
+    kinds = ", ".join(f"{c} {keys.schema[c].dataType.simpleString()}" for c in columns)
 
     def run(cols: dict) -> dict:
-        number = np.array(cols["row_number"], np.int64)
-        at = permute(number, total, seed)
+        at = permute(np.array(cols["row_number"], np.int64), total, seed)
         return cols | {"shard": (at % shards).tolist(), "slot": (at // shards).tolist()}
 
-    picked = [rows.doc_id, rows["size"], rows.text_crc32, rows.copy, (rows.start + rows.copy).alias("row_number")]
-    return common.map_columns(rows.hint("rebalance"), picked, run, f"doc_id {kind}, size long, text_crc32 long, copy long, row_number long, shard int, slot long", text=None)
+    picked = [*columns, "copies", "copy", (rows.start + rows.copy).alias("row_number")]
+    return common.map_columns(rows, picked, run, f"{kinds}, copies long, copy long, row_number long, shard int, slot long", text=None)
+
+
+def assignments(docs: DataFrame, shards: int = 16, seed: int = 42, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, size, text_crc32, copy, row_number, shard, slot), one row for each row of docs.
+
+    Rows alike in these three columns are interchangeable and told apart by `copy`, 0 upwards."""
+    keys = docs.select(F.col(id_col).alias("doc_id"), size_of(text_col).alias("size"), crc_of(text_col).alias("text_crc32"))
+    return _placed(keys, ["doc_id", "size", "text_crc32"], shards, seed).drop("copies")
 
 
 def shard_rows(docs: DataFrame, shards: int = 16, seed: int = 42, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs with shard and slot: whole rows, each joined to its assignment by id, size, crc and copy number.
-
-    An input column called shard, slot or law gives way to the new one."""
-    base = docs.drop("shard", "slot", "law")
-    own = {"size": "__size", "text_crc32": "__crc", "copy": "__copy", "doc_id": "__id"}
-    placed = common.cut(assignments(base, shards, seed, id_col, text_col).select(*[F.col(k).alias(v) for k, v in own.items()], "shard", "slot"))
-    keyed = base.withColumns({"__size": size_of(text_col), "__crc": crc_of(text_col)})
-    again = placed.where(F.col("__copy") > 0).select("__id", "__size", "__crc").distinct()
-    # only keys that occur more than once need numbering; the others are copy 0
-    same = [keyed[id_col].eqNullSafe(again["__id"]), keyed["__size"] == again["__size"], keyed["__crc"] == again["__crc"]]
-    once = keyed.join(again, same, "left_anti").withColumn("__copy", F.lit(0).cast("long"))
-    tie = Window.partitionBy(id_col, "__size", "__crc").orderBy(F.lit(0))
-    many = keyed.join(again, same, "left_semi").withColumn("__copy", (F.row_number().over(tie) - 1).cast("long"))
-    rows = once.unionByName(many)
-    on = [rows[id_col].eqNullSafe(placed["__id"]), rows["__size"] == placed["__size"], rows["__crc"] == placed["__crc"], rows["__copy"] == placed["__copy"]]
-    return rows.join(placed, on).select(*base.columns, "shard", "slot", F.lit("rows").alias("law"))
+    """docs with shard and slot: whole rows, each joined to its place by id, size, crc and a hash of the whole row.
+
+    Rows that share such a key are alike in every column, so they are first counted and then spread out again. An input column
+    called shard, slot or law gives way to the new one. Columns must be of types that can be grouped by (no maps)."""
+    own = docs.drop("shard", "slot", "law")
+    names = common.masked(own)
+    base = own.select(*[own[c].alias(k) for c, k in names.items()])
+    key = ["__id", "__size", "__crc", "__row"]
+    keyed = base.withColumns({"__id": F.col(names[id_col]), "__size": size_of(names[text_col]), "__crc": crc_of(names[text_col]), "__row": F.xxhash64(*base.columns)})
+    placed = common.cut(_placed(keyed.select(*key), key, shards, seed).select(*[F.col(k).alias(f"{k}_") for k in key], "copies", F.col("copy").alias("__copy"), F.col("shard").alias("__shard"), F.col("slot").alias("__slot")))
+
+    def on(rows: DataFrame, where: DataFrame):
+        return [rows["__id"].eqNullSafe(where["__id_"]), *(rows[k] == where[f"{k}_"] for k in key[1:])]
+
+    shown = [*[F.col(k).alias(c) for c, k in names.items()], F.col("__shard").alias("shard"), F.col("__slot").alias("slot"), F.lit("rows").alias("law")]
+    single = placed.where("copies = 1")
+    once = keyed.join(single, on(keyed, single)).select(*shown)
+    several = placed.where("copies > 1 and __copy = 0").select(*[f"{k}_" for k in key])
+    rows = keyed.join(several, on(keyed, several), "left_semi").groupBy(*base.columns, *key).agg(F.count(F.lit(1)).alias("copies"))
+    # rows of one key that differ all the same (equal hashes) take turns
+    turn = Window.partitionBy(*key).orderBy(*base.columns).rowsBetween(Window.unboundedPreceding, -1)
+    rows = rows.withColumn("__before", F.coalesce(F.sum("copies").over(turn), F.lit(0)))
+    rows = _copies(rows, [*base.columns, *key, "__before"]).withColumn("__at", F.col("copy") + F.col("__before")).drop("copy")
+    many = rows.join(placed, [*on(rows, placed), rows["__at"] == placed["__copy"]]).select(*shown)
+    return once.unionByName(many)

@@ -140,10 +140,10 @@ def links(distinct: DataFrame, radius: int = RADIUS, tile: int = TILE) -> DataFr
     return edges.unionByName(_edges(pairs.hint("rebalance"), radius)).distinct()
 
 
-def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
+def components(edges: DataFrame) -> DataFrame:
     """(u, root) for every vertex of edges (u, v) but the roots: each round is a large and a small star, then a table."""
     now, mark = common.cut(edges.where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))), None
-    for _ in range(rounds):
+    while True:  # until a round changes nothing; rounds grow with the logarithm of the vertices
         state = tuple(now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
         if state == mark or state[0] == 0:
             break

@@ -33,3 +33,22 @@ def test_odd_rows(odd_docs, no_docs):
     assert whole.count() == n and len(whole.columns) == len(set(whole.columns))
     assert sorted((r.shard, r.slot) for r in whole.collect()) == sorted((r.shard, r.slot) for r in rows)
     assert sharding.assignments(no_docs).count() == 0 and sharding.shard_rows(no_docs).count() == 0
+
+
+def test_rows_without_ids_and_hot_copies(spark, monkeypatch):
+    """A third of the rows has no id, another third is one row over and over."""
+    monkeypatch.setattr(sharding, "SPREAD", 7)
+    rows = [(None, f"text {i}", i) for i in range(200)] + [(5, "same", 1)] * 190 + [(5, "same", 2)] * 10 + [(i, "own", 0) for i in range(200)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, extra int")
+    keys = docs.select("doc_id", sharding.size_of().alias("size"), sharding.crc_of().alias("text_crc32"))
+    starts, total = sharding.numbered(keys, ["doc_id", "size", "text_crc32"], 64)
+    assert total == 600 and starts.where("doc_id is null").selectExpr("pmod(xxhash64(doc_id, size, text_crc32), 64) b").distinct().count() > 30
+    whole = sharding.shard_rows(docs, 4).collect()
+    assert sorted((r.text, r.extra, r.doc_id or -1) for r in whole) == sorted((t, e, i or -1) for i, t, e in rows)
+    assert sorted((r.shard, r.slot) for r in whole) == [(s, n) for s in range(4) for n in range(150)]
+
+
+def test_places_follow_the_permutation(spark, sf):
+    rows = sharding.assignments(common.table(spark, sf, "documents")).toPandas()
+    at = sharding.permute(rows.row_number.to_numpy(), len(rows), 42)
+    assert sorted(rows.row_number) == list(range(len(rows))) and (rows.shard == at % 16).all() and (rows.slot == at // 16).all()
