@@ -1,7 +1,8 @@
 """Host-level quality rules.
 
 Each document is held against line and word rules; failures are counted by host, a beta prior fitted to all hosts by the
-method of moments shrinks each host's failure rate, and the host's verdict is joined back to its documents.
+method of moments shrinks each host's failure rate, and the host's verdict is joined back to its documents. The spread of the
+prior is what the hosts' rates vary by beyond the chance of small hosts, so that it alone decides how much a small host counts.
 
 Defined results: a null text has no words and fails; a null host is a host of its own; repeated rows count each time;
 with no rows the result is empty. Words are runs of anything but ASCII white space.
@@ -19,8 +20,8 @@ from . import common
 
 _SYMBOLS = re.compile(r"[#*$%&|<>]")
 SPACES = " \t\n\v\f\r"
-#: A host is rejected if its shrunk failure rate is above this and it has at least so many documents.
-HOST_LIMIT, HOST_LEAST = 0.5, 20
+#: A host is rejected if its shrunk failure rate is above this.
+HOST_LIMIT = 0.5
 FEATURES = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long"
 
 
@@ -90,29 +91,31 @@ def measured(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", ho
     return rows.withColumn("base_failed", failed)
 
 
-def host_verdicts(rows: DataFrame, limit: float = HOST_LIMIT, least: int = HOST_LEAST) -> DataFrame:
-    """(host, n_docs, n_failed, shrunk_rate, host_kept). Prior by moments: mean m and spread v of host rates give a+b = m(1-m)/v - 1."""
+def host_verdicts(rows: DataFrame, limit: float = HOST_LIMIT) -> DataFrame:
+    """(host, n_docs, n_failed, shrunk_rate, host_kept). Prior by moments: mean m and spread v of host rates, less the binomial
+    part of the spread, give a+b = m(1-m)/v - 1."""
     hosts = rows.groupBy("host").agg(F.count(F.lit(1)).alias("n_docs"), F.sum(F.col("base_failed").cast("long")).alias("n_failed"))
     rate = F.col("n_failed") / F.col("n_docs")
-    prior = hosts.agg(F.sum("n_failed").alias("f"), F.sum("n_docs").alias("n"), F.coalesce(F.var_samp(rate), F.lit(0.0)).alias("v")).select(
-        ((F.col("f") + 0.5) / (F.col("n") + 1.0)).alias("m"), "v"
+    prior = hosts.agg(F.sum("n_failed").alias("f"), F.sum("n_docs").alias("n"), F.coalesce(F.var_samp(rate), F.lit(0.0)).alias("v"), F.avg(1 / F.col("n_docs")).alias("chance")).select(
+        ((F.col("f") + 0.5) / (F.col("n") + 1.0)).alias("m"), "v", "chance"
     )
+    prior = prior.select("m", (F.col("v") - F.col("m") * (1 - F.col("m")) * F.col("chance")).alias("v"))
     strength = F.greatest(F.lit(1.0), F.least(F.lit(1e6), F.col("m") * (1 - F.col("m")) / F.greatest(F.col("v"), F.lit(1e-12)) - 1))
     # one row of two numbers meets every host
     shrunk = (F.col("n_failed") + F.col("m") * strength) / (F.col("n_docs") + strength)
     out = hosts.join(F.broadcast(prior), F.lit(True)).withColumn("shrunk_rate", shrunk)
-    return out.select("host", "n_docs", "n_failed", "shrunk_rate", (~((F.col("shrunk_rate") > limit) & (F.col("n_docs") >= least))).alias("host_kept"))
+    return out.select("host", "n_docs", "n_failed", "shrunk_rate", (F.col("shrunk_rate") <= limit).alias("host_kept"))
 
 
-def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", limit: float = HOST_LIMIT, least: int = HOST_LEAST) -> DataFrame:
+def judge(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", limit: float = HOST_LIMIT) -> DataFrame:
     """Features, base_failed, the host's shrunk rate and kept, for each row. Texts are read once; hosts are joined by key."""
     rows = common.cut(measured(docs, id_col, text_col, host_col))
-    hosts = common.cut(host_verdicts(rows, limit, least)).select(F.col("host").alias("__host"), "shrunk_rate", "host_kept")
+    hosts = common.cut(host_verdicts(rows, limit)).select(F.col("host").alias("__host"), "shrunk_rate", "host_kept")
     joined = rows.join(hosts, rows.host.eqNullSafe(hosts["__host"]), "left").drop("__host")
     return joined.withColumn("kept", ~F.col("base_failed") & F.col("host_kept"))
 
 
-def oracle(limit: float = HOST_LIMIT, least: int = HOST_LEAST) -> str:
+def oracle(limit: float = HOST_LIMIT) -> str:
     """The query in SQL for DuckDB."""
     blank = r"[\x20\x09-\x0D]"
     word = r"[^\x20\x09-\x0D]"
@@ -125,8 +128,8 @@ f AS MATERIALIZED (SELECT doc_id, host, CAST(len(w) AS BIGINT) AS n_words, CAST(
  FROM d LEFT JOIN lines USING (doc_id) LEFT JOIN repeated USING (doc_id)),
 j AS MATERIALIZED (SELECT *, n_words < 50 OR 100 * n_repeat_words > 50 * n_words AS base_failed FROM f),
 hosts AS MATERIALIZED (SELECT host, count(*) AS n, count(*) FILTER (WHERE base_failed) AS bad FROM j GROUP BY 1),
-prior AS (SELECT (sum(bad) + 0.5::DOUBLE) / (sum(n) + 1.0::DOUBLE) AS m, coalesce(var_samp(bad / n), 0) AS v FROM hosts),
-strength AS (SELECT m, greatest(1.0::DOUBLE, least(1e6::DOUBLE, m * (1 - m) / greatest(v, 1e-12::DOUBLE) - 1)) AS s FROM prior),
+prior AS (SELECT (sum(bad) + 0.5::DOUBLE) / (sum(n) + 1.0::DOUBLE) AS m, coalesce(var_samp(bad / n), 0) AS v0, avg(1 / n) AS chance FROM hosts),
+strength AS (SELECT m, greatest(1.0::DOUBLE, least(1e6::DOUBLE, m * (1 - m) / greatest(v0 - m * (1 - m) * chance, 1e-12::DOUBLE) - 1)) AS s FROM prior),
 verdicts AS (SELECT host, n, (bad + m * s) / (n + s) AS rate FROM hosts, strength)
-SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND NOT (rate > {limit} AND n >= {least}) AS kept, round(rate, 9) AS host_rate
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, NOT base_failed AND rate <= {limit} AS kept, round(rate, 9) AS host_rate
 FROM j JOIN verdicts ON j.host IS NOT DISTINCT FROM verdicts.host"""

@@ -18,6 +18,7 @@ def op1_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
         *[number(k).alias(f"n_{k}") for k in secrets.BASE],
         F.sha2(F.concat_ws(",", F.transform(base, text)), 256).alias("base_sha256"),
         F.concat_ws(",", F.transform("spans", text)).alias("spans"),
+        F.round(F.coalesce(F.array_max(F.transform("spans", lambda s: s.score)), F.lit(0.0)), 6).alias("top_score"),
     )
 
 

@@ -1,11 +1,12 @@
 """Secret scan by assignment-aware lexing.
 
-Statements of the shape ``name = value`` (source code, YAML, JSON, INI, shell) are read into name-literal pairs.
-String constants that an earlier line of the same text bound to a name are propagated into later expressions, and
-each literal is scored by how sensitive the name is that it reaches and by how much it, or the joined value it is a piece of,
+Statements of the shape ``name = value`` (source code, YAML with block scalars, JSON, INI, shell), augmented assignments,
+calls that set a name (``define("NAME", "value")``), XML elements and lists of literals are read into name-literal pairs.
+String constants that an earlier line of the same text bound to a name are propagated into later expressions and forgotten
+when the name is bound to something else; a call is no literal. Each literal is scored by how sensitive the name is that it reaches and by how much it, or the joined value it is a piece of,
 looks like a key.
 
-Defined results: a null or empty text has no spans; rows are never dropped, repeated rows give equal results;
+Defined results: a null or empty text has no spans; a very long text is read once by one task; rows are never dropped, repeated rows give equal results;
 offsets are code points, ends are exclusive.
 """
 
@@ -44,6 +45,11 @@ _TYPED = re.compile(r"[ \t]*[A-Za-z_][A-Za-z0-9_.]*(?:\[[A-Za-z0-9_, .\[\]]*\])?
 _OPERATOR = re.compile(r"[:=]")
 _REST = re.compile(r"[ \t]*")
 _STRING = re.compile(r'''"((?:[^"\\\n]|\\.)*)"|'((?:[^'\\\n]|\\.)*)'|`([^`\n]*)`''')
+_SETTER = re.compile(r"""\b(?:define|putenv|setenv|setProperty|set|put|const)\([ \t]*["']([A-Za-z_$][A-Za-z0-9_$.-]*)["'][ \t]*,[ \t]*""")
+_ELEMENT = re.compile(r"<([A-Za-z_][A-Za-z0-9_.:-]*)>[ \t]*([^<>\s]+)[ \t]*</")
+_BLOCK = re.compile(r"[|>][+-]?[0-9]?[ \t]*\n")
+_INDENTED = re.compile(r"[ \t]+([^ \t\n][^\n]*)(?:\n|$)")
+_BLANKS = re.compile(r"\s*,?\s*")
 _BARE = re.compile(r"[A-Za-z0-9+/_.=~@!%&*^$-]+")
 _JOIN = re.compile(r"[ \t]*(?:\+|\.\.|\.(?=[ \t]*[\"'$]))[ \t]*")
 _PARTS = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+|[0-9]+")
@@ -101,20 +107,48 @@ def name_before(text: str, low: int, at: int) -> str | None:
     return text[first:end].lstrip("0123456789.-") or None
 
 
+class Literals:
+    """String literals of a text at given places; triple quotes that do not close are looked for once."""
+
+    def __init__(self, text: str) -> None:
+        self.text, self.gone = text, set()
+
+    def at(self, p: int) -> tuple[str, int, int, int] | None:
+        """(value, start, end, where it is over) of the string that begins at p."""
+        quotes = self.text[p : p + 3]
+        if quotes in ('"""', "'''") and quotes not in self.gone:
+            stop = self.text.find(quotes, p + 3)
+            if stop >= 0:
+                return self.text[p + 3 : stop], p + 3, stop, stop + 3
+            self.gone.add(quotes)
+        if s := _STRING.match(self.text, p):
+            g = s.lastindex or 1
+            return s.group(g), *s.span(g), s.end()
+        return None
+
+
 def pairs(text: str) -> list[tuple[str, str, int, int, str, str]]:
     """Name-literal pairs: (target name, literal, start, end, 'literal' or 'constant', joined value), constants propagated.
 
     The joined value is that of all constant pieces of the expression."""
+    out = [(m.group(1), m.group(2), *m.span(2), "literal", m.group(2)) for m in _ELEMENT.finditer(text)] if "</" in text else []
+    strings = Literals(text)
+    if "(" in text:
+        for m in _SETTER.finditer(text):
+            if found := strings.at(m.end()):
+                out.append((m.group(1), *found[:3], "literal", found[0]))
     if "=" not in text and ":" not in text:
-        return []
-    out: list[tuple[str, str, int, int, str, str]] = []
+        return out
     constants: dict[str, list[tuple[str, int, int]]] = {}
     done = 0
     for m in _OPERATOR.finditer(text):
         at = m.start()
         if at < done:
             continue
-        target = name_before(text, done, at)
+        left = at
+        if text[at] == "=" and text[at - 1 : at] and text[at - 1] in "+.?|":  # augmented: the name ends before the sign
+            left = at - 2 if text[at - 2 : at] in ("||", "??") else at - 1
+        target = name_before(text, done, left)
         if not target:
             continue
         p = at + 1
@@ -126,31 +160,50 @@ def pairs(text: str) -> list[tuple[str, str, int, int, str, str]]:
             p += 1
         elif text[at] == ":" and (typed := _TYPED.match(text, p)):
             p = typed.end()
-        pieces, p, joined = [], _REST.match(text, p).end(), False
+        p = _REST.match(text, p).end()
+        if text[at] == ":" and (block := _BLOCK.match(text, p)):  # YAML block scalar: its indented lines
+            p = block.end()
+            lines = []
+            while line := _INDENTED.match(text, p):
+                lines.append((line.group(1).rstrip(), line.start(1), line.start(1) + len(line.group(1).rstrip())))
+                p = line.end()
+            out += [(target, *x, "literal", x[0]) for x in lines]
+            constants.pop(target, None)
+            done = max(done, p - 1)
+            continue
+        if text[p : p + 1] in ("[", "(", "{") and (found := strings.at(_BLANKS.match(text, p + 1).end())):  # a list of literals
+            while found:
+                out.append((target, *found[:3], "literal", found[0]))
+                done = found[3]
+                found = strings.at(_BLANKS.match(text, done).end())
+            constants.pop(target, None)
+            continue
+        pieces, joined, called = [], False, False
         while True:
-            if s := _STRING.match(text, p):
-                g = s.lastindex or 1
-                pieces.append((s.group(g), *s.span(g), "literal"))
+            if s := strings.at(p):
+                pieces.append((*s[:3], "literal"))
+                p = s[3]
             elif s := _BARE.match(text, p):
                 word = s.group().rstrip(".")
-                if word in constants:
+                p = s.end()
+                if text[p : p + 1] in ("(", "["):
+                    called = True
+                elif word in constants:
                     pieces += [(*c, "constant") for c in constants[word]]
                 else:
                     pieces.append((word, s.start(), s.start() + len(word), "bare"))
             else:
                 break
-            p = s.end()
-            if not (j := _JOIN.match(text, p)):
+            if called or not (j := _JOIN.match(text, p)):
                 break
             p, joined = j.end(), True
-        if not pieces:
-            continue
-        done = p
-        if not joined and pieces[0][3] == "bare":
+        done = max(done, p) if pieces else done
+        if not joined and not called and pieces and pieces[0][3] == "bare":
             pieces = [(*pieces[0][:3], "literal")]
         kept = [x for x in pieces if x[3] != "bare"]
+        before = constants.pop(target, [])
         if kept:
-            constants[target] = [x[:3] for x in kept]
+            constants[target] = [*(before if left < at else []), *(x[:3] for x in kept)]
         whole = "".join(x[0] for x in kept)
         out += [(target, *x, whole) for x in kept]
     return out

@@ -55,3 +55,13 @@ def test_joined_values_and_long_names():
         text = f'{name} = "aB3dE5fG7"'
         assert [text[a:b] for a, b, *_ in secrets.scan(text)] == ["aB3dE5fG7"], name
     assert secrets.name_before("pwd\n" + " " * 200 + "=", 0, 204) is None
+
+
+def test_quotings_calls_and_other_syntax():
+    found = lambda t: [t[a:b] for a, b, *_ in secrets.scan(t)]
+    key = "aB3dE5fG7hJ9"
+    for text in (f'pwd = """{key}"""', f'auth_pwd += "{key}"', f'define("DB_PWD", "{key}");', f"<dbPwd>{key}</dbPwd>", f"pwd: |\n  {key}\nname: x", f'pwds_pwd = ["{key}"]', f"pwd ||= '{key}'"):
+        assert found(text) == [key], text
+    assert found("auth_pwd = loadVaultEntry9(name)") == [] and found(f'a = "{key}"\na = [x]\npwd = a + "-"') == []
+    assert found(f'a = "{key}"\na = f(x)\nmy_pwd = a + "-"') == []
+    assert secrets.scan('"""' * 50_000 + "pwd = '" * 20_000) is not None
