@@ -1,4 +1,8 @@
-"""A corpus pipeline of five stages over `documents`; each works on all that the one before it kept."""
+"""A corpus pipeline of five stages over `documents`; each works on all that the one before it kept.
+
+Defined results of every stage: an empty table gives an empty one; nulls, empty and very long texts, ties, repeated rows and
+extra columns are handled as the stage's operator says in its docstring. What a stage writes in the shared folder is deleted
+once the next stage's rows are written."""
 
 from __future__ import annotations
 
@@ -15,10 +19,12 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row of each component of linked fingerprints stays; texts without words are one component."""
     return simhash.deduplicate(docs)
 
 
 def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows whose text holds a window of a benchmark item go; rows without words stay."""
     return decontam.remove(docs, common.table(spark, sf_dir, "benchmark"))
 
 
@@ -28,6 +34,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def shard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every row with its shard, slot and the law; repeated rows get slots of their own."""
     return sharding.shard_rows(docs)
 
 
@@ -39,8 +46,13 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = common.table(spark, sf_dir, "documents")
+    mine: list[str] = []
     for at, (_, stage) in enumerate(STAGES):
+        before = common.written()
         docs = stage(spark, docs, sf_dir)
         if at < len(STAGES) - 1:
             docs = common.cut(docs)
+            made = [p for p in common.written() if p not in before]
+            common.drop_written(spark, [*mine, *made[:-1]])  # the last one holds this stage's rows
+            mine = made[-1:]
     return docs
