@@ -155,15 +155,10 @@ def mix(docs: DataFrame, keep: list[str] | dict[str, str], id_col: str = "doc_id
     shown = {c: f"__k{i}" for i, c in enumerate(keep)}
     rows = docs.select(*[F.col(c).alias(k) for c, k in shown.items()], F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(id_col, text_col, salts).alias("salt"), F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("__id"), F.xxhash64(common.text_or_empty(text_col)).alias("__x"))
     rows = rows.join(placed, rows.source.eqNullSafe(placed["__s"]) & (rows["size"] == placed["__n"]) & (rows.salt == placed["__t"]))
-    # documents of a cell whose extra copies come out even need no numbers: empty texts and full sources, however many
-    even = F.col("extra") % F.col("cell") == 0
-    alike = rows.where(even).withColumn("copies", (F.floor("rate") + F.col("extra") / F.col("cell")).cast("long"))
-    rows = rows.where(~even)
     number = F.row_number().over(Window.partitionBy("source", "size", "salt").orderBy("__id", "__x"))
     at = F.col("ahead") + number  # 1 to cell; the extra copies are spread evenly over these numbers
     step = lambda i: F.floor(i * F.col("extra") / F.col("cell"))
     rows = rows.withColumn("__at", at).withColumn("copies", (F.floor("rate") + step(F.col("__at")) - step(F.col("__at") - 1)).cast("long"))
-    rows = alike.unionByName(rows.drop("__at"))
     out = rows.join(goals, rows.source.eqNullSafe(goals["__g"]))
     names = common.named(keep)
     return out.select(*[F.col(k).alias(names[c]) for c, k in shown.items()], F.col("size"), "source_size", "target", "rate", "copies")
