@@ -15,6 +15,7 @@ result.
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -110,28 +111,30 @@ def assignments(docs: DataFrame, shards: int = 16, seed: int = 42, id_col: str =
 
 
 def shard_rows(docs: DataFrame, shards: int = 16, seed: int = 42, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """docs with shard and slot: whole rows, each joined to its place by id, size, crc and a hash of the whole row.
+    """docs with shard and slot: whole rows, numbered by id, size, crc and two 64-bit hashes of the whole row.
 
-    Rows that share such a key are alike in every column, so they are first counted and then spread out again. An input column
-    called shard, slot or law gives way to the new one. Columns must be of types that can be grouped by (no maps)."""
+    Rows that share this key are alike: they are counted before anything is moved and spread out again at the end, so texts are
+    shuffled twice, each repeated row once. An input column called shard, slot or law gives way to the new one. Columns must be
+    of types that can be grouped by (no maps)."""
     own = docs.drop("shard", "slot", "law")
     names = common.masked(own)
     base = own.select(*[own[c].alias(k) for c, k in names.items()])
-    key = ["__id", "__size", "__crc", "__row"]
-    keyed = base.withColumns({"__id": F.col(names[id_col]), "__size": size_of(names[text_col]), "__crc": crc_of(names[text_col]), "__row": F.xxhash64(*base.columns)})
-    placed = common.cut(_placed(keyed.select(*key), key, shards, seed).select(*[F.col(k).alias(f"{k}_") for k in key], "copies", F.col("copy").alias("__copy"), F.col("shard").alias("__shard"), F.col("slot").alias("__slot")))
-
-    def on(rows: DataFrame, where: DataFrame):
-        return [rows["__id"].eqNullSafe(where["__id_"]), *(rows[k] == where[f"{k}_"] for k in key[1:])]
-
-    shown = [*[F.col(k).alias(c) for c, k in names.items()], F.col("__shard").alias("shard"), F.col("__slot").alias("slot"), F.lit("rows").alias("law")]
-    single = placed.where("copies = 1")
-    once = keyed.join(single, on(keyed, single)).select(*shown)
-    several = placed.where("copies > 1 and __copy = 0").select(*[f"{k}_" for k in key])
-    rows = keyed.join(several, on(keyed, several), "left_semi").groupBy(*base.columns, *key).agg(F.count(F.lit(1)).alias("copies"))
-    # rows of one key that differ all the same (equal hashes) take turns
-    turn = Window.partitionBy(*key).orderBy(*base.columns).rowsBetween(Window.unboundedPreceding, -1)
-    rows = rows.withColumn("__before", F.coalesce(F.sum("copies").over(turn), F.lit(0)))
-    rows = _copies(rows, [*base.columns, *key, "__before"]).withColumn("__at", F.col("copy") + F.col("__before")).drop("copy")
-    many = rows.join(placed, [*on(rows, placed), rows["__at"] == placed["__copy"]]).select(*shown)
-    return once.unionByName(many)
+    key = ["__id", "__none", "__size", "__crc", "__row", "__again"]
+    number = F.col(names[id_col])
+    keyed = base.withColumns({
+        "__id": F.coalesce(number.cast("string"), F.lit("")), "__none": number.isNull(), "__size": size_of(names[text_col]), "__crc": crc_of(names[text_col]),
+        "__row": F.xxhash64(*base.columns), "__again": F.xxhash64(F.lit(seed), *reversed(base.columns)),
+    })
+    starts, total = numbered(keyed.select(*key), key)
+    starts = starts.select(*[F.col(k).alias(f"{k}_") for k in key], "copies", "start")
+    rows = keyed.groupBy(*base.columns, *key).agg(F.count(F.lit(1)).alias("__n"))
+    rows = rows.join(starts, [rows[k] == starts[f"{k}_"] for k in key]).select(*base.columns, "copies", "start")
+    few = rows.where(F.col("copies") <= SPREAD).select(*base.columns, "start", F.explode(F.sequence(F.lit(0).cast("long"), F.col("copies") - 1)).alias("copy"))
+    each = few.unionByName(_copies(rows.where(F.col("copies") > SPREAD), [*base.columns, "start"]))
+
+    @F.pandas_udf("long")
+    def place(at: pd.Series) -> pd.Series:
+        return pd.Series(permute(at.to_numpy(np.int64), total, seed))
+
+    placed = each.withColumn("__at", place(F.col("start") + F.col("copy")))
+    return placed.select(*[F.col(k).alias(c) for c, k in names.items()], (F.col("__at") % shards).cast("int").alias("shard"), F.floor(F.col("__at") / shards).cast("long").alias("slot"), F.lit("rows").alias("law"))
