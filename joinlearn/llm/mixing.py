@@ -146,17 +146,24 @@ def _salt(id_col: str, text_col: str, salts: int) -> Column:
     return F.pmod(F.xxhash64(F.coalesce(F.col(id_col).cast("string"), F.lit("")), common.text_or_empty(text_col), F.lit(3)), F.lit(salts))
 
 
+def _key(source: str) -> Column:
+    """The source as a text that is never null, so that joins and windows share a partitioning."""
+    return F.coalesce(F.concat(F.lit("="), F.col(source)), F.lit(""))
+
+
 def mix(docs: DataFrame, keep: list[str] | dict[str, str], id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
     """The keep columns, size, source_size, target, rate and copies (0, 1 or 2) for each row of docs."""
     salts = max(SALTS, docs.count() // SALT_ROWS)
     placed, goals = rates(docs, source_col, text_col, weights, share, most, salts, id_col)
-    placed = common.cut(placed).select(F.col("source").alias("__s"), F.col("size").alias("__n"), F.col("salt").alias("__t"), "rate", "cell", "extra", "ahead")
+    placed = common.cut(placed).select(_key("source").alias("__s"), F.col("size").alias("__n"), F.col("salt").alias("__t"), "rate", "cell", "extra", "ahead")
     goals = goals.select(F.col("source").alias("__g"), "source_size", "target")
     shown = {c: f"__k{i}" for i, c in enumerate(keep)}
     rows = docs.select(*[F.col(c).alias(k) for c, k in shown.items()], F.col(source_col).cast("string").alias("source"), common.word_count(text_col).alias("size"), _salt(id_col, text_col, salts).alias("salt"), F.coalesce(F.col(id_col).cast("string"), F.lit("")).alias("__id"), F.xxhash64(common.text_or_empty(text_col)).alias("__x"))
-    rows = rows.join(placed, rows.source.eqNullSafe(placed["__s"]) & (rows["size"] == placed["__n"]) & (rows.salt == placed["__t"]))
-    number = F.row_number().over(Window.partitionBy("source", "size", "salt").orderBy("__id", "__x"))
-    at = F.col("ahead") + number  # 1 to cell; the extra copies are spread evenly over these numbers
+    # numbered first, by keys that are never null: the join then finds the rows shuffled and sorted as it needs them
+    number = F.row_number().over(Window.partitionBy("__key", "size", "salt").orderBy("__id", "__x"))
+    rows = rows.withColumn("__key", _key("source")).withColumn("__number", number)
+    rows = rows.join(placed, (rows["__key"] == placed["__s"]) & (rows["size"] == placed["__n"]) & (rows["salt"] == placed["__t"]))
+    at = F.col("ahead") + F.col("__number")  # 1 to cell; the extra copies are spread evenly over these numbers
     step = lambda i: F.floor(i * F.col("extra") / F.col("cell"))
     rows = rows.withColumn("__at", at).withColumn("copies", (F.floor("rate") + step(F.col("__at")) - step(F.col("__at") - 1)).cast("long"))
     out = rows.join(goals, rows.source.eqNullSafe(goals["__g"]))
