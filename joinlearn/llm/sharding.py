@@ -114,7 +114,7 @@ def shard_rows(docs: DataFrame, shards: int = 16, seed: int = 42, id_col: str =
     """docs with shard and slot: whole rows, numbered by id, size, crc and two 64-bit hashes of the whole row.
 
     Rows that share this key are alike: they are counted before anything is moved and spread out again at the end, so texts are
-    shuffled twice, each repeated row once. An input column called shard, slot or law gives way to the new one. Columns must be
+    shuffled once, each repeated row once. An input column called shard, slot or law gives way to the new one. Columns must be
     of types that can be grouped by (no maps)."""
     own = docs.drop("shard", "slot", "law")
     names = common.masked(own)
@@ -127,8 +127,9 @@ def shard_rows(docs: DataFrame, shards: int = 16, seed: int = 42, id_col: str =
     })
     starts, total = numbered(keyed.select(*key), key)
     starts = starts.select(*[F.col(k).alias(f"{k}_") for k in key], "copies", "start")
-    rows = keyed.groupBy(*base.columns, *key).agg(F.count(F.lit(1)).alias("__n"))
-    rows = rows.join(starts, [rows[k] == starts[f"{k}_"] for k in key]).select(*base.columns, "copies", "start")
+    # grouped by the key alone, so that the join finds the rows shuffled as it needs them
+    rows = keyed.groupBy(*key).agg(F.first(F.struct(*base.columns)).alias("__whole"))
+    rows = rows.join(starts, [rows[k] == starts[f"{k}_"] for k in key]).select("__whole.*", "copies", "start")
     few = rows.where(F.col("copies") <= SPREAD).select(*base.columns, "start", F.explode(F.sequence(F.lit(0).cast("long"), F.col("copies") - 1)).alias("copy"))
     each = few.unionByName(_copies(rows.where(F.col("copies") > SPREAD), [*base.columns, "start"]))
 
