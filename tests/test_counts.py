@@ -28,7 +28,7 @@ def nothing_collected(*_, **__):
     raise MemoryError("moments are not collected to be counted")
 
 
-COUNTING = ["dense_vs_sparse_ratio", "aggregate_counts_lr"]
+COUNTING = ["dense_vs_sparse_ratio", "aggregate_counts_lr", "feature_counts"]
 
 
 @pytest.mark.parametrize("name", COUNTING)
