@@ -3,7 +3,7 @@ import pytest
 import __spark_entry__ as entry
 
 
-@pytest.mark.parametrize("name", ["entry_identities", "toy_counts"])
+@pytest.mark.parametrize("name", ["entry_identities", "toy_counts", "toy_registers"])
 def test_results_come_from_the_given_tables(spark, sf, sf01, name):
     duckdb = pytest.importorskip("duckdb")
     from tests.conftest import rows_of
