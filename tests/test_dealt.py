@@ -5,7 +5,9 @@ from joinlearn import workloads
 from joinlearn.functions.layout import FeatureLayout, SigmaIndex
 from joinlearn.functions.models import Linear
 from joinlearn.operators import dealt
-from joinlearn.operators.moments import moments
+from joinlearn.operators import moments as operator
+from joinlearn.operators.moments import entry_counts, moments
+from joinlearn.plans.monomials import by_keys
 
 
 def _entries(found):
@@ -31,3 +33,18 @@ def test_large_category_is_grouped_in_one_pass(spark, sf, monkeypatch, workload)
     x = np.arange(layouts[0].width) % 7.0
     assert (mine.wide(("o_orderpriority", "partkey")) is not None) == (workload != "W1")
     assert np.allclose(*(Linear(q).attach(SigmaIndex(lay)).sigma.matvec(x) for lay in layouts))
+
+
+@pytest.mark.parametrize("workload", ["W1", "W4F"])
+def test_degree_two_combinations_are_counted_in_one_pass(spark, sf, monkeypatch, workload):
+    monkeypatch.setattr(dealt, "SMALL_LEVELS", 100)
+    monkeypatch.setattr(dealt, "ROWS", 200)
+    q, order = workloads.star(spark, sf, workload, False, ("l_discount",))
+    rows, groups = q.listing().select(*q.categorical).toPandas(), by_keys(q.aggregates(2))
+    want = sum(len(ms) * len(rows[list(ks)].drop_duplicates()) for ks, ms in groups.items() if ks)
+
+    def refused(*_):
+        raise AssertionError("no view for each key set")
+
+    monkeypatch.setattr(operator, "lower", refused)
+    assert entry_counts(q, q.aggregates(2), order) == (len(groups[()]), want)
