@@ -48,3 +48,28 @@ def test_degree_two_combinations_are_counted_in_one_pass(spark, sf, monkeypatch,
 
     monkeypatch.setattr(operator, "lower", refused)
     assert entry_counts(q, q.aggregates(2), order) == (len(groups[()]), want)
+
+
+def test_materialised_join_is_grouped_by_all_key_sets_at_once(spark, sf, monkeypatch):
+    from joinlearn import experiments
+
+    def refused(*_):
+        raise AssertionError("no join for each key set")
+
+    got = [experiments.learn(spark, sf, "W2")]
+    monkeypatch.setattr(operator, "lower", refused)
+    got.append(experiments.learn(spark, sf, "W2", "materialize"))
+    assert all(got[0][k] == got[1][k] for k in ("n_rows", "parameters", "scalar", "grouped"))
+    assert abs(got[0]["rmse"] - got[1]["rmse"]) < 1e-4
+
+
+def test_views_of_large_relations_are_evaluated_apart(spark, sf, monkeypatch):
+    q, order = workloads.star(spark, sf, "W2")
+    together = moments(q, q.aggregates(1), order)
+    jobs, stacked = [], operator._stacked
+    monkeypatch.setattr(operator, "APART", 100)
+    monkeypatch.setattr(operator, "_stacked", lambda views: jobs.append(len(views)) or stacked(views))
+    apart = moments(q, q.aggregates(1), order)
+    assert len(jobs) > 1 and set(jobs) == {1}
+    a, b = _entries(apart), _entries(together)
+    assert a.keys() == b.keys() and all(a[m].keys() == b[m].keys() and np.allclose([a[m][k] for k in a[m]], [b[m][k] for k in a[m]]) for m in a)
