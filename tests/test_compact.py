@@ -1,12 +1,18 @@
+import tracemalloc
+from types import SimpleNamespace
+
 import numpy as np
 import pandas as pd
+import pytest
 
 from joinlearn import workloads
-from joinlearn.functions import layout
+from joinlearn.functions import bgd as descent
+from joinlearn.functions import layout, models
 from joinlearn.functions.models import FactorizationMachine, Linear
 from joinlearn.operators import dependencies as fd
-from joinlearn.operators.moments import moments
-from joinlearn.plans.monomials import aggregate_monomials
+from joinlearn.operators.moments import Moments, moments
+from joinlearn.plans.monomials import aggregate_monomials, by_keys
+from joinlearn.plans.query import FeatureQuery
 
 
 def _degree_two(spark, sf):
@@ -70,3 +76,38 @@ def test_groupings_take_no_row_objects(spark, sf, monkeypatch):
     got = fd.groupings(q, fd.Dependency("partkey", ("p_brand",)), lay)["p_brand"]
     number: dict = {}
     assert got.tolist() == [number.setdefault(brand[v], len(number)) for v in lay.levels["partkey"].tolist()]
+
+
+def _made(model_of, n=20_000):
+    """A model over moments of made rows, each level of a large category twice."""
+    rows = pd.DataFrame({"key": np.repeat(np.arange(n), 2), "flag": np.tile(["a", "b"], n), "x": np.arange(2 * n) % 11 / 10.0, "y": np.arange(2 * n) % 7})
+    q = FeatureQuery({"rows": SimpleNamespace(columns=list(rows))}, ("x",), ("key", "flag"), "y")
+    model, tables = model_of(q), {}
+    groups = by_keys(aggregate_monomials(model.h, "y"))
+    for ks, wanted in groups.items():
+        terms = pd.DataFrame({f"m{i}": np.prod([rows[v] ** e for v, e in m.cont], axis=0) * np.ones(len(rows)) for i, m in enumerate(wanted)})
+        tables[ks] = terms.groupby([rows[k] for k in ks]).sum().reset_index() if ks else terms.sum().to_frame().T
+        tables[ks] = tables[ks].astype({k: pd.CategoricalDtype(sorted(rows[k].unique(), key=str)) for k in ks})
+    return model.attach(layout.SigmaIndex(layout.FeatureLayout(Moments(q, tables, groups), model.h)))
+
+
+@pytest.mark.parametrize("kind", ["lr", "fm"])
+def test_descent_holds_few_vectors(monkeypatch, kind):
+    for module in (layout, models, descent):
+        monkeypatch.setattr(module, "CHUNK", 2_000, raising=False)
+    if kind == "lr":
+        model, most, options = _made(Linear), 13, {"precondition": "diag", "tol": 1e-7}
+        groups = {"g": np.arange(20_000) % 5, "h": np.arange(20_000) % 3}
+        options["penalty"] = fd.merged_penalty(model, fd.Dependency("key", ("g", "h")), groups)
+    else:
+        model, most = _made(lambda q: fd.DependentFM(q, fd.Dependency("key", ("g", "h")), 4)), 7
+        model.with_groups({"g": np.arange(20_000) % 5, "h": np.arange(20_000) % 3})
+        options = {"tol": None, "seed": 1, "penalty": model}
+    tracemalloc.start()
+    try:
+        fit = descent.bgd(model, 1e-3, max_iter=4, **options)
+        held = tracemalloc.get_traced_memory()[1] / fit.theta.nbytes
+    finally:
+        tracemalloc.stop()
+    assert fit.runs == 4 and fit.trace[-1][1] < fit.trace[0][1]
+    assert held < most, held

@@ -73,3 +73,14 @@ def test_views_of_large_relations_are_evaluated_apart(spark, sf, monkeypatch):
     assert len(jobs) > 1 and set(jobs) == {1}
     a, b = _entries(apart), _entries(together)
     assert a.keys() == b.keys() and all(a[m].keys() == b[m].keys() and np.allclose([a[m][k] for k in a[m]], [b[m][k] for k in a[m]]) for m in a)
+
+
+def test_entries_of_the_large_category_come_in_the_layouts_order(spark, sf, monkeypatch):
+    monkeypatch.setattr(dealt, "SMALL_LEVELS", 100)
+    q, order = workloads.star(spark, sf, "W2", False, ("l_discount",), ("partkey", "l_returnflag"))
+    found = moments(q, q.aggregates(2), order)
+    assert found.strategy.endswith("/dealt")
+    lay = FeatureLayout(found, q.feature_map(2))
+    for ks, t in found.tables.items():
+        if "partkey" in ks:
+            assert lay.positions(ks, ks).tolist() == list(range(len(t)))
