@@ -111,3 +111,18 @@ def test_descent_holds_few_vectors(monkeypatch, kind):
         tracemalloc.stop()
     assert fit.runs == 4 and fit.trace[-1][1] < fit.trace[0][1]
     assert held < most, held
+
+
+def test_release_gives_freed_memory_back():
+    from joinlearn.operators import measures
+
+    def held():
+        return next(int(line.split()[1]) for line in open("/proc/self/status") if line.startswith("RssAnon")) / 1024
+
+    session = SimpleNamespace(sparkContext=SimpleNamespace(_jvm=SimpleNamespace(System=SimpleNamespace(gc=lambda: None))))
+    small = [np.zeros(1_000) for _ in range(20_000)]  # 160 MB in pieces, as parts of moments come
+    last = [np.zeros(1_000) for _ in range(5)]
+    small.clear()
+    before = held()
+    measures.release(session)
+    assert before - held() > 100, (before, held(), len(last))
