@@ -84,3 +84,37 @@ def test_entries_of_the_large_category_come_in_the_layouts_order(spark, sf, monk
     for ks, t in found.tables.items():
         if "partkey" in ks:
             assert lay.positions(ks, ks).tolist() == list(range(len(t)))
+
+
+@pytest.mark.parametrize("workload, held", [("W3", 1 << 24), ("W3", 100), ("W4", 1 << 24)])
+def test_wide_payloads_are_summed_in_columns_and_come_merged(spark, sf, monkeypatch, workload, held):
+    monkeypatch.setattr(dealt, "SMALL_LEVELS", 100)
+    monkeypatch.setattr(dealt, "ROWS", 500)
+    monkeypatch.setattr(dealt, "HELD", held)
+    monkeypatch.setattr(operator, "MANY_PIECES", 0)
+    cats = {"W3": ("l_returnflag", "o_orderstatus", "c_mktsegment", "s_nationkey"), "W4": ("l_returnflag", "o_orderstatus", "partkey")}[workload]
+    q, order = workloads.star(spark, sf, workload, False, ("l_discount", "p_size", "o_totalprice"), cats)
+    parts, add = [], dealt.Gathered.add
+    monkeypatch.setattr(dealt.Gathered, "add", lambda self, part: (parts.append(part), add(self, part)))
+    mine = moments(q, q.aggregates(2), order)
+    assert mine.strategy.endswith("/dealt")
+    assert workload == "W4" or len(parts) == len(by_keys(q.aggregates(2)))
+    other = moments(q, q.aggregates(2), order, kernel="arrow")
+    a, b = _entries(mine), _entries(other)
+    assert mine.entries() == other.entries() and a.keys() == b.keys()
+    for m, values in a.items():
+        assert values.keys() == b[m].keys(), m
+        assert np.allclose([values[k] for k in values], [b[m][k] for k in values], rtol=1e-9), m
+    h = q.feature_map(2)
+    layouts = [FeatureLayout(x, h) for x in (mine, other)]
+    x = np.arange(layouts[0].width) % 7.0
+    assert np.allclose(*(SigmaIndex(lay).matvec(x) for lay in layouts))
+
+
+def test_wide_payloads_over_no_rows(spark, sf, monkeypatch):
+    from dataclasses import replace
+
+    monkeypatch.setattr(operator, "MANY_PIECES", 0)
+    q, order = workloads.star(spark, sf, "W3", False, ("l_discount",), ("l_returnflag", "o_orderstatus"))
+    found = moments(replace(q, where={"orders": "false"}), q.aggregates(2), order)
+    assert found.strategy.endswith("/dealt") and found.rows == 0 and found.entries()[1] == 0
