@@ -222,3 +222,20 @@ def test_degree_two_entry_counts(spark, sf, workload, pr2):
 
     q, order = workloads.star(spark, sf, workload)
     assert entry_counts(q, q.aggregates(2), order) == (541, pr2)
+
+
+def test_blocks_full_of_entries_are_multiplied_as_matrices(spark, sf, monkeypatch):
+    from joinlearn.functions import layout
+
+    q, order = workloads.star(spark, sf, "W3", False, ("l_discount",), ("o_orderpriority", "c_mktsegment", "s_nationkey", "p_brand"))
+    lay = FeatureLayout(moments(q, q.aggregates(2), order, kernel="sql"), q.feature_map(2))
+    x = np.arange(lay.width) % 7.0
+    listed = SigmaIndex(lay)
+    monkeypatch.setattr(layout, "LISTED", 20)
+    blocks = SigmaIndex(lay)
+    dense = [b for b in blocks.blocks if isinstance(b, layout.DenseBlock)]
+    assert dense and len(dense) < len(blocks.blocks)
+    assert blocks.stored == listed.stored and np.allclose(blocks.dense(), listed.dense())
+    assert np.allclose(blocks.matvec(x), listed.matvec(x)) and np.allclose(blocks.matvec(x), listed.dense() @ x)
+    monkeypatch.setattr(layout, "ALL_DENSE", max(b.matrix.size for b in dense))
+    assert 0 < sum(b.matrix.size for b in SigmaIndex(lay).blocks if isinstance(b, layout.DenseBlock)) <= layout.ALL_DENSE
