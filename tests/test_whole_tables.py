@@ -60,3 +60,19 @@ def test_degree_two_learns_all_features(spark, sf, monkeypatch):
 def test_scores_come_from_fitted_factors(spark, sf):
     got = entry.queries()["fm_scores"](spark, sf).agg(F.sqrt(F.avg((F.col("prediction") - F.col("l_quantity")) ** 2)), F.stddev_pop("l_quantity")).first()
     assert got[0] <= 1.01 * float(got[1])
+
+
+def test_factorization_machine_of_w4_learns_all_features(spark, sf, monkeypatch):
+    from joinlearn import queries, workloads
+
+    class Asked(Exception):
+        pass
+
+    def moments(query, *_, **__):
+        raise Asked(query)
+
+    monkeypatch.setattr(queries, "moments", moments)
+    with pytest.raises(Asked) as asked:
+        queries.QUERIES["fm_fit_v4"](spark, sf)
+    (query,) = asked.value.args
+    assert set(query.features) == {*workloads.CONTINUOUS, *workloads.CATEGORICAL, "partkey"} and not query.where
