@@ -239,3 +239,20 @@ def test_blocks_full_of_entries_are_multiplied_as_matrices(spark, sf, monkeypatc
     assert np.allclose(blocks.matvec(x), listed.matvec(x)) and np.allclose(blocks.matvec(x), listed.dense() @ x)
     monkeypatch.setattr(layout, "ALL_DENSE", max(b.matrix.size for b in dense))
     assert 0 < sum(b.matrix.size for b in SigmaIndex(lay).blocks if isinstance(b, layout.DenseBlock)) <= layout.ALL_DENSE
+
+
+@pytest.mark.parametrize("rows, threads", [(16, 1), (1 << 15, 3)])
+def test_blocks_of_a_key_set_are_multiplied_together(spark, sf, monkeypatch, rows, threads):
+    from joinlearn.functions import layout
+
+    q, order = workloads.star(spark, sf, "W4", False, ("l_discount", "p_size"), ("l_returnflag", "p_brand", "partkey"))
+    lay = FeatureLayout(moments(q, q.aggregates(2), order, kernel="sql"), q.feature_map(2))
+    x = np.arange(lay.width) % 7.0
+    want = SigmaIndex(lay).dense() @ x
+    for name, value in (("LISTED", 20), ("TOGETHER", 20), ("DENSE", 0), ("ROWS", rows), ("THREADS", threads)):
+        monkeypatch.setattr(layout, name, value)
+    sigma = SigmaIndex(lay)
+    parts = [p for p in sigma._parts if isinstance(p, layout.Together)]
+    assert len(parts) > 3 and sum(len(p.pairs) for p in parts) > 4 * len(parts)
+    into = np.full(lay.width, np.nan)
+    assert np.allclose(sigma.matvec(x), want) and np.array_equal(sigma.matvec(x, into), sigma.matvec(x))
