@@ -249,7 +249,7 @@ def test_blocks_of_a_key_set_are_multiplied_together(spark, sf, monkeypatch, row
     lay = FeatureLayout(moments(q, q.aggregates(2), order, kernel="sql"), q.feature_map(2))
     x = np.arange(lay.width) % 7.0
     want = SigmaIndex(lay).dense() @ x
-    for name, value in (("LISTED", 20), ("TOGETHER", 20), ("DENSE", 0), ("ROWS", rows), ("THREADS", threads)):
+    for name, value in (("LISTED", 20), ("TOGETHER", 20), ("DENSE", 0), ("CHUNK", 2 * rows), ("THREADS", threads)):
         monkeypatch.setattr(layout, name, value)
     sigma = SigmaIndex(lay)
     parts = [p for p in sigma._parts if isinstance(p, layout.Together)]
